@@ -100,7 +100,7 @@ def _to_shards(block: int, most: float):
     return deal
 
 
-def mix(docs: DataFrame, seed: str = "mix-1", block: int = 32, shard_docs: int = 20_000, most: float = 3.0, carry: tuple[str, ...] = ()) -> DataFrame:
+def mix(docs: DataFrame, seed: str = "mix-1", block: int = 32, shard_docs: int = 2_000, most: float = 3.0, carry: tuple[str, ...] = ()) -> DataFrame:
     """(doc_id, source, size, source_size, target, taken, *carry) for every row of (doc_id, text, source).
 
     ``block`` words make one block; ``shard_docs`` documents, about, make one shard.
