@@ -3,13 +3,13 @@
     P(grade > k | text) = sigmoid(w . x - cut[k]),   cut[0] < cut[1] < ...
 
 One weight vector serves all thresholds; the expected severity is the sum of those probabilities. Features
-are the distinct lower-cased letter words of the text and the five-letter stems of the longer ones, kept
-where they tell toxic from other labelled texts, as exact strings (no hashing, so no strange word ever
+are the distinct lower-cased letter words of the text and the four-letter stems of the longer ones, kept
+where their shares in toxic and in other texts are ``APART`` standard errors apart, as exact strings (no hashing, so no strange word ever
 shares a weight).
 
 Training rows: at most ``SAMPLE`` labelled documents, toxic ones first, then by a seeded hash of the id, so
 the bound is a parameter and the sample is the same on every run. The labels are binary; a toxic training
-text gets grade 1, 2 or 3 by the tertile, among toxic texts, of its rate of telling words per word.
+text gets grade 1, 2 or 3 by the tertile, among toxic texts, of its number of telling features.
 
 Defined cases: null and empty texts have no features and get the severity of the bare cuts; a table with no
 toxic label (or no labels at all) gives severity 0 and rejects nothing; repeated label rows of a document
@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from annspark.llm.common import salted, texts
 
-SAMPLE, FEATURES, GRADES, STEM = 12_000, 20_000, 3, 5
+SAMPLE, FEATURES, GRADES, STEM, APART = 12_000, 20_000, 3, 4, 4.0
 LETTERS = re.compile(r"[^\W\d_]+")
 
 
@@ -52,7 +52,7 @@ class Severity:
         return [1 / (1 + math.exp(min(700.0, max(-700.0, c - score)))) for c in self.cuts]
 
 
-def fit(rows: list[tuple[str, int]], grades: int = GRADES, limit: int = FEATURES, rounds: int = 150, l2: float = 1e-4) -> Severity:
+def fit(rows: list[tuple[str, int]], grades: int = GRADES, limit: int = FEATURES, rounds: int = 400, l2: float = 1e-5) -> Severity:
     """rows: (text, toxic 0/1), in a fixed order."""
     bags = [features(t) for t, _ in rows]
     toxic = np.array([y for _, y in rows], bool)
@@ -63,11 +63,14 @@ def fit(rows: list[tuple[str, int]], grades: int = GRADES, limit: int = FEATURES
     for bag, y in zip(bags, toxic, strict=True):
         (yes if y else no).update(bag)
     odds = {f: math.log((yes[f] + 0.1) / (n1 + 0.2)) - math.log((no[f] + 0.1) / (n0 + 0.2)) for f in set(yes) | set(no) if yes[f] + no[f] >= 3}
-    z = {f: v / math.sqrt(1 / (yes[f] + 0.1) + 1 / (no[f] + 0.1)) for f, v in odds.items()}
-    kept = sorted(z, key=lambda f: (-abs(z[f]), f))[:limit]
+    z = {}
+    for f in odds:
+        share = (yes[f] + no[f] + 0.5) / (n1 + n0 + 1)
+        z[f] = (yes[f] / n1 - no[f] / n0) / math.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
+    kept = sorted((f for f in z if abs(z[f]) >= APART), key=lambda f: (-abs(z[f]), f))[:limit]
     place = {f: i for i, f in enumerate(kept)}
     telling = {f for f in kept if z[f] >= 2 and odds[f] >= 2}
-    rate = np.array([sum(f in telling for f in bag) / max(1, len(bag)) for bag in bags])
+    rate = np.array([sum(f in telling for f in bag) for bag in bags], float)
     edges = np.quantile(rate[toxic], [i / grades for i in range(1, grades)])
     grade = np.where(toxic, 1 + (rate[:, None] > edges).sum(axis=1), 0)
     at, row = [], []
@@ -99,7 +102,7 @@ def fit(rows: list[tuple[str, int]], grades: int = GRADES, limit: int = FEATURES
         for x, g, a, b in ((w, gw, m, v), (c, gc, cm, cv)):
             a += 0.1 * (g - a)
             b += 0.01 * (g * g - b)
-            x -= 0.05 * (a / (1 - 0.9**step)) / (np.sqrt(b / (1 - 0.99**step)) + 1e-8)
+            x -= 0.1 * (a / (1 - 0.9**step)) / (np.sqrt(b / (1 - 0.99**step)) + 1e-8)
     cuts = c[0] + np.concatenate(([0.0], np.cumsum(np.exp(c[1:]))))
     return Severity({f: round(float(w[i]), 6) for f, i in place.items()}, [round(float(x), 6) for x in cuts])
 
