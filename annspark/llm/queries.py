@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from annspark.llm import bpe, language, mixing, ordersketch, pii, toxicity
+from annspark.llm import bpe, language, mixing, ordersketch, permutation, pii, toxicity
 from annspark.llm.common import table
 
 
@@ -16,6 +16,10 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.grade(docs, model)
 
 
+def op3_permutation_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return permutation.nearest(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), F.col("vec_id") % 20 == 0, k=20)
+
+
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
     return bpe.encode(table(spark, sf_dir, "documents").select("doc_id", "text"), path, public_tokenizers.PATTERN, ids=False)
@@ -40,6 +44,6 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", language.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity, op4_byte_bpe, op5_pii, op6_source_mixing, op8_order_minhash, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_toxicity, op3_permutation_index, op4_byte_bpe, op5_pii, op6_source_mixing, op8_order_minhash, op10_language_id)}
 
 ORACLE_SQL: dict[str, str] = {}
