@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from annspark.llm import bpe, language, mixing, ordersketch, permutation, pii, toxicity
+from annspark.llm import bpe, bytespans, language, mixing, ordersketch, permutation, pii, toxicity, wordspans
 from annspark.llm.common import table
 
 
@@ -16,6 +16,10 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.grade(docs, model)
 
 
+def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bytespans.remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op3_permutation_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return permutation.nearest(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), F.col("vec_id") % 20 == 0, k=20)
 
@@ -37,6 +41,10 @@ def op8_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ordersketch.neighbours(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op9_superkmer_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wordspans.remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     model = language.train(docs.where(~language.held_out(F.col("doc_id"))))
@@ -44,6 +52,6 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", language.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity, op3_permutation_index, op4_byte_bpe, op5_pii, op6_source_mixing, op8_order_minhash, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_suffix_dedup, op3_permutation_index, op4_byte_bpe, op5_pii, op6_source_mixing, op8_order_minhash, op9_superkmer_dedup, op10_language_id)}
 
 ORACLE_SQL: dict[str, str] = {}
