@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from annspark.llm import bpe, bytespans, language, mixing, ordersketch, permutation, pii, toxicity, wordspans
+from annspark.llm import bpe, bytespans, jaccard, language, mixing, ordersketch, permutation, pii, toxicity, wordspans
 from annspark.llm.common import table
 
 
@@ -37,6 +37,10 @@ def op6_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op7_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.join(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op8_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ordersketch.neighbours(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -52,6 +56,6 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", language.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity, op2_suffix_dedup, op3_permutation_index, op4_byte_bpe, op5_pii, op6_source_mixing, op8_order_minhash, op9_superkmer_dedup, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_suffix_dedup, op3_permutation_index, op4_byte_bpe, op5_pii, op6_source_mixing, op7_ngram_jaccard, op8_order_minhash, op9_superkmer_dedup, op10_language_id)}
 
 ORACLE_SQL: dict[str, str] = {}
