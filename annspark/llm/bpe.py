@@ -24,6 +24,7 @@ from collections.abc import Iterable, Iterator
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
+from pyspark.sql.types import ArrayType, IntegerType
 
 from annspark.llm.common import texts
 
@@ -173,7 +174,7 @@ def encode(docs: DataFrame, path: str, pattern: str, carry: tuple[str, ...] = ("
     n = len(carry)
     schema = docs.select(*carry).schema.add("n_tokens", "long").add("ids_sha256", "string").add("decoded_sha256", "string")
     if ids:
-        schema = schema.add("ids", "array<int>")
+        schema = schema.add("ids", ArrayType(IntegerType()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = codec_for(path, pattern)

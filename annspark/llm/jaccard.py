@@ -25,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from annspark.llm.common import cut
@@ -273,9 +273,13 @@ def links(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL,
     return sets.repartition("h").sortWithinPartitions("h", "place").mapInArrow(_verify(threshold), "a1 long, a2 long, b1 long, b2 long, jaccard double")
 
 
+def _edges(docs: DataFrame, threshold: float, **options) -> DataFrame:
+    return cut(links(docs, threshold, **options).select(F.struct(F.col("a1").alias("t1"), F.col("a2").alias("t2")).alias("u"), F.struct(F.col("b1").alias("t1"), F.col("b2").alias("t2")).alias("v")))
+
+
 def join(docs: DataFrame, threshold: float = THRESHOLD, **options) -> DataFrame:
     """(doc_id, class_id, n_links) for each row of (doc_id, text): the least doc_id of its class, and how many other rows it links to."""
-    edges = cut(links(docs, threshold, **options).select(F.struct(F.col("a1").alias("t1"), F.col("a2").alias("t2")).alias("u"), F.struct(F.col("b1").alias("t1"), F.col("b2").alias("t2")).alias("v")))
+    edges = _edges(docs, threshold, **options)
     rows = keyed(docs.select("doc_id", "text")).select("doc_id", F.struct("t1", "t2").alias("u"), F.coalesce(F.rlike("text", F.lit(r"[^\x20\x09-\x0D]")), F.lit(False)).alias("worded"))
     texts = rows.groupBy("u").agg(F.count("*").alias("copies"), F.min("doc_id").alias("least"), F.max("worded").alias("worded"))
     both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -285,3 +289,17 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, **options) -> DataFrame:
     classes = placed.groupBy("root").agg(F.min("least").alias("class_id"))
     per_text = placed.join(classes, "root").join(away, "u", "left").select("u", "class_id", (F.when(F.col("worded"), F.col("copies") - 1).otherwise(F.lit(0)) + F.coalesce("away", F.lit(0))).alias("n_links"))
     return rows.select("doc_id", "u").join(per_text, "u").select("doc_id", "class_id", "n_links")
+
+
+def one_of_each(docs: DataFrame, threshold: float = THRESHOLD, **options) -> DataFrame:
+    """docs with one row of each class: that of the least doc_id (null last), then of the least text key; all columns kept."""
+    rows = keyed(docs)
+    texts = rows.groupBy(F.struct("t1", "t2").alias("u")).agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("least"))
+    roots = components(_edges(docs, threshold, **options))
+    placed = texts.join(roots, "u", "left").withColumn("root", F.coalesce("root", "u"))
+    chosen = placed.groupBy("root").agg(F.min(F.struct("least", "u")).alias("c")).select(F.col("c.u.t1").alias("k1"), F.col("c.u.t2").alias("k2"), F.col("c.least.doc_id").alias("k_id"))
+    kept = rows.join(chosen, (F.col("t1") == F.col("k1")) & (F.col("t2") == F.col("k2")) & F.col("doc_id").eqNullSafe(F.col("k_id")), "left_semi")
+    # rows repeated as a whole, or but for their other columns, are one document
+    others = [c for c, kind in docs.dtypes if c not in ("doc_id", "text") and not kind.startswith(("map", "variant"))]
+    w = Window.partitionBy("t1", "t2", "doc_id").orderBy(*(others or ["doc_id"]))
+    return kept.withColumn("_n", F.row_number().over(w)).where("_n = 1").select(*docs.columns)

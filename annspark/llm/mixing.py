@@ -18,9 +18,12 @@ from __future__ import annotations
 
 import heapq
 import math
+import re
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -107,7 +110,7 @@ def mix(docs: DataFrame, seed: str = "mix-1", block: int = 32, shard_docs: int =
     """
     spark = docs.sparkSession
     order = salted(F.col("doc_id"), salt=seed)
-    sized = docs.select("doc_id", "source", *carry, F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"), F.xxhash64("text").alias("_h"))
+    sized = docs.select("doc_id", "source", *(F.col(f"`{c}`").alias(f"_c{i}") for i, c in enumerate(carry)), F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"), F.xxhash64("text").alias("_h"))
     if not carry:
         sized = cut(sized)  # small rows, read three times below
     per_source = sized.groupBy("source").agg(F.sum("size").alias("size"), F.count("*").alias("n"))
@@ -128,4 +131,37 @@ def mix(docs: DataFrame, seed: str = "mix-1", block: int = 32, shard_docs: int =
     rounds = F.expr("CASE WHEN cell_size > 0 THEN quota DIV cell_size ELSE 0L END")
     rest = F.expr("CASE WHEN cell_size > 0 THEN quota % cell_size ELSE 0L END")
     taken = rounds * F.col("size") + F.greatest(F.lit(0), F.least(F.col("size"), rest - F.col("before")))
-    return joined.select("doc_id", "source", *carry, "size", "source_size", "target", taken.cast("long").alias("taken"))
+    return joined.select("doc_id", "source", *(F.col(f"_c{i}").alias(c) for i, c in enumerate(carry)), "size", "source_size", "target", taken.cast("long").alias("taken"))
+
+
+_WORD = re.compile(WORD)
+
+
+def first_words(text: str, n: int) -> str:
+    """The text up to the end of its n-th word."""
+    if n <= 0:
+        return ""
+    for k, m in enumerate(_WORD.finditer(text), 1):
+        if k == n:
+            return text[: m.end()]
+    return text
+
+
+def take(docs: DataFrame, **options) -> DataFrame:
+    """The mix itself, in the columns of docs: a document stands once for each whole time it is taken, and once more, cut
+    behind its last taken word, for the rest. Documents of which no word is taken are left out; n_chars, where there is
+    such a column, follows the text."""
+    names = docs.columns
+    rest = [c for c in names if c not in ("doc_id", "source")]
+    mixed = mix(docs, carry=tuple(rest), **options).where("taken > 0")
+    each = mixed.withColumn("_part", F.explode(F.expr("sequence(0L, (taken - 1) DIV size)"))).withColumn("_words", F.expr("least(size, taken - _part * size)"))
+    schema, at = docs.schema, names.index("text")
+
+    def cut_text(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            words, size = b.column(len(names)).to_pylist(), b.column(len(names) + 1).to_pylist()
+            new = pa.array([first_words(t, w) if w < z else t for t, w, z in zip(b.column(at).to_pylist(), words, size, strict=True)], b.schema.field(at).type)
+            yield pa.RecordBatch.from_arrays([new if i == at else b.column(i) for i in range(len(names))], names=names)
+
+    out = each.select(*names, "_words", "size").mapInArrow(cut_text, schema)
+    return out.withColumn("n_chars", F.length("text").cast(schema["n_chars"].dataType)) if "n_chars" in names else out

@@ -22,6 +22,7 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from annspark.llm.common import texts
 
@@ -260,7 +261,7 @@ def mask(t: str) -> str:
 
 
 def redact(docs: DataFrame) -> DataFrame:
-    """docs with every identifier in ``text`` masked; all columns kept, a null text stays null."""
+    """docs with every identifier in ``text`` masked; all columns kept, a null text stays null, n_chars follows the text."""
     schema, at = docs.schema, docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -268,4 +269,7 @@ def redact(docs: DataFrame) -> DataFrame:
             new = pa.array([None if t is None else mask(t) for t in b.column(at).to_pylist()], b.schema.field(at).type)
             yield pa.RecordBatch.from_arrays([new if i == at else c for i, c in enumerate(b.columns)], schema=b.schema)
 
-    return docs.mapInArrow(run, schema)
+    out = docs.mapInArrow(run, schema)
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.length("text").cast(schema["n_chars"].dataType))
+    return out

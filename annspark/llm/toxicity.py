@@ -20,7 +20,6 @@ from __future__ import annotations
 
 import math
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -54,31 +53,27 @@ class Severity:
 
 def fit(rows: list[tuple[str, int]], grades: int = GRADES, limit: int = FEATURES, rounds: int = 400, l2: float = 1e-5) -> Severity:
     """rows: (text, toxic 0/1), in a fixed order."""
-    bags = [features(t) for t, _ in rows]
+    number: dict[str, int] = {}
+    bags = [np.sort(np.fromiter((number.setdefault(f, len(number)) for f in sorted(features(t))), np.int32)) for t, _ in rows]
+    names = list(number)
     toxic = np.array([y for _, y in rows], bool)
     n1, n0 = int(toxic.sum()), int((~toxic).sum())
     if not n1 or not n0:
         return Severity()
-    yes, no = Counter(), Counter()
-    for bag, y in zip(bags, toxic, strict=True):
-        (yes if y else no).update(bag)
-    odds = {f: math.log((yes[f] + 0.1) / (n1 + 0.2)) - math.log((no[f] + 0.1) / (n0 + 0.2)) for f in set(yes) | set(no) if yes[f] + no[f] >= 3}
-    z = {}
-    for f in odds:
-        share = (yes[f] + no[f] + 0.5) / (n1 + n0 + 1)
-        z[f] = (yes[f] / n1 - no[f] / n0) / math.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
-    kept = sorted((f for f in z if abs(z[f]) >= APART), key=lambda f: (-abs(z[f]), f))[:limit]
-    place = {f: i for i, f in enumerate(kept)}
-    telling = {f for f in kept if z[f] >= 2 and odds[f] >= 2}
-    rate = np.array([sum(f in telling for f in bag) for bag in bags], float)
+    yes, no = (np.bincount(np.concatenate([b for b, y in zip(bags, toxic, strict=True) if y == side]), minlength=len(names)) for side in (True, False))
+    odds = np.log((yes + 0.1) / (n1 + 0.2)) - np.log((no + 0.1) / (n0 + 0.2))
+    share = (yes + no + 0.5) / (n1 + n0 + 1)
+    z = (yes / n1 - no / n0) / np.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
+    apart = np.flatnonzero((np.abs(z) >= APART) & (yes + no >= 3)).tolist()
+    kept = sorted(apart, key=lambda f: (-abs(z[f]), names[f]))[:limit]
+    place = np.full(len(names) + 1, -1)
+    place[kept] = np.arange(len(kept))
+    bags = [p[p >= 0] for p in (place[b] for b in bags)]
+    telling = np.array([z[f] > 0 and odds[f] >= 2 for f in kept], bool)
+    rate = np.array([telling[b].sum() for b in bags], float)
     edges = np.quantile(rate[toxic], [i / grades for i in range(1, grades)])
     grade = np.where(toxic, 1 + (rate[:, None] > edges).sum(axis=1), 0)
-    at, row = [], []
-    for i, bag in enumerate(bags):
-        got = sorted(place[f] for f in bag if f in place)
-        at += got
-        row += [i] * len(got)
-    col, own = np.array(at, np.int64), np.array(row, np.int64)
+    col, own = np.concatenate(bags).astype(np.int64), np.repeat(np.arange(len(bags)), [len(b) for b in bags])
     w, m, v = np.zeros(len(kept)), np.zeros(len(kept)), np.zeros(len(kept))
     # cuts as a first one and log gaps, so that they stay in order
     c, cm, cv = np.array([2.0, *([0.0] * (grades - 1))]), np.zeros(grades), np.zeros(grades)
@@ -104,7 +99,7 @@ def fit(rows: list[tuple[str, int]], grades: int = GRADES, limit: int = FEATURES
             b += 0.01 * (g * g - b)
             x -= 0.1 * (a / (1 - 0.9**step)) / (np.sqrt(b / (1 - 0.99**step)) + 1e-8)
     cuts = c[0] + np.concatenate(([0.0], np.cumsum(np.exp(c[1:]))))
-    return Severity({f: round(float(w[i]), 6) for f, i in place.items()}, [round(float(x), 6) for x in cuts])
+    return Severity({names[f]: round(float(w[i]), 6) for i, f in enumerate(kept)}, [round(float(x), 6) for x in cuts])
 
 
 def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, seed: str = "toxic-1") -> Severity:
@@ -143,3 +138,9 @@ def grade(docs: DataFrame, model: Severity, keep: tuple[str, ...] = ("doc_id",))
 
     cols = [*keep] + ([] if "text" in keep else ["text"])
     return docs.select(*cols).mapInArrow(run, schema)
+
+
+def keep_clean(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
+    """The rows of docs that are not toxic, with all their columns."""
+    marked = grade(docs, train(docs, labels, **options), keep=tuple(docs.columns))
+    return marked.where(~F.col("toxic")).select(*docs.columns)

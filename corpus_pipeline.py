@@ -1,11 +1,60 @@
-"""Corpus cleaning pipeline; its stages follow."""
+"""Corpus preparation in five stages, each an operator of annspark.llm.
+
+Each stage gets all rows that the stage before it kept and returns the columns of ``documents``; the last returns token ids.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
-ORACLE_SQL = None
+from collections.abc import Callable
+
+import public_tokenizers
+from pyspark.sql import DataFrame, SparkSession
+
+from annspark.llm import bpe, jaccard, mixing, pii, toxicity
+from annspark.llm.common import cut
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the severity model rejects go."""
+    return toxicity.keep_clean(docs, spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "toxic"))
+
+
+def one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of similar documents stays."""
+    return jaccard.one_of_each(docs)
+
+
+def mask_identifiers(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data, plain or disguised, is replaced by its kind."""
+    return pii.redact(docs)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Sources come to their target weights; documents are repeated, cut or left out as the mix takes them."""
+    return mixing.take(docs)
+
+
+def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of every document of the mix, and hashes of the ids and of the decoded bytes."""
+    path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
+    return bpe.encode(docs, path, public_tokenizers.PATTERN, carry=("doc_id", "lang", "source"))
+
+
+STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+    ("toxicity", drop_toxic),
+    ("ngram_jaccard", one_of_near_copies),
+    ("pii", mask_identifiers),
+    ("mixing", mix_sources),
+    ("byte_bpe", tokenize),
+]
+
+#: The severity model, the candidate search and the merge replay are beyond SQL; tests/llm compares with brute force.
+ORACLE_SQL: str | None = None
 
 
-def run(spark, sf_dir):
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for i, (_, stage) in enumerate(STAGES):
+        # stages read their input more than once, so what one hands to the next is cut off by a checkpoint
+        docs = stage(spark, cut(docs) if i else docs, sf_dir)
     return docs
