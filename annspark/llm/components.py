@@ -28,7 +28,7 @@ def _small(e: DataFrame) -> DataFrame:
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """(u, root) for every node of the edges (u, v) of any orderable type that is not the least of its component."""
+    """(u, root) for every node of the edges (u, v, ...) of any orderable type that is not the least of its component."""
     e = cut(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
     seen = None
     while True:

@@ -9,8 +9,8 @@ Plan: copies are reduced to distinct texts first (128-bit keys), with their numb
 those of one text alone are dropped. What is left goes to its bucket with the 16-bit signature, where members meet in
 blocks of a matrix comparison: a pair is a candidate in the first band that it shares and if its
 signatures agree as they would at the threshold, less 4.5 standard deviations. Members that have candidates come once more
-with their full n-gram sets, and each candidate is decided on these. Only true links leave the kernels, so
-no group writes out its pairs. Buckets of more than ``CROWD`` texts are dealt in pairs of blocks to many tasks.
+with their full n-gram sets, and each candidate is decided on these. What leaves the kernels for ``join`` is one
+row for each member and bucket, so no group writes out its pairs. Buckets of more than ``CROWD`` texts are dealt in pairs of blocks to many tasks.
 
 Classes are connected components of the links.
 
@@ -203,32 +203,42 @@ def _candidates(bands: int, rows: int, threshold: float):
 
 
 def _with_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(h, t1, t2, place, partners, grams) for the buckets that a text has candidates in."""
+    """(h, t1, t2, copies, place, partners, grams) for the buckets that a text has candidates in."""
     for b in batches:
-        t1, t2 = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2"))
-        out: tuple[list, ...] = ([], [], [], [], [], [])
+        t1, t2, copies = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2", "copies"))
+        out: tuple[list, ...] = ([], [], [], [], [], [], [])
         for i, (text, asks) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("asks")).to_pylist(), strict=True)):
             g = ngrams(text).tobytes()
             for x in asks:
-                for c, v in zip(out, (x["h"], t1[i], t2[i], x["place"], x["partners"], g), strict=True):
+                for c, v in zip(out, (x["h"], t1[i], t2[i], copies[i], x["place"], x["partners"], g), strict=True):
                     c.append(v)
             if len(out[0]) > 2_000:
                 yield _sets_batch(out)
-                out = ([], [], [], [], [], [])
+                out = ([], [], [], [], [], [], [])
         if out[0]:
             yield _sets_batch(out)
 
 
 def _sets_batch(out) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in out[:3]), pa.array(out[3], pa.int32()), pa.array(out[4], pa.list_(pa.int32())), pa.array(out[5], pa.binary())], names=["h", "t1", "t2", "place", "partners", "grams"])
+    return pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in out[:4]), pa.array(out[4], pa.int32()), pa.array(out[5], pa.list_(pa.int32())), pa.array(out[6], pa.binary())], names=["h", "t1", "t2", "copies", "place", "partners", "grams"])
 
 
-def _verify(threshold: float):
+def _verify(threshold: float, pairs: bool):
+    """Each candidate decided on the full sets. pairs: every link is written, (a1, a2, b1, b2, jaccard); else one row a member and bucket,
+    (t1, t2, r1, r2, away): the least place that its links in this bucket connect it with, and the copies that they reach."""
+
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in whole_groups(batches):
-            h, t1, t2, place = (t.column(c).to_numpy() for c in ("h", "t1", "t2", "place"))
+            h, t1, t2, place, copies = (t.column(c).to_numpy() for c in ("h", "t1", "t2", "place", "copies"))
             partners, raw = t.column("partners").to_pylist(), t.column("grams").to_pylist()
             out: tuple[list, ...] = ([], [], [], [], [])
+            away, up = np.zeros(len(h), np.int64), list(range(len(h)))
+
+            def root(x: int, up=up) -> int:
+                while up[x] != x:
+                    up[x] = x = up[up[x]]
+                return x
+
             for lo, hi in _groups(h):
                 at = {int(place[k]): k for k in range(lo, hi)}
                 sets = {k: np.frombuffer(raw[k], np.uint64) for k in range(lo, hi)}
@@ -242,9 +252,19 @@ def _verify(threshold: float):
                         pos = np.searchsorted(c, a)
                         both = int((c[np.minimum(pos, len(c) - 1)] == a).sum())
                         j = both / (len(a) + len(c) - both)
-                        if j >= threshold:
+                        if j < threshold:
+                            continue
+                        if pairs:
                             for col, v in zip(out, (t1[k], t2[k], t1[q], t2[q], j), strict=True):
                                 col.append(v)
+                        else:
+                            away[k] += copies[q]
+                            away[q] += copies[k]
+                            x, y = root(k), root(q)
+                            up[max(x, y)] = min(x, y)
+            if not pairs and (own := np.flatnonzero(away)).size:
+                least = np.array([root(k) for k in own.tolist()])
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in (t1[own], t2[own], t1[least], t2[least], away[own])], names=["t1", "t2", "r1", "r2", "away"])
             if out[0]:
                 yield pa.RecordBatch.from_arrays([*(pa.array(np.array(c, np.int64)) for c in out[:4]), pa.array(np.array(out[4], np.float64))], names=["a1", "a2", "b1", "b2", "jaccard"])
 
@@ -257,8 +277,13 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.withColumn("t1", F.xxhash64(text)).withColumn("t2", F.xxhash64(text, F.lit(1)))
 
 
-def links(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL, hashes: int = HASHES, crowd: int = CROWD) -> DataFrame:
-    """(a1, a2, b1, b2, jaccard): each link between two different texts once, by their keys."""
+def links(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL, hashes: int = HASHES, crowd: int = CROWD, pairs: bool = True) -> DataFrame:
+    """(a1, a2, b1, b2, jaccard): each link between two different texts once, by their keys.
+
+    With ``pairs`` off, groups stay summed up: (t1, t2, r1, r2, away), a row for each text and bucket it has links in, as
+    many as there are memberships however dense a group is. A text's links are the sum of ``away``; the
+    edges to (r1, r2) connect what the links connect.
+    """
     bands, rows = bands_for(threshold, recall, hashes)
     distinct = keyed(docs.select(F.coalesce("text", F.lit("")).alias("text"))).groupBy("t1", "t2").agg(F.first("text").alias("text"), F.count("*").alias("copies"))
     texts = distinct.select("t1", "t2", "text", "copies")
@@ -269,23 +294,22 @@ def links(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL,
     # ordered so that blocks and their places are the same whenever a task is run again
     found = members.repartition("h").sortWithinPartitions("h", "t1", "t2").mapInArrow(_candidates(bands, rows, threshold), "h long, t1 long, t2 long, place int, partners array<int>")
     asks = found.groupBy("t1", "t2").agg(F.collect_list(F.struct("h", "place", "partners")).alias("asks"))
-    sets = texts.join(asks, ["t1", "t2"]).select("t1", "t2", "text", "copies", "asks").mapInArrow(_with_sets, "h long, t1 long, t2 long, place int, partners array<int>, grams binary")
-    return sets.repartition("h").sortWithinPartitions("h", "place").mapInArrow(_verify(threshold), "a1 long, a2 long, b1 long, b2 long, jaccard double")
+    sets = texts.join(asks, ["t1", "t2"]).select("t1", "t2", "text", "copies", "asks").mapInArrow(_with_sets, "h long, t1 long, t2 long, copies long, place int, partners array<int>, grams binary")
+    return sets.repartition("h").sortWithinPartitions("h", "place").mapInArrow(_verify(threshold, pairs), "a1 long, a2 long, b1 long, b2 long, jaccard double" if pairs else "t1 long, t2 long, r1 long, r2 long, away long")
 
 
-def _edges(docs: DataFrame, threshold: float, **options) -> DataFrame:
-    return cut(links(docs, threshold, **options).select(F.struct(F.col("a1").alias("t1"), F.col("a2").alias("t2")).alias("u"), F.struct(F.col("b1").alias("t1"), F.col("b2").alias("t2")).alias("v")))
+def _reached(docs: DataFrame, threshold: float, **options) -> DataFrame:
+    """(u, v, away): texts with links, a text that they are connected with, and how many rows their links reach."""
+    return cut(links(docs, threshold, pairs=False, **options).select(F.struct("t1", "t2").alias("u"), F.struct(F.col("r1").alias("t1"), F.col("r2").alias("t2")).alias("v"), "away"))
 
 
 def join(docs: DataFrame, threshold: float = THRESHOLD, **options) -> DataFrame:
     """(doc_id, class_id, n_links) for each row of (doc_id, text): the least doc_id of its class, and how many other rows it links to."""
-    edges = _edges(docs, threshold, **options)
+    reached = _reached(docs, threshold, **options)
     rows = keyed(docs.select("doc_id", "text")).select("doc_id", F.struct("t1", "t2").alias("u"), F.coalesce(F.rlike("text", F.lit(r"[^\x20\x09-\x0D]")), F.lit(False)).alias("worded"))
     texts = rows.groupBy("u").agg(F.count("*").alias("copies"), F.min("doc_id").alias("least"), F.max("worded").alias("worded"))
-    both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    copies = texts.select(F.col("u").alias("v"), "copies")
-    away = both.join(copies, "v").groupBy("u").agg(F.sum("copies").alias("away"))
-    placed = texts.join(components(edges), "u", "left").withColumn("root", F.coalesce("root", "u"))
+    away = reached.groupBy("u").agg(F.sum("away").alias("away"))
+    placed = texts.join(components(reached), "u", "left").withColumn("root", F.coalesce("root", "u"))
     classes = placed.groupBy("root").agg(F.min("least").alias("class_id"))
     per_text = placed.join(classes, "root").join(away, "u", "left").select("u", "class_id", (F.when(F.col("worded"), F.col("copies") - 1).otherwise(F.lit(0)) + F.coalesce("away", F.lit(0))).alias("n_links"))
     return rows.select("doc_id", "u").join(per_text, "u").select("doc_id", "class_id", "n_links")
@@ -295,7 +319,7 @@ def one_of_each(docs: DataFrame, threshold: float = THRESHOLD, **options) -> Dat
     """docs with one row of each class: that of the least doc_id (null last), then of the least text key; all columns kept."""
     rows = keyed(docs)
     texts = rows.groupBy(F.struct("t1", "t2").alias("u")).agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("least"))
-    roots = components(_edges(docs, threshold, **options))
+    roots = components(_reached(docs, threshold, **options))
     placed = texts.join(roots, "u", "left").withColumn("root", F.coalesce("root", "u"))
     chosen = placed.groupBy("root").agg(F.min(F.struct("least", "u")).alias("c")).select(F.col("c.u.t1").alias("k1"), F.col("c.u.t2").alias("k2"), F.col("c.least.doc_id").alias("k_id"))
     kept = rows.join(chosen, (F.col("t1") == F.col("k1")) & (F.col("t2") == F.col("k2")) & F.col("doc_id").eqNullSafe(F.col("k_id")), "left_semi")
