@@ -164,7 +164,7 @@ def radius_search(spark, sf_dir):
 @query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
 def interval_join(spark, sf_dir):
     """Equal users within an hour: the band is cut in hour buckets, each left row looks in its own and the next."""
-    e = t(spark, sf_dir, "events").select("event_id", "user_id", "ts", F.floor(F.unix_micros("ts") / 3_600_000_000).alias("h"))
+    e = t(spark, sf_dir, "events").select("event_id", "user_id", "ts", F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 3_600_000_000).alias("h"))
     a = e.select(F.col("event_id").alias("a"), "user_id", F.col("ts").alias("ta"), F.explode(F.array("h", F.col("h") + 1)).alias("h"))
     b = e.select(F.col("event_id").alias("b"), "user_id", F.col("ts").alias("tb"), "h")
     return a.join(b, ["user_id", "h"]).where((F.col("tb") > F.col("ta")) & (F.col("tb") <= F.col("ta") + F.expr("INTERVAL 1 HOUR"))).select("a", "b")
@@ -237,7 +237,7 @@ def gsets_documents(spark, sf_dir):
 @query("SELECT event_type, count(*) FILTER (dayofweek(ts) IN (0, 6)) AS weekend, count(*) FILTER (dayofweek(ts) NOT IN (0, 6)) AS weekday FROM events GROUP BY 1")
 def pivot_events(spark, sf_dir):
     kind = F.when(F.dayofweek("ts").isin(1, 7), "weekend").otherwise("weekday")
-    return t(spark, sf_dir, "events").withColumn("kind", kind).groupBy("event_type").pivot("kind", ["weekend", "weekday"]).agg(F.count("*")).na.fill(0)
+    return t(spark, sf_dir, "events").withColumn("kind", kind).groupBy("event_type").pivot("kind", ["weekend", "weekday"]).agg(F.count("kind")).na.fill(0)
 
 
 # ------------------------------------------------------------------ windows, order, sets
@@ -258,7 +258,7 @@ def win_neighbours(spark, sf_dir):
 @query("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS n3, count(*) OVER (PARTITION BY user_id ORDER BY epoch(date_trunc('second', ts))::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS day FROM events")
 def win_frames(spark, sf_dir):
     rows = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-2, 0)
-    day = Window.partitionBy("user_id").orderBy(F.unix_seconds("ts")).rangeBetween(-86_400, 0)
+    day = Window.partitionBy("user_id").orderBy(F.unix_seconds(F.col("ts").cast("timestamp"))).rangeBetween(-86_400, 0)
     return t(spark, sf_dir, "events").select("event_id", F.count("*").over(rows).alias("n3"), F.count("*").over(day).alias("day"))
 
 
