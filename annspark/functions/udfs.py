@@ -1,22 +1,23 @@
-"""User functions over the index: an Arrow UDF that encodes, a table function that probes."""
+"""User functions over the index: a vectorised UDF that encodes, a table function that probes."""
 
 from __future__ import annotations
 
 import numpy as np
-import pyarrow as pa
+import pandas as pd
 from pyspark.sql import functions as F
-from pyspark.sql.functions import arrow_udf
-
-from annspark.functions.vectors import matrix
 
 
 def encoder(index):
-    """An Arrow UDF from a unit vector to its codes as ARRAY<INT>."""
+    """A vectorised UDF from a raw vector to its codes as ARRAY<INT>; it normalises by itself.
+
+    Spark does not extract Python functions whose argument holds a lambda, so give it a plain column.
+    """
 
-    @arrow_udf("array<int>")
-    def encode(v: pa.Array) -> pa.Array:
-        _, _, code, _, _ = index.quantize(matrix(v))
-        return pa.array(code.astype(np.int32).tolist(), pa.list_(pa.int32()))
+    @F.pandas_udf("array<int>")
+    def encode(v: pd.Series) -> pd.Series:
+        x = np.stack(v.to_numpy()).astype(np.float64) if len(v) else np.zeros((0, index.d))
+        _, _, code, _, _ = index.quantize(x / np.sqrt((x * x).sum(axis=1, keepdims=True)))
+        return pd.Series(list(code.astype(np.int32)))
 
     return encode
 

@@ -68,9 +68,9 @@ def stream_ingest(spark, sf_dir):
 
 
 def udf_encode(spark, sf_dir):
-    base, _ = core._e(spark, sf_dir)
     encode = udfs.encoder(cfi.Index(core.D, core.BITS, None, "sign", core.SEED))
-    return base.select(F.col("id").alias("vec_id"), encode("v").alias("code")).select("vec_id", core._csv(F.col("code")).alias("code_csv"))
+    coded = ds.table(spark, sf_dir, "embeddings").where("vec_id % 10 <> 0").select("vec_id", encode(F.col("embedding").cast("array<double>")).alias("code"))
+    return coded.select("vec_id", F.concat_ws(",", F.col("code").cast("array<string>")).alias("code_csv"))
 
 
 def udtf_probe(spark, sf_dir):
