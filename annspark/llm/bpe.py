@@ -21,6 +21,7 @@ import hashlib
 import heapq
 from collections.abc import Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -28,7 +29,9 @@ from pyspark.sql.types import ArrayType, IntegerType
 
 from annspark.llm.common import texts
 
-KEEP = 8_000_000
+KEEP = 1_000_000
+#: Pieces of one replay: as many as the processor's caches hold.
+SPAN = 1_000
 
 
 @functools.lru_cache(maxsize=4)
@@ -48,42 +51,37 @@ class Codec:
         self.decimal = [str(i) for i in range(len(self.token))]
         self.solved: dict[str, tuple[int, ...]] = {}
         self.size = 0
-        self.pairs: dict[tuple[int, int], int] = {}
         self.byte = [ranks[bytes([i])] for i in range(256)]
-
-    def pair_rank(self, a: int, b: int) -> int:
-        """The rank of the merged pair, or -1."""
-        got = self.pairs.get((a, b))
-        if got is None:
-            if len(self.pairs) > 2_000_000:
-                self.pairs.clear()
-            got = self.pairs[a, b] = self.ranks.get(self.token[a] + self.token[b], -1)
-        return got
+        # every pair of tokens that merges, as left << 32 | right -> merged: all splits of all tokens
+        self.merges: dict[int, int] = {}
+        for t, r in ranks.items():
+            for i in range(1, len(t)):
+                if (a := ranks.get(t[:i])) is not None and (b := ranks.get(t[i:])) is not None:
+                    self.merges[a << 32 | b] = r
 
     def replay(self, pieces: list[bytes]) -> list[tuple[int, ...]]:
         """Token ids of each piece."""
-        ids: list[int] = []
-        ends: list[int] = []
-        for p in pieces:
-            ids.extend(map(self.byte.__getitem__, p))
-            ends.append(len(ids))
-        n = len(ids)
+        ids = list(map(self.byte.__getitem__, b"".join(pieces)))
+        n, merged = len(ids), self.merges.get
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        start = 0
-        for e in ends:
-            if e > start:
-                before[start] = -1
-                after[e - 1] = n
-            start = e
-        rank = self.pair_rank
+        starts, at = [], 0
+        for p in pieces:
+            starts.append(at)
+            at += len(p)
+            if p:
+                before[starts[-1]] = -1
+                after[at - 1] = n
         index: dict[int, list[int]] = {}  # merged token -> places of its left part
         for i in range(n):
             j = after[i]
-            if j < n and (r := rank(ids[i], ids[j])) >= 0:
-                index.setdefault(r, []).append(i)
+            if j < n and (r := merged(ids[i] << 32 | ids[j])) is not None:
+                if r in index:
+                    index[r].append(i)
+                else:
+                    index[r] = [i]
         queue = list(index)
         heapq.heapify(queue)
-        token, dead = self.token, -1
+        dead = -1
         while queue:
             r = heapq.heappop(queue)
             places = index.pop(r, None)
@@ -92,37 +90,41 @@ class Codec:
             places.sort()
             for k, i in enumerate(places):
                 a = ids[i]
-                if a == dead or (j := after[i]) >= n or len(token[a]) + len(token[ids[j]]) != len(token[r]) or rank(a, ids[j]) != r:
+                # the place may have been merged away, or its pair changed, since it was filed
+                if a == dead or (j := after[i]) >= n or merged(a << 32 | ids[j]) != r:
                     continue
                 ids[i], ids[j] = r, dead
                 h = after[i] = after[j]
                 low = r
                 if h < n:
                     before[h] = i
-                    if (s := rank(r, ids[h])) >= 0:
-                        if s not in index:
-                            index[s] = []
+                    if (s := merged(r << 32 | ids[h])) is not None:
+                        if s in index:
+                            index[s].append(i)
+                        else:
+                            index[s] = [i]
                             heapq.heappush(queue, s)
-                        index[s].append(i)
-                        low = min(low, s)
-                if (g := before[i]) >= 0 and (s := rank(ids[g], r)) >= 0:
-                    if s not in index:
-                        index[s] = []
+                        if s < low:
+                            low = s
+                if (g := before[i]) >= 0 and (s := merged(ids[g] << 32 | r)) is not None:
+                    if s in index:
+                        index[s].append(g)
+                    else:
+                        index[s] = [g]
                         heapq.heappush(queue, s)
-                    index[s].append(g)
-                    low = min(low, s)
+                    if s < low:
+                        low = s
                 if low < r and k + 1 < len(places):
                     index.setdefault(r, []).extend(places[k + 1 :])
                     heapq.heappush(queue, r)
                     break
-        out, start = [], 0
-        for e in ends:
-            got, i = [], start
-            while i < e:
+        out = []
+        for start, p in zip(starts, pieces, strict=True):
+            got, i = [], start if p else n
+            while i < n:
                 got.append(ids[i])
                 i = after[i]
             out.append(tuple(got))
-            start = e
         return out
 
     def encode_block(self, block: Iterable[str]) -> Iterator[list[int]]:
@@ -132,8 +134,8 @@ class Codec:
             self.solved.clear()
             self.size = 0
         new = list(set().union(*cut).difference(self.solved))
-        for at in range(0, len(new), 50_000):
-            some = new[at : at + 50_000]
+        for at in range(0, len(new), SPAN):
+            some = new[at : at + SPAN]
             self.solved.update(zip(some, self.replay([p.encode("utf-8") for p in some]), strict=True))
         self.size += sum(map(len, new))
         solved = self.solved
@@ -153,7 +155,7 @@ def codec_for(path: str, pattern: str) -> Codec:
     return Codec(read_ranks(path), pattern)
 
 
-def blocks(values: list[str], chars: int = 4_000_000) -> Iterator[list[str]]:
+def blocks(values: list[str], chars: int = 2_000_000) -> Iterator[list[str]]:
     """Cuts of a batch, so that one block of pieces stays small whatever the texts' lengths."""
     some, size = [], 0
     for v in values:
@@ -179,15 +181,20 @@ def encode(docs: DataFrame, path: str, pattern: str, carry: tuple[str, ...] = ("
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = codec_for(path, pattern)
         for b in batches:
-            count, sha, back, kept = [], [], [], []
-            for block in blocks(texts(b)):
+            at = 0
+            for block in blocks(texts(b)):  # a batch out for a block in, so that ids of one block alone are held
+                count, sha, back, kept = [], [], [], []
                 for got in codec.encode_block(block):
                     count.append(len(got))
                     sha.append(hashlib.sha256(",".join(map(codec.decimal.__getitem__, got)).encode()).hexdigest())
                     back.append(hashlib.sha256(codec.decode(got)).hexdigest())
                     if ids:
-                        kept.append(got)
-            cols = [*(b.column(i) for i in range(n)), pa.array(count, pa.int64()), pa.array(sha, pa.string()), pa.array(back, pa.string())]
-            yield pa.RecordBatch.from_arrays(cols + ([pa.array(kept, pa.list_(pa.int32()))] if ids else []), names=schema.names)
+                        kept.append(np.array(got, np.int32))
+                cols = [*(b.column(i).slice(at, len(block)) for i in range(n)), pa.array(count, pa.int64()), pa.array(sha, pa.string()), pa.array(back, pa.string())]
+                if ids:
+                    ends = np.concatenate(([0], np.cumsum(count))).astype(np.int32)
+                    cols.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(kept))))
+                yield pa.RecordBatch.from_arrays(cols, names=schema.names)
+                at += len(block)
 
     return docs.select(*carry, "text").mapInArrow(run, schema)
