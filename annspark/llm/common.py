@@ -39,3 +39,14 @@ def texts(batch: pa.RecordBatch, name: str = "text") -> list[str]:
 def salted(*cols: Column, salt: str) -> Column:
     """A seeded 64-bit hash; nulls hash like any other value."""
     return F.xxhash64(F.lit(salt), *cols)
+
+
+def shielded(docs: DataFrame, own: tuple[str, ...]) -> tuple[DataFrame, list[str]]:
+    """docs with every column but ``own`` renamed by its place, so that no name that an operator uses can clash; and the names to restore, in order."""
+    names = [c if c in own else f"_extra_{i}" for i, c in enumerate(docs.columns)]
+    return docs.toDF(*names), names
+
+
+def restored(df: DataFrame, names: list[str], originals: list[str]) -> DataFrame:
+    """The columns ``names`` of df under their original names."""
+    return df.select(*names).toDF(*originals)

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from annspark.llm.common import cut
+from annspark.llm.common import cut, restored, shielded
 from annspark.llm.components import components
 from annspark.llm.repeats import _bytes, mixed, of_ranges, prefix
 from annspark.llm.wordspans import Words
@@ -317,13 +317,14 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, **options) -> DataFrame:
 
 def one_of_each(docs: DataFrame, threshold: float = THRESHOLD, **options) -> DataFrame:
     """docs with one row of each class: that of the least doc_id (null last), then of the least text key; all columns kept."""
-    rows = keyed(docs)
+    safe, names = shielded(docs, ("doc_id", "text"))
+    rows = keyed(safe)
     texts = rows.groupBy(F.struct("t1", "t2").alias("u")).agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("least"))
-    roots = components(_reached(docs, threshold, **options))
+    roots = components(_reached(safe, threshold, **options))
     placed = texts.join(roots, "u", "left").withColumn("root", F.coalesce("root", "u"))
     chosen = placed.groupBy("root").agg(F.min(F.struct("least", "u")).alias("c")).select(F.col("c.u.t1").alias("k1"), F.col("c.u.t2").alias("k2"), F.col("c.least.doc_id").alias("k_id"))
     kept = rows.join(chosen, (F.col("t1") == F.col("k1")) & (F.col("t2") == F.col("k2")) & F.col("doc_id").eqNullSafe(F.col("k_id")), "left_semi")
     # rows repeated as a whole, or but for their other columns, are one document
-    others = [c for c, kind in docs.dtypes if c not in ("doc_id", "text") and not kind.startswith(("map", "variant"))]
+    others = [c for c, kind in safe.dtypes if c not in ("doc_id", "text") and not kind.startswith(("map", "variant"))]
     w = Window.partitionBy("t1", "t2", "doc_id").orderBy(*(others or ["doc_id"]))
-    return kept.withColumn("_n", F.row_number().over(w)).where("_n = 1").select(*docs.columns)
+    return restored(kept.withColumn("_n", F.row_number().over(w)).where("_n = 1"), names, docs.columns)

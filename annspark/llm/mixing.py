@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from annspark.llm.common import WORD, cut, salted
+from annspark.llm.common import WORD, cut, restored, salted, shielded
 
 CYCLE = (5.0, 2.0, 1.0)
 
@@ -151,11 +151,11 @@ def take(docs: DataFrame, **options) -> DataFrame:
     """The mix itself, in the columns of docs: a document stands once for each whole time it is taken, and once more, cut
     behind its last taken word, for the rest. Documents of which no word is taken are left out; n_chars, where there is
     such a column, follows the text."""
-    names = docs.columns
-    rest = [c for c in names if c not in ("doc_id", "source")]
-    mixed = mix(docs, carry=tuple(rest), **options).where("taken > 0")
-    each = mixed.withColumn("_part", F.explode(F.expr("sequence(0L, (taken - 1) DIV size)"))).withColumn("_words", F.expr("least(size, taken - _part * size)"))
-    schema, at = docs.schema, names.index("text")
+    safe, names = shielded(docs, ("doc_id", "source", "text"))
+    rest = tuple(c for c in names if c not in ("doc_id", "source"))
+    taken = mix(safe, carry=rest, **options).where("taken > 0")
+    each = taken.withColumn("_part", F.explode(F.expr("sequence(0L, (taken - 1) DIV size)"))).withColumn("_words", F.expr("least(size, taken - _part * size)"))
+    schema, at = safe.schema, names.index("text")
 
     def cut_text(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -163,5 +163,5 @@ def take(docs: DataFrame, **options) -> DataFrame:
             new = pa.array([first_words(t, w) if w < z else t for t, w, z in zip(b.column(at).to_pylist(), words, size, strict=True)], b.schema.field(at).type)
             yield pa.RecordBatch.from_arrays([new if i == at else b.column(i) for i in range(len(names))], names=names)
 
-    out = each.select(*names, "_words", "size").mapInArrow(cut_text, schema)
-    return out.withColumn("n_chars", F.length("text").cast(schema["n_chars"].dataType)) if "n_chars" in names else out
+    out = restored(each.select(*names, "_words", "size").mapInArrow(cut_text, schema), names, docs.columns)
+    return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out

@@ -1,6 +1,7 @@
 """Approximate nearest neighbours by a permutation index.
 
-A vector is represented by its ``PREFIX`` nearest pivots, nearest first. The pivots are ``PIVOTS`` rows of the
+Largest inner product is made nearest neighbour by one more coordinate, which brings all rows to one length; on
+unit vectors it is 0. A vector is represented by its ``PREFIX`` nearest pivots, nearest first. The pivots are ``PIVOTS`` rows of the
 table with the smallest seeded hashes: a bounded sample, and the only fitted part. Vectors are dealt in blocks of
 about ``BLOCK`` rows; a block keeps, for each pivot, an inverted file of (vector, place of the pivot in its
 list). A query adds, for each of its own pivots, PREFIX - max(place, place) to the vectors of that file: what
@@ -43,9 +44,18 @@ def _matrix(col: pa.Array, d: int) -> np.ndarray:
     return flat.reshape(-1, d)
 
 
-def lists(x: np.ndarray, pivots: np.ndarray, prefix: int) -> np.ndarray:
-    """Nearest pivots of each row, by inner product of unit vectors, ties to the earlier pivot."""
-    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+def lifted(x: np.ndarray, reach: float) -> np.ndarray:
+    """Rows on a sphere of one dimension more, where the nearest to a (flat) query has the largest inner product with it."""
+    y = x / reach
+    return np.concatenate((y, np.sqrt(np.maximum(0.0, 1 - (y * y).sum(axis=1, keepdims=True)))), axis=1)
+
+
+def flat(q: np.ndarray) -> np.ndarray:
+    return np.concatenate((q / np.linalg.norm(q, axis=1, keepdims=True), np.zeros((len(q), 1))), axis=1)
+
+
+def lists(u: np.ndarray, pivots: np.ndarray, prefix: int) -> np.ndarray:
+    """Nearest pivots of each row of unit vectors, ties to the earlier pivot."""
     return np.argsort(-(u @ pivots.T), axis=1, kind="stable")[:, :prefix].astype(np.int32)
 
 
@@ -56,11 +66,11 @@ def _all(n: int) -> Column:
 class Block:
     """Inverted files of one block; rows sorted by id."""
 
-    def __init__(self, ids: np.ndarray, x: np.ndarray, pivots: np.ndarray, prefix: int):
+    def __init__(self, ids: np.ndarray, x: np.ndarray, pivots: np.ndarray, prefix: int, reach: float):
         order = np.argsort(ids, kind="stable")
         self.ids, self.x, self.pivots = ids[order], x[order], pivots
         self.prefix = min(prefix, len(pivots))
-        near = lists(self.x, pivots, self.prefix)
+        near = lists(lifted(self.x, reach), pivots, self.prefix)
         at = np.argsort(near, axis=None, kind="stable")
         row, place = np.divmod(at, self.prefix)
         ends = np.searchsorted(near.ravel()[at], np.arange(len(pivots) + 1))
@@ -68,7 +78,7 @@ class Block:
 
     def agreement(self, q: np.ndarray) -> np.ndarray:
         """rows x queries: the footrule's complement, larger is nearer."""
-        near = lists(q, self.pivots, self.prefix)
+        near = lists(flat(q), self.pivots, self.prefix)
         out = np.zeros((len(self.ids), len(q)), np.int32)
         places = np.arange(self.prefix)
         where = np.full((len(self.pivots), len(q)), -1)
@@ -101,15 +111,15 @@ def nearest(base: DataFrame, is_query: Column, k: int, pivots: int = PIVOTS, pre
     rows = base.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding", F.coalesce(is_query, F.lit(False)).alias("asks")).where(usable(F.col("embedding")) & F.col("vec_id").isNotNull())
     spark = base.sparkSession
     out = "query_id long, rank int, vec_id long, score double"
-    shape = rows.groupBy(F.size("embedding").alias("d")).agg(F.count("*").alias("n"), F.count_if("asks").alias("q")).orderBy(F.desc("n"), "d").limit(1).collect()
+    shape = rows.groupBy(F.size("embedding").alias("d")).agg(F.count("*").alias("n"), F.count_if("asks").alias("q"), F.max(F.aggregate("embedding", F.lit(0.0).cast("double"), lambda a, v: a + v.cast("double") * v)).alias("most")).orderBy(F.desc("n"), "d").limit(1).collect()
     if not shape or not shape[0].q:
         return spark.createDataFrame([], out)
-    d, n, n_asks = shape[0]
+    d, n, n_asks, most = shape[0]
+    reach = math.sqrt(most)
     rows = rows.where(F.size("embedding") == d)
     own = salted(F.col("vec_id"), salt=seed)
     got = rows.orderBy(own, "vec_id").limit(pivots).collect()  # the bounded sample
-    piv = np.array([r.embedding for r in got], np.float64)
-    piv /= np.linalg.norm(piv, axis=1, keepdims=True)
+    piv = lifted(np.array([r.embedding for r in got], np.float64), reach)
     n_blocks, n_chunks = max(1, math.ceil(n / block)), max(1, math.ceil(n_asks / chunk))
     deal = salted(F.col("vec_id"), salt=seed + "/deal")
     held = rows.select(F.pmod(deal, F.lit(n_blocks)).alias("b"), _all(n_chunks).alias("c"), F.lit(False).alias("asks"), "vec_id", "embedding")
@@ -120,7 +130,7 @@ def nearest(base: DataFrame, is_query: Column, k: int, pivots: int = PIVOTS, pre
         asks = t.column("asks").to_numpy(zero_copy_only=False).astype(bool)
         ids = t.column("vec_id").to_numpy()
         x = _matrix(t.column("embedding").combine_chunks() if isinstance(t.column("embedding"), pa.ChunkedArray) else t.column("embedding"), d)
-        found = list(Block(ids[~asks], x[~asks], piv, prefix).search(ids[asks], x[asks], k, share, least)) if asks.any() and not asks.all() else []
+        found = list(Block(ids[~asks], x[~asks], piv, prefix, reach).search(ids[asks], x[asks], k, share, least)) if asks.any() and not asks.all() else []
         q = np.concatenate([np.full(len(v), i) for i, v, _ in found]) if found else np.zeros(0, np.int64)
         v = np.concatenate([v for _, v, _ in found]) if found else np.zeros(0, np.int64)
         s = np.concatenate([s for *_, s in found]) if found else np.zeros(0)

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from annspark.llm.common import salted, texts
+from annspark.llm.common import restored, salted, shielded, texts
 
 SAMPLE, FEATURES, GRADES, STEM, APART = 12_000, 20_000, 3, 4, 4.0
 LETTERS = re.compile(r"[^\W\d_]+")
@@ -132,7 +132,7 @@ def grade(docs: DataFrame, model: Severity, keep: tuple[str, ...] = ("doc_id",))
                 likely.append(max(range(len(p) - 1), key=lambda g: p[g] - p[g + 1]))
                 first.append(round(above[0], 9) if above else 0.0)
                 flag.append(bool(above) and above[0] > 0.5)
-            if len(solved) > 1_000_000:
+            if len(solved) > 200_000:
                 solved.clear()
             yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(n)), pa.array(sev, pa.float64()), pa.array(likely, pa.int32()), pa.array(first, pa.float64()), pa.array(flag, pa.bool_())], names=schema.names)
 
@@ -142,5 +142,6 @@ def grade(docs: DataFrame, model: Severity, keep: tuple[str, ...] = ("doc_id",))
 
 def keep_clean(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """The rows of docs that are not toxic, with all their columns."""
-    marked = grade(docs, train(docs, labels, **options), keep=tuple(docs.columns))
-    return marked.where(~F.col("toxic")).select(*docs.columns)
+    safe, names = shielded(docs, ("doc_id", "text"))
+    marked = grade(safe, train(safe, labels, **options), keep=tuple(names))
+    return restored(marked.where(~F.col("toxic")), names, docs.columns)
