@@ -54,8 +54,8 @@ def scale(v: Vec, k: Column | float) -> Column:
 
 
 def unit(v: Vec) -> Column:
-    """v / |v|; the norm is computed once per row."""
-    return F.transform(F.array(F.struct(doubles(v).alias("v"), norm(v).alias("n"))), lambda s: F.transform(s["v"], lambda x: x / s["n"]))[0]
+    """v / |v|, nulls for a zero vector; the norm is computed once per row."""
+    return F.transform(F.array(F.struct(doubles(v).alias("v"), norm(v).alias("n"))), lambda s: F.transform(s["v"], lambda x: F.try_divide(x, s["n"])))[0]
 
 
 def is_bad(v: Vec, d: int | None = None) -> Column:
