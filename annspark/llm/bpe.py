@@ -6,8 +6,8 @@ it stands. Merges are then replayed over the whole block in rank order; a merge
 and re-files just the pairs with their left and right neighbours. A merge that makes a pair of a lower rank
 sends the replay back to that rank first, so the result is the one that the rank rule gives piece by piece.
 
-No shuffle: pieces are independent of each other. A worker process keeps the pieces it has solved,
-up to ``KEEP`` characters of them, and then starts anew; results do not depend on that.
+No shuffle: pieces are independent of each other. A worker process keeps up to ``KEEP`` solved
+pieces that it met in more than one block, and the last ``YOUNG`` others; results do not depend on that.
 
 Defined cases: null and empty texts have no tokens; very long pieces cost O(n log n); lone surrogates, which
 Spark's strings cannot hold, do not occur; repeated rows are encoded each for itself.
@@ -17,8 +17,10 @@ from __future__ import annotations
 
 import base64
 import functools
+import gc
 import hashlib
 import heapq
+import re
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -29,10 +31,17 @@ from pyspark.sql.types import ArrayType, IntegerType
 
 from annspark.llm.common import texts
 
-KEEP = 1_000_000
+KEEP, YOUNG = 200_000, 100_000
 #: Pieces of one replay: as many as the processor's caches hold.
 SPAN = 1_000
 
+# A splitting pattern, and what says the same to the standard library's faster matcher over the characters that _ODD leaves,
+# where letters, digits and white space mean the same to both.
+PLAIN = {
+    r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+""": r"""'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+"""
+}
+_ODD = re.compile("[^\t\n\r\x20-\x7e\xc0-\u017f]")
+
 
 @functools.lru_cache(maxsize=4)
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -45,12 +54,15 @@ class Codec:
 
     def __init__(self, ranks: dict[bytes, int], pattern: str, keep: int = KEEP):
         self.ranks, self.split, self.keep = ranks, regex.compile(pattern), keep
+        self.plain = re.compile(PLAIN[pattern]) if pattern in PLAIN else None
         self.token = [b""] * (max(ranks.values()) + 1)
         for t, r in ranks.items():
             self.token[r] = t
         self.decimal = [str(i) for i in range(len(self.token))]
+        # pieces solved; those of late, and which of them were met again in a later block
         self.solved: dict[str, tuple[int, ...]] = {}
-        self.size = 0
+        self.young: set[str] = set()
+        self.again: set[str] = set()
         self.byte = [ranks[bytes([i])] for i in range(256)]
         # every pair of tokens that merges, as left << 32 | right -> merged: all splits of all tokens
         self.merges: dict[int, int] = {}
@@ -59,11 +71,17 @@ class Codec:
                 if (a := ranks.get(t[:i])) is not None and (b := ranks.get(t[i:])) is not None:
                     self.merges[a << 32 | b] = r
 
+        self.first = [self.merges.get(self.byte[x] << 32 | self.byte[y], -1) for x in range(256) for y in range(256)]
+
     def replay(self, pieces: list[bytes]) -> list[tuple[int, ...]]:
         """Token ids of each piece."""
-        ids = list(map(self.byte.__getitem__, b"".join(pieces)))
+        raw = b"".join(pieces)
+        ids = list(map(self.byte.__getitem__, raw))
         n, merged = len(ids), self.merges.get
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+        # pairs of raw bytes, looked up side by side; those across two pieces do not count
+        pairs = list(map(self.first.__getitem__, map(int.__add__, map((256).__mul__, raw), raw[1:])))
+        pairs.append(-1)
         starts, at = [], 0
         for p in pieces:
             starts.append(at)
@@ -71,29 +89,28 @@ class Codec:
             if p:
                 before[starts[-1]] = -1
                 after[at - 1] = n
+                pairs[at - 1] = -1
         index: dict[int, list[int]] = {}  # merged token -> places of its left part
-        for i in range(n):
-            j = after[i]
-            if j < n and (r := merged(ids[i] << 32 | ids[j])) is not None:
+        for i, r in enumerate(pairs):
+            if r >= 0:
                 if r in index:
                     index[r].append(i)
                 else:
                     index[r] = [i]
         queue = list(index)
         heapq.heapify(queue)
-        dead = -1
         while queue:
             r = heapq.heappop(queue)
             places = index.pop(r, None)
             if places is None:
                 continue
-            places.sort()
+            if len(places) > 1:
+                places.sort()
             for k, i in enumerate(places):
-                a = ids[i]
                 # the place may have been merged away, or its pair changed, since it was filed
-                if a == dead or (j := after[i]) >= n or merged(a << 32 | ids[j]) != r:
+                if (a := ids[i]) < 0 or (j := after[i]) >= n or merged(a << 32 | ids[j]) != r:
                     continue
-                ids[i], ids[j] = r, dead
+                ids[i], ids[j] = r, -1
                 h = after[i] = after[j]
                 low = r
                 if h < n:
@@ -127,17 +144,25 @@ class Codec:
             out.append(tuple(got))
         return out
 
+    def pieces(self, text: str) -> list[str]:
+        return self.plain.findall(text) if self.plain is not None and not _ODD.search(text) else self.split.findall(text)
+
     def encode_block(self, block: Iterable[str]) -> Iterator[list[int]]:
         """Ids of each text, without special tokens."""
-        cut = [self.split.findall(t) for t in block]
-        if self.size > self.keep:
-            self.solved.clear()
-            self.size = 0
-        new = list(set().union(*cut).difference(self.solved))
+        cut = [self.pieces(t) for t in block]
+        if len(self.young) > YOUNG:
+            for p in self.young - self.again:
+                del self.solved[p]
+            self.young, self.again = set(), set()
+            if len(self.solved) > self.keep:
+                self.solved.clear()
+        seen = set().union(*cut)
+        new = list(seen.difference(self.solved))
+        self.again |= seen & self.young
         for at in range(0, len(new), SPAN):
             some = new[at : at + SPAN]
             self.solved.update(zip(some, self.replay([p.encode("utf-8") for p in some]), strict=True))
-        self.size += sum(map(len, new))
+        self.young.update(new)
         solved = self.solved
         for pieces in cut:
             ids: list[int] = []
@@ -180,6 +205,13 @@ def encode(docs: DataFrame, path: str, pattern: str, carry: tuple[str, ...] = ("
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = codec_for(path, pattern)
+        gc.disable()  # nothing here makes cycles, and the solved pieces are many small objects to walk
+        try:
+            yield from encoded(codec, batches)
+        finally:
+            gc.enable()
+
+    def encoded(codec: Codec, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             at = 0
             for block in blocks(texts(b)):  # a batch out for a block in, so that ids of one block alone are held
