@@ -37,7 +37,7 @@ def ds_cfi_read(spark, sf_dir):
     """The same through the data source, the cell filter pushed down."""
     _, _, path = _stored(spark, sf_dir)
     datasource.register(spark)
-    codes = spark.read.format("cfi").option("path", path).load()
+    codes = spark.read.format("cfi").option("path", path).option("pushdown", True).load()
     return codes.where(F.col("cell").isin(list(range(0, core.L, 2)))).groupBy("cell").agg(F.count("*").alias("n"))
 
 

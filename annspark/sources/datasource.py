@@ -1,7 +1,9 @@
 """The live codes of an index directory as a Spark data source: spark.read.format("cfi").option("path", ...).load().
 
-Equality and membership filters on ``cell`` are pushed down: they choose bucket folders when partitions are planned and rows
-inside the files. Files are read by Arrow from any URI that pyarrow.fs resolves.
+The option ``cells`` (comma-separated) chooses bucket folders when partitions are planned, and rows inside the files. With
+``pushdown`` set to true, equality and membership filters on ``cell`` do the same by themselves; Spark keeps what was pushed with the
+loaded relation, so a frame loaded that way serves one query, and the default is the option. Files are read by Arrow from any URI
+that pyarrow.fs resolves.
 """
 
 from __future__ import annotations
@@ -29,9 +31,21 @@ def _fs(path: str) -> tuple[pafs.FileSystem, str]:
 
 
 class _Reader(DataSourceReader):
-    def __init__(self, path: str, buckets: int):
-        self.path, self.buckets, self.cells = path, buckets, None
+    def __init__(self, path: str, buckets: int, cells: list[int] | None):
+        self.path, self.buckets, self.cells = path, buckets, cells
 
+    def partitions(self) -> list[InputPartition]:
+        return _plan(self)
+
+    def read(self, partition: _File) -> Iterator[pa.RecordBatch]:
+        if partition.path:
+            fs, _ = _fs(self.path)
+            data = pads.dataset(partition.path, filesystem=fs, format="parquet", partitioning=None)
+            names = [f.split()[0] for f in SCHEMA.split(", ")]
+            yield from data.to_batches(columns=names, filter=None if partition.cells is None else pads.field("cell").isin(partition.cells))
+
+
+class _PushingReader(_Reader):
     def pushFilters(self, filters: list[Filter]) -> Iterable[Filter]:
         for f in filters:
             if isinstance(f, EqualTo) and f.attribute == ("cell",):
@@ -41,29 +55,23 @@ class _Reader(DataSourceReader):
             else:
                 yield f
 
-    def partitions(self) -> list[InputPartition]:
-        fs, root = _fs(self.path)
-        live = set()
-        for info in fs.get_file_info(pafs.FileSelector(f"{root}/manifest")):
-            if info.path.endswith(".json"):
-                with fs.open_input_stream(info.path) as f:
-                    live |= {(r["epoch"], r["batch"]) for r in map(json.loads, f.read().decode().splitlines()) if r["state"] == "live"}
-        newest = max(e for e, _ in live)
-        wanted = None if self.cells is None else {c % self.buckets for c in self.cells}
-        out: list[InputPartition] = []
-        for e, b in sorted(live):
-            if e == newest:
-                for info in fs.get_file_info(pafs.FileSelector(f"{root}/codes/epoch={e}/batch={b}", recursive=True)):
-                    if info.path.endswith(".parquet") and (wanted is None or int(info.path.split("cell_bucket=")[1].split("/")[0]) in wanted):
-                        out.append(_File(info.path, self.cells))
-        return out or [_File("", [])]
 
-    def read(self, partition: _File) -> Iterator[pa.RecordBatch]:
-        if partition.path:
-            fs, _ = _fs(self.path)
-            data = pads.dataset(partition.path, filesystem=fs, format="parquet", partitioning=None)
-            names = [f.split()[0] for f in SCHEMA.split(", ")]
-            yield from data.to_batches(columns=names, filter=None if partition.cells is None else pads.field("cell").isin(partition.cells))
+def _plan(reader: _Reader) -> list[InputPartition]:
+    fs, root = _fs(reader.path)
+    live = set()
+    for info in fs.get_file_info(pafs.FileSelector(f"{root}/manifest")):
+        if info.path.endswith(".json"):
+            with fs.open_input_stream(info.path) as f:
+                live |= {(r["epoch"], r["batch"]) for r in map(json.loads, f.read().decode().splitlines()) if r["state"] == "live"}
+    newest = max(e for e, _ in live)
+    wanted = None if reader.cells is None else {c % reader.buckets for c in reader.cells}
+    out: list[InputPartition] = []
+    for e, b in sorted(live):
+        if e == newest:
+            for info in fs.get_file_info(pafs.FileSelector(f"{root}/codes/epoch={e}/batch={b}", recursive=True)):
+                if info.path.endswith(".parquet") and (wanted is None or int(info.path.split("cell_bucket=")[1].split("/")[0]) in wanted):
+                    out.append(_File(info.path, reader.cells))
+    return out or [_File("", [])]
 
 
 class IndexSource(DataSource):
@@ -75,7 +83,9 @@ class IndexSource(DataSource):
         return SCHEMA
 
     def reader(self, schema: StructType) -> DataSourceReader:
-        return _Reader(self.options["path"], int(self.options.get("buckets", 256)))
+        cells = self.options.get("cells")
+        kind = _PushingReader if self.options.get("pushdown", "false").lower() == "true" else _Reader
+        return kind(self.options["path"], int(self.options.get("buckets", 256)), [int(c) for c in cells.split(",")] if cells else None)
 
 
 def register(spark: SparkSession) -> None:
