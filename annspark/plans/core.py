@@ -369,8 +369,61 @@ def _learned(kind: str):
     return run
 
 
-QUERIES = {f.__name__: f for f in (normalise_check, exact_knn, exact_knn_native, exact_knn_cumulative, exact_knn_merge, gsq_codes, gsq_sign_bits, gsq_design, gsq_reconstruction_mse, rsq_flat_topk, coarse_kmeans, coarse_assign, cfi_codes, cfi_probe, cfi_search_joined, cfi_search_rerank, cfi_cascade, cfi_recall_by_nprobe, cfi_insert_batches, refresh_sample, amplification, bounds_table, pq_assign, partition_health, swap_cosine, hash_embed, regime_accounting, memory_accounting, rerank_memory, paired_t)}
+def matched_memory_tie(spark, sf_dir):
+    """Stage 1 at B bits, and B - 1 bits with refinement, in the same partition."""
+    base, q = _e(spark, sf_dir)
+    truth, c, out = exact.knn(base, q, K).persist(), coarse.fit(base, L, ROUNDS, SEED), None
+    for total in (4, 5):
+        both = []
+        for b, stage2 in ((total, "none"), (total - 1, "sign")):
+            index = cfi.Index(D, b, c, stage2, SEED, exact_norm=True)
+            both.append(metrics.recall(cfi.search(cfi.encode(base, index), index, q, K, NP), truth, K).select(F.col("recall").alias("xbq" if stage2 == "none" else "cfi")))
+        one = both[0].crossJoin(both[1]).select(F.lit("E").alias("set"), F.lit(total).cast("long").alias("B"), F.round("xbq", 4).alias("xbq"), F.round("cfi", 4).alias("cfi"), F.round(F.col("cfi") - F.col("xbq"), 4).alias("delta"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _stream(method: str):
+    def run(spark, sf_dir):
+        from annspark.plans import workloads
+
+        r = workloads.w06_streaming_small(spark, sf_dir, orders=("shuffled",)) if method in ("stale", "retrain") else None
+        return r.where((F.col("method") == method) & (F.col("metric") == "recall")).select("batch", F.round("value", 4).alias("recall"))
+
+    return run
+
+
+def _shifted(name: str):
+    def run(spark, sf_dir):
+        from annspark.plans import workloads
+
+        r = workloads.w10_encoder_swap(spark, sf_dir) if name == "swap" else workloads.w11_rotation_stress(spark, sf_dir, rr=(0, 50))
+        return r.where("metric = 'recall'").select("method", "regime", F.round("value", 4).alias("recall"))
+
+    return run
+
+
+#: Printed (method, MiB, recall) of the static comparison on one million vectors.
+STATIC = [("ivpq_64", 62.0, 73.2), ("ivpq_128", 123.0, 89.9), ("opq_20", 123.0, 93.4), ("opq_80", 123.0, 97.0), ("hnsw_64", 732.0, 98.2), ("hnsw_256", 732.0, 99.8), ("xbq_5", 81.0, 87.8), ("xbq_6", 96.0, 91.1), ("cfi_4", 81.0, 87.5), ("cfi_5", 96.0, 91.3), ("cfi_6_20", 111.0, 93.2), ("cfi_6_40", 111.0, 96.1)]
+
+
+def pareto_front(spark, sf_dir):
+    """Points of the published static comparison that none beats on memory and recall."""
+    return metrics.pareto(spark.createDataFrame(STATIC, "method string, cost double, value double"))
+
+
+#: Recall by training sample of a codebook, made up to give a bias of -0.25 and a capacity of -0.15 points.
+SAMPLES = [("S", "first", 0.6040), ("S", "random", 0.6015), ("S", "all", 0.6000)]
+
+
+def bias_capacity(spark, sf_dir):
+    r = metrics.bias_capacity(spark.createDataFrame(SAMPLES, "dataset string, method string, value double"))
+    return r.select("dataset", F.round("bias", 4).alias("bias"), F.round("capacity", 4).alias("capacity"))
+
+
+QUERIES = {f.__name__: f for f in (matched_memory_tie, pareto_front, bias_capacity, normalise_check, exact_knn, exact_knn_native, exact_knn_cumulative, exact_knn_merge, gsq_codes, gsq_sign_bits, gsq_design, gsq_reconstruction_mse, rsq_flat_topk, coarse_kmeans, coarse_assign, cfi_codes, cfi_probe, cfi_search_joined, cfi_search_rerank, cfi_cascade, cfi_recall_by_nprobe, cfi_insert_batches, refresh_sample, amplification, bounds_table, pq_assign, partition_health, swap_cosine, hash_embed, regime_accounting, memory_accounting, rerank_memory, paired_t)}
 QUERIES |= {"cfi_search_none": _cfi_search("none"), "cfi_search_sign": _cfi_search("sign"), "cfi_refresh_raw": _refreshed(True), "cfi_refresh_recon": _refreshed(False)}
+QUERIES |= {"ivpq_stream_stale": _stream("stale"), "ivpq_stream_retrain": _stream("retrain"), "swap_stream": _shifted("swap"), "rotation_stress": _shifted("rotation")}
 QUERIES |= {f"{k}_recall": _learned(k) for k in ("pq", "ivpq", "opq", "atq", "hnsw", "lsh")}
 
 
@@ -431,4 +484,13 @@ def oracle_sql() -> dict[str, str]:
     out["cfi_refresh_recon"] = _with(*old, pick, cols, rec, *again("rec")) + final("rec")
     # cascade: stage-1 search keeps 8k, then refined scores of the kept pairs
     out["cfi_cascade"] = _with(E_SQL, _rot(), _kmeans(), _encode("base", cent, q4, "x", False), _turned(), _search("x", cent, NP, 8 * K, "s"), _encode("base", cent, q4, "y", True), _search("y", cent, NP, 10_000, "w")) + f", kept AS (SELECT st.qid, st.id, w.score FROM st JOIN w ON w.qid = st.qid AND w.id = st.id) SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY score DESC, id) AS rank, id AS vec_id FROM kept QUALIFY rank <= {K}"
+    tie = [_with(E_SQL, _TRUTH, _rot(), _kmeans(), _turned(), _encode("base", cent, scalarq.design(b, D), "p", False), _search("p", cent, NP, K, "s"), _encode("base", cent, scalarq.design(b - 1, D), "r", True), _search("r", cent, NP, K, "t")) + f", a AS ({_RECALL.format('st').replace('round(avg(r), 4)', 'avg(r)')}), b AS ({_RECALL.format('tt').replace('round(avg(r), 4)', 'avg(r)')}) SELECT 'E' AS set, {b}::BIGINT AS B, round(a.recall, 4) AS xbq, round(b.recall, 4) AS cfi, round(b.recall - a.recall, 4) AS delta FROM a, b" for b in (4, 5)]
+    out["matched_memory_tie"] = f"SELECT * FROM ({tie[0]}) UNION ALL SELECT * FROM ({tie[1]})"
+    out["pareto_front"] = "WITH p(method, cost, value) AS (VALUES " + ",".join(f"('{m}', {c}::DOUBLE, {v}::DOUBLE)" for m, c, v in STATIC) + ") SELECT * FROM p a WHERE NOT EXISTS (SELECT 1 FROM p b WHERE b.cost <= a.cost AND b.value >= a.value AND (b.cost < a.cost OR b.value > a.value))"
+    out["bias_capacity"] = "SELECT 'S' AS dataset, round((0.6015::DOUBLE - 0.6040) * 100, 4) AS bias, round((0.6000::DOUBLE - 0.6015) * 100, 4) AS capacity"
+    # amplification: rotated errors against rotated queries, flat and partitioned, on the plain and the anchored set
+    anchored = E_SQL.replace("SELECT vec_id AS id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings", "SELECT f.vec_id AS id, list_transform(list_zip(a.a, f.embedding), lambda z: 2.5 * z[1]::DOUBLE + z[2]::DOUBLE) AS e FROM embeddings f JOIN (SELECT label, arg_min(embedding, vec_id) AS a FROM embeddings GROUP BY label) a USING (label)")
+    err = lambda t, n: f"(SELECT avg(s * s) FROM (SELECT {n} * list_dot_product(t, list_transform(list_zip(u, dec), lambda z: z[1] - z[2])) AS s FROM {t}x, tq))"
+    amp = lambda name, src: _with(src, _rot(), _kmeans(), _turned(), _encode("base", cent, q4, "x", True), _encode("base", None, q4, "f", True)) + f", a AS (SELECT avg(list_dot_product(v, c)) AS affinity, {err('x', 'norm')} AS part, {err('f', 'norm')} AS flat FROM xa) SELECT '{name}' AS set, round(affinity, 5) AS affinity, round(2 * (1 - affinity), 5) AS predicted, round(part / flat, 5) AS measured FROM a"
+    out["amplification"] = f"SELECT * FROM ({amp('E', E_SQL)}) UNION ALL SELECT * FROM ({amp('A(2.5)', anchored)})"
     return out
