@@ -16,7 +16,7 @@ up to 2^24 words keep exact positions (longer ones wrap in the packed low bits,
 
 ``neighbours`` pairs every row with the next document by descending doc_id, the last with the first: ids are cut into
 ranges by their approximate quantiles, each range finds its successors alone, and the ends of the
-ranges, a row a range, are stitched. Of repeated doc_ids the smallest text is the one that is next to
+ranges, a row a range, are stitched. Of repeated doc_ids the text of the smallest MD5 is the one that is next to
 others; every row is returned. A null doc_id sorts last.
 """
 
@@ -95,7 +95,7 @@ def printed(a: Column) -> Column:
 
 def next_ids(ids: DataFrame) -> DataFrame:
     """(id, next_id) for distinct non-null longs: the next smaller one, and the largest for the smallest."""
-    parts = max(2, shuffle_parts(ids))
+    parts = min(512, max(2, shuffle_parts(ids)))
     bounds = ids.agg(F.percentile_approx("id", [i / parts for i in range(1, parts)], 10_000)).first()[0] or []
     edges = sorted(set(bounds))
     bucket = F.size(F.filter(F.array(*map(F.lit, edges)), lambda e: e <= F.col("id"))) if edges else F.lit(0)
@@ -118,12 +118,13 @@ def neighbours(docs: DataFrame) -> DataFrame:
     asked = lengths.groupBy("key").agg(F.max(F.floor(F.col("n") / 3)).alias("third"))
     lends = cut(pairs.join(asked, pairs["id"] == asked["key"]).select("id", "next_id", "third"))
     printed_rows = fingerprint_columns(rows, "text", "fp")
-    first_of = Window.partitionBy("key").orderBy("text")
+    # only what is lent travels on, not the whole text
     lenders = (
         printed_rows.join(lends.select(F.col("id").alias("asks"), F.col("next_id"), "third"), F.col("key") == F.col("next_id"))
-        .withColumn("_r", F.row_number().over(Window.partitionBy("asks").orderBy("text")))
+        .select("asks", F.expr("substring(text, 1, int(third))").alias("lent"), F.col("fp").alias("next_fp"), F.md5(F.col("text").cast("binary")).alias("_m"))
+        .withColumn("_r", F.row_number().over(Window.partitionBy("asks").orderBy("_m")))
         .where("_r = 1")
-        .select("asks", F.expr("substring(text, 1, int(third))").alias("lent"), F.col("fp").alias("next_fp"))
+        .drop("_m", "_r")
     )
     both = printed_rows.join(lenders, printed_rows["key"] == lenders["asks"])
     n = F.length("text")

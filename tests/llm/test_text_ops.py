@@ -300,7 +300,7 @@ def test_order_minhash_rows(spark, docs, rows):
     text = {}
     for r in rows:
         k = -(1 << 63) if r[0] is None else r[0]
-        text[k] = min(text.get(k, r[1] or ""), r[1] or "")
+        text[k] = min(text.get(k, r[1] or ""), r[1] or "", key=lambda x: hashlib.md5(x.encode()).hexdigest())
     keys = sorted(text, reverse=True)
     follow = dict(zip(keys, keys[1:] + keys[:1]))
     own = collections.Counter()
