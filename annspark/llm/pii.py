@@ -51,7 +51,7 @@ _PART = r"[A-Za-z0-9_%+-]+"
 # Endings that make "name at host dot ending" an address; none is a common word of prose.
 ENDINGS = ("com", "org", "net", "edu", "gov", "mil", "int", "info", "biz", "dev", "app", "io", "ai", "co", "uk", "de", "fr", "es", "eu", "ca", "ch", "nl", "pl", "pt", "ru", "se", "dk", "fi", "cz", "gr", "hu", "ie", "jp", "cn", "kr", "br", "mx", "ar", "cl", "au", "nz", "za", "tv", "test", "example", "invalid")
 #: name at host dot ending; plain words need both "at" and "dot" and a known ending, prose seldom has them so.
-WORDED = re.compile(rf"(?<![A-Za-z0-9]){_PART}(?:(?:\.|\s+dot\s+){_PART}){{0,3}}\s+at\s+(?!(?:the|a|an|this|that)\s)[A-Za-z0-9-]+(?:(?:\.|\s+dot\s+)[A-Za-z0-9-]+){{0,3}}\s+dot\s+(?:{'|'.join(ENDINGS)})(?![A-Za-z0-9])", re.I)
+WORDED = re.compile(rf"(?<![A-Za-z0-9]){_PART}(?:(?:\.|\s+dot\s+){_PART}){{0,3}}(?:\s+at\s+|@)(?!(?:the|a|an|this|that)\s)[A-Za-z0-9-]+(?:(?:\.|\s+dot\s+)[A-Za-z0-9-]+){{0,3}}\s+dot\s+(?:{'|'.join(ENDINGS)})(?![A-Za-z0-9])", re.I)
 _AT_WORD, _DOT_WORD = re.compile(r"\s+at\s+", re.I), re.compile(r"\s+dot\s+", re.I)
 _NUM = "|".join([*DIGIT_WORDS, *REPEATS])
 SPELLED = re.compile(rf"\+?\s*(?:\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9.()-])(?:[\s,.()-]*(?:\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9]))*", re.I)
@@ -192,7 +192,7 @@ def _windows(t: str, room: int = 200) -> list[Span]:
     if "(" in t or "[" in t or "{" in t or "<" in t:
         hits += [m.span() for m in BRACKETED.finditer(t)]
     low = t.lower() if len(t.lower()) == len(t) else t
-    if " dot " in low and " at " in low:
+    if " dot " in low and (" at " in low or "@" in low):
         hits += [m.span() for m in WORDED.finditer(t)]
     if _HAS_NUMBER_WORD.search(t):
         hits += [m.span() for m in SPELLED.finditer(t) if len(_HAS_NUMBER_WORD.findall(m.group())) >= 4]

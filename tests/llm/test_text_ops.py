@@ -217,6 +217,7 @@ def test_base_spans_follow_the_patterns():
     "text,kind,part",
     [
         ("write to john.doe (at) example (dot) com now", "email", "john.doe (at) example (dot) com"),
+        ("or jane@mail dot example dot org too", "email", "jane@mail dot example dot org"),
         ("reach jane at example dot com today", "email", "jane at example dot com"),
         ("jоhn@exаmple.com", "email", "jоhn@exаmple.com"),
         ("ｊｏｈｎ＠ｅｘａｍｐｌｅ．ｃｏｍ", "email", "ｊｏｈｎ＠ｅｘａｍｐｌｅ．ｃｏｍ"),
