@@ -56,8 +56,8 @@ def vectors(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame, int, int]:
     """(base, queries, d, cells): cells is the power of two nearest the root of n."""
-    base, q = ds.split(vectors(spark, sf_dir, name))
-    base = base.persist()
+    # kept: base and queries are read many times, and hashing texts into vectors is the dearest step
+    base, q = ds.split(vectors(spark, sf_dir, name).persist())
     n, d = base.count(), len(base.select("v").first().v)
     return base, q, d, 1 << max(1, round(math.log2(math.sqrt(n))))
 
