@@ -160,14 +160,35 @@ def scores(index: Index, ids: np.ndarray, cell: np.ndarray, code: np.ndarray, si
         yield rows, who, norm[rows, None] * est + coarse_ip[None, :]
 
 
-def search(codes: DataFrame, index: Index, queries: DataFrame, k: int = 10, n_p: int = 20, extra: str | None = None, limit: int = 100_000) -> DataFrame:
+#: Probes (queries x cells) that may travel to every task; beyond, probes and codes are joined.
+PROBES = 100_000
+
+
+@dataclass(frozen=True)
+class Plan:
+    """How a search would run: the way taken, its probes, the rows it scores, and how many waves of queries it takes."""
+
+    way: str
+    probes: int
+    candidates: int
+    waves: int
+
+
+def plan(index: Index, rows: int, queries: int, n_p: int, limit: int = PROBES, wave: int = 10_000) -> Plan:
+    """What ``search`` does with so many rows and queries, without looking at either."""
+    cells = max(index.cells, 1)
+    probes = queries * min(n_p, cells)
+    return Plan("broadcast" if probes <= limit else "join", probes, probes * rows // cells, max(1, -(-queries // wave)))
+
+
+def search(codes: DataFrame, index: Index, queries: DataFrame, k: int = 10, n_p: int = 20, extra: str | None = None, limit: int = PROBES) -> DataFrame:
     """(qid, rank, id, score): probe lists go to every task (their size is checked), k rows a query leave it.
 
     ``extra`` names a further grouping column of the codes, such as an insert batch, that gets top-k lists of its own.
     Above ``limit`` probes the join way of ``search_join`` is taken.
     """
     qid, q = collect_queries(queries)
-    if len(qid) * min(n_p, max(index.cells, 1)) > limit and extra is None:
+    if plan(index, 0, len(qid), n_p, limit).way == "join" and extra is None:
         return search_join(codes, index, queries, k, n_p)
     probes, turned = probe(index, qid, q, n_p), index.rotate(q)
     wanted = codes if index.c is None else codes.where(F.col("cell").isin([int(c) for c in probes])) if len(probes) < min(index.cells, 2_000) else codes

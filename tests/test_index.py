@@ -212,6 +212,12 @@ def test_plans(a, index):
     assert "Exchange" not in encoded and "ReadSchema: struct<vec_id:bigint,embedding:array<float>>" in encoded
 
 
+def test_planner(index):
+    idx, _ = index
+    assert cfi.plan(idx, 8_000_000, 100, 3) == cfi.Plan("broadcast", 300, 300_000_000, 1)
+    assert cfi.plan(idx, 8_000_000, 90_000, 20) == cfi.Plan("join", 720_000, 720_000_000_000, 9)
+
+
 def test_measures(spark):
     runs = spark.createDataFrame([("x", s, b, m, v) for s in (1, 2, 3) for b, m, v in ((0, "p", 0.5 + s / 100), (9, "p", 0.4), (0, "q", 0.6), (9, "q", 0.7))], "set string, seed long, batch long, method string, value double")
     d = {(r.seed, r.method): r.delta for r in metrics.delta(runs, ["seed", "method"]).collect()}
