@@ -217,7 +217,8 @@ def search(codes: DataFrame, index: Index, queries: DataFrame, k: int = 10, n_p:
 def search_join(codes: DataFrame, index: Index, queries: DataFrame, k: int = 10, n_p: int = 20, salt_rows: int = 1_000_000) -> DataFrame:
     """The same for many queries: probes and codes meet on (cell, salt); hot cells are salted by their counted size."""
     spark = codes.sparkSession
-    c = coarse.to_frame(spark, index.c).select("cell", "c")
+    # keys of both sides in one type: a cogroup does not cast, and an INT hashes unlike a LONG
+    c = coarse.to_frame(spark, index.c).select(F.col("cell").cast("long").alias("cell"), "c")
     from annspark.functions.vectors import dot
 
     from pyspark.sql import Window
