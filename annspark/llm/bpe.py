@@ -29,7 +29,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql.types import ArrayType, IntegerType
 
-from annspark.llm.common import texts
+from annspark.llm.common import sliced, texts
 
 KEEP, YOUNG = 200_000, 100_000
 #: Pieces of one replay: as many as the processor's caches hold.
@@ -212,7 +212,7 @@ def encode(docs: DataFrame, path: str, pattern: str, carry: tuple[str, ...] = ("
             gc.enable()
 
     def encoded(codec: Codec, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             at = 0
             for block in blocks(texts(b)):  # a batch out for a block in, so that ids of one block alone are held
                 count, sha, back, kept = [], [], [], []

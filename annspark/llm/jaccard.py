@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from annspark.llm.common import cut, restored, shielded
+from annspark.llm.common import cut, restored, shielded, sliced
 from annspark.llm.components import components
 from annspark.llm.repeats import _bytes, mixed, of_ranges, prefix
 from annspark.llm.wordspans import Words
@@ -81,7 +81,7 @@ class Signer:
 def _to_bands(bands: int, rows: int):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         signer = Signer(bands, rows)
-        for b in batches:
+        for b in sliced(batches):
             t1, t2 = (b.column(b.schema.get_field_index(c)).to_numpy() for c in ("t1", "t2"))
             row, hashes = [], []
             for i, text in enumerate(_bytes(b, "text")):
@@ -104,7 +104,7 @@ def _to_buckets(bands: int, rows: int, crowd: int):
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         signer = Signer(bands, rows)
-        for b in batches:
+        for b in sliced(batches):
             t1, t2 = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2"))
             out: tuple[list, ...] = ([], [], [], [], [], [])
             for i, (text, buckets) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("buckets")).to_pylist(), strict=True)):
@@ -204,7 +204,7 @@ def _candidates(bands: int, rows: int, threshold: float):
 
 def _with_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(h, t1, t2, copies, place, partners, grams) for the buckets that a text has candidates in."""
-    for b in batches:
+    for b in sliced(batches):
         t1, t2, copies = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2", "copies"))
         out: tuple[list, ...] = ([], [], [], [], [], [], [])
         for i, (text, asks) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("asks")).to_pylist(), strict=True)):

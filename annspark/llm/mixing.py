@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from annspark.llm.common import WORD, cut, restored, salted, shielded
+from annspark.llm.common import WORD, cut, restored, salted, shielded, sliced
 
 CYCLE = (5.0, 2.0, 1.0)
 
@@ -158,7 +158,7 @@ def take(docs: DataFrame, **options) -> DataFrame:
     schema, at = safe.schema, names.index("text")
 
     def cut_text(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             words, size = b.column(len(names)).to_pylist(), b.column(len(names) + 1).to_pylist()
             new = pa.array([first_words(t, w) if w < z else t for t, w, z in zip(b.column(at).to_pylist(), words, size, strict=True)], b.schema.field(at).type)
             yield pa.RecordBatch.from_arrays([new if i == at else b.column(i) for i in range(len(names))], names=names)

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from annspark.llm.common import texts
+from annspark.llm.common import sliced, texts
 
 KINDS = ("email", "ip", "card", "phone")
 Span = tuple[int, int]
@@ -238,7 +238,7 @@ def find(docs: DataFrame) -> DataFrame:
     fields = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             cols: list[list] = [[] for _ in range(7)]
             for t in texts(b):
                 base, both = scan(t)
@@ -267,7 +267,7 @@ def redact(docs: DataFrame) -> DataFrame:
     schema, at = docs.schema, docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             new = pa.array([None if t is None else mask(t) for t in b.column(at).to_pylist()], b.schema.field(at).type)
             yield pa.RecordBatch.from_arrays([new if i == at else c for i, c in enumerate(b.columns)], schema=b.schema)
 

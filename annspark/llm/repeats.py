@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from annspark.llm.common import sliced
+
 HOT = 50_000
 _U = np.uint64
 BASE = 0x9E3779B97F4A7C15 | 1
@@ -142,7 +144,7 @@ def _bytes(b: pa.RecordBatch, name: str) -> list[bytes]:
 
 def _find_runs(kind: Units):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             t1, t2 = (b.column(b.schema.get_field_index(c)).to_numpy() for c in ("t1", "t2"))
             parts, size = [], 0
             for i, text in enumerate(_bytes(b, "text")):
@@ -166,7 +168,7 @@ def _runs_batch(t1, t2, parts) -> pa.RecordBatch:
 
 def _pack_runs(kind: Units):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             t1, t2 = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2"))
             out, size = ([], [], [], [], []), 0
             for i, (text, found) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("runs")).to_pylist(), strict=True)):
@@ -225,7 +227,7 @@ def _single_windows(kind: Units):
     """128-bit hashes of the single windows of hot runs."""
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             t1, t2 = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2"))
             for i, (text, found) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("runs")).to_pylist(), strict=True)):
                 u = kind.units(text)
@@ -238,7 +240,7 @@ def _single_windows(kind: Units):
 
 def _finish(kind: Units, names: list[str]):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             t1, t2, copies = (b.column(b.schema.get_field_index(c)) for c in ("t1", "t2", "copies"))
             lists, rows = b.column(b.schema.get_field_index("spans")).to_pylist(), []
             for text, spans, c in zip(_bytes(b, "text"), lists, copies.to_pylist(), strict=True):

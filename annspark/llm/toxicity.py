@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from annspark.llm.common import restored, salted, shielded, texts
+from annspark.llm.common import restored, salted, shielded, sliced, texts
 
 SAMPLE, FEATURES, GRADES, STEM, APART = 12_000, 20_000, 3, 4, 4.0
 LETTERS = re.compile(r"[^\W\d_]+")
@@ -118,7 +118,7 @@ def grade(docs: DataFrame, model: Severity, keep: tuple[str, ...] = ("doc_id",))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weight, solved = model.weight, {}
-        for b in batches:
+        for b in sliced(batches):
             sev, likely, first, flag = [], [], [], []
             for t in texts(b):
                 words = set(LETTERS.findall(t.lower()))
