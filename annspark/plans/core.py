@@ -313,7 +313,8 @@ def swap_cosine(spark, sf_dir):
 
 
 def hash_embed(spark, sf_dir):
-    t = ds.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")
+    """Slots of each text's first 2,000 characters, where its SQL stops; the vector sets hash whole texts."""
+    t = ds.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.substring("text", 1, 2000).alias("text"))
     return ds.hashed_slots(t, 96).select(F.col("id").alias("doc_id"), F.col("slot").cast("long").alias("slot"), F.col("x").cast("long").alias("v"))
 
 

@@ -15,8 +15,6 @@ from pyspark.sql import functions as F
 from annspark.functions import rotation
 from annspark.functions.vectors import add, as_lists, doubles, is_bad, matrix, scale, unit
 
-CHARS = 2000
-
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -33,18 +31,18 @@ def anchored(spark: SparkSession, sf_dir: str, alpha: float = 2.5) -> DataFrame:
     return t.join(F.broadcast(anchors), "label").select("id", unit(add(scale("a", alpha), "v")).alias("v"))
 
 
-def hashed_slots(texts: DataFrame, d: int, salt: str = "", chars: int = CHARS) -> DataFrame:
-    """(id, slot, x): signed word counts of (id, text); slot and sign come from the first eight hex digits of the word's MD5."""
-    words = F.filter(F.split(F.lower(F.substring("text", 1, chars)), "[^a-z]+"), lambda w: w != "")
+def hashed_slots(texts: DataFrame, d: int, salt: str = "") -> DataFrame:
+    """(id, slot, x): signed word counts of (id, whole text); slot and sign come from the first eight hex digits of the word's MD5."""
+    words = F.filter(F.split(F.lower("text"), "[^a-z]+"), lambda w: w != "")
     h = F.conv(F.substring(F.md5(F.concat(F.lit(salt), F.col("w")).cast("binary")), 1, 8), 16, 10).cast("long")
     sign = F.when(F.shiftright("h", 20).bitwiseAND(F.lit(1)) == 1, 1).otherwise(-1)
     each = texts.select("id", F.explode(words).alias("w")).select("id", h.alias("h"))
     return each.groupBy("id", (F.col("h") % d).cast("int").alias("slot")).agg(F.sum(sign).alias("x")).where("x <> 0")
 
 
-def hashed(texts: DataFrame, d: int, salt: str = "", chars: int = CHARS) -> DataFrame:
+def hashed(texts: DataFrame, d: int, salt: str = "") -> DataFrame:
     """Unit vectors of hashed words; texts whose slots are all zero are left out."""
-    slots = hashed_slots(texts, d, salt, chars).groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("slot", F.col("x").cast("double")))).alias("m"))
+    slots = hashed_slots(texts, d, salt).groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("slot", F.col("x").cast("double")))).alias("m"))
     return slots.select("id", unit(F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda j: F.coalesce(F.try_element_at(F.col("m"), j), F.lit(0.0)))).alias("v"))
 
 

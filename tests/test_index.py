@@ -50,6 +50,17 @@ def test_exact_ties_by_id(spark):
         assert [r.id for r in f(base, q, 6).orderBy("rank").collect()] == [1, 3, 5, 7, 0, 2]
 
 
+def test_hashed_sets_read_whole_texts(spark):
+    opening = "same words at the start " * 200
+    texts = spark.createDataFrame([(1, opening + "whale"), (2, opening + "otter " * 300), (3, "-" * 3000 + "late")], "id long, text string")
+    slots = {}
+    for r in ds.hashed_slots(texts, 96).collect():
+        slots.setdefault(r.id, {})[r.slot] = r.x
+    assert sum(abs(x) for x in slots[2].values()) > 250 and slots[1] != slots[2] and list(slots[3].values()) in ([1], [-1])
+    v = {r.id: r.v for r in ds.hashed(texts, 96).collect()}
+    assert set(v) == {1, 2, 3} and np.dot(v[1], v[2]) < 0.999
+
+
 def test_waves_cover_all(a):
     _, q, _ = a
     got = [r.qid for w in exact.waves(q, 20) for r in w.collect()]
