@@ -19,7 +19,7 @@ from annspark.functions import codes as pk
 from annspark.functions import rotation, scalarq
 from annspark.functions.vectors import as_lists, matrix
 from annspark.operators import coarse
-from annspark.operators.exact import best, collect_queries, top_rows
+from annspark.operators.exact import best, collected, top_rows, united
 
 SCHEMA = "id long, cell long, code binary, sign binary, res_norm short, norm double, epoch int"
 STAGES = ("none", "sign", "jls")
@@ -136,7 +136,10 @@ def probe(index: Index, qid: np.ndarray, q: np.ndarray, n_p: int) -> dict[int, t
 
 def probes_frame(index: Index, queries: DataFrame, n_p: int) -> DataFrame:
     """(qid, cell, rank, ip) of the probed cells."""
-    qid, q = collect_queries(queries)
+    return united(_probes_frame(index, queries, qid, q, n_p) for qid, q in collected(queries))
+
+
+def _probes_frame(index: Index, queries: DataFrame, qid: np.ndarray, q: np.ndarray, n_p: int) -> DataFrame:
     s = q @ index.c.T
     order = np.argsort(-s, axis=1, kind="stable")[:, : min(n_p, index.cells)]
     rows = [(int(qid[i]), int(c), r + 1, float(s[i, c])) for i in range(len(qid)) for r, c in enumerate(order[i])]
@@ -162,6 +165,8 @@ def scores(index: Index, ids: np.ndarray, cell: np.ndarray, code: np.ndarray, si
 
 #: Probes (queries x cells) that may travel to every task; beyond, probes and codes are joined.
 PROBES = 100_000
+#: Scores that a task of the join way holds at once.
+SCORES = 16_000_000
 
 
 @dataclass(frozen=True)
@@ -182,14 +187,20 @@ def plan(index: Index, rows: int, queries: int, n_p: int, limit: int = PROBES, w
 
 
 def search(codes: DataFrame, index: Index, queries: DataFrame, k: int = 10, n_p: int = 20, extra: str | None = None, limit: int = PROBES) -> DataFrame:
-    """(qid, rank, id, score): probe lists go to every task (their size is checked), k rows a query leave it.
+    """(qid, rank, id, score): probe lists go to every task, wave by wave of queries, k rows a query leave it.
 
     ``extra`` names a further grouping column of the codes, such as an insert batch, that gets top-k lists of its own.
     Above ``limit`` probes the join way of ``search_join`` is taken.
     """
-    qid, q = collect_queries(queries)
-    if plan(index, 0, len(qid), n_p, limit).way == "join" and extra is None:
-        return search_join(codes, index, queries, k, n_p)
+    # planned on a bounded count, before any vector is collected; the flat index has no cells to join on
+    if extra is None and index.c is not None:
+        most = min(limit // max(1, min(n_p, index.cells)) + 1, (1 << 31) - 1)
+        if plan(index, 0, queries.limit(most).count(), n_p, limit).way == "join":
+            return search_join(codes, index, queries, k, n_p)
+    return united(_search(codes, index, qid, q, k, n_p, extra) for qid, q in collected(queries))
+
+
+def _search(codes: DataFrame, index: Index, qid: np.ndarray, q: np.ndarray, k: int, n_p: int, extra: str | None) -> DataFrame:
     probes, turned = probe(index, qid, q, n_p), index.rotate(q)
     wanted = codes if index.c is None else codes.where(F.col("cell").isin([int(c) for c in probes])) if len(probes) < min(index.cells, 2_000) else codes
 
@@ -236,11 +247,13 @@ def search_join(codes: DataFrame, index: Index, queries: DataFrame, k: int = 10,
             batch = a.combine_chunks().to_batches()[0]
             qv, qids, ip = matrix(b.column("qv")), b.column("qid").to_numpy(), b.column("ip").to_numpy()
             ids, *rest = _read(batch, index)
-            for rows, who, s in scores(index, ids, *rest, {int(rest[0][0]): (np.arange(len(qids)), ip)}, index.rotate(qv)):
-                at = [best(s[:, j], ids[rows], k) for j in range(len(who))]
-                n = [len(x) for x in at]
-                flat, w_ = np.concatenate(at), np.repeat(np.arange(len(who)), n)
-                out = {"qid": qids[who[w_]], "id": ids[rows[flat]], "score": s[flat, w_]}
+            turned, some, parts = index.rotate(qv), max(1, SCORES // len(ids)), []
+            for i in range(0, len(qids), some):  # few enough queries at once that their scores fit
+                for rows, who, s in scores(index, ids, *rest, {int(rest[0][0]): (np.arange(len(qids))[i : i + some], ip[i : i + some])}, turned):
+                    at = [best(s[:, j], ids[rows], k) for j in range(len(who))]
+                    flat, w_ = np.concatenate(at), np.repeat(np.arange(len(who)), [len(x) for x in at])
+                    parts.append((qids[who[w_]], ids[rows[flat]], s[flat, w_]))
+            out = dict(zip(out, map(np.concatenate, zip(*parts, strict=True)), strict=True))
         return pa.table(out)
 
     found = left.select("cell", "salt", "id", "code", "sign", "res_norm", "norm").groupBy("cell", "salt").cogroup(right.select("cell", "salt", "qid", "qv", "ip").groupBy("cell", "salt")).applyInArrow(meet, "qid long, id long, score double")
@@ -287,9 +300,9 @@ def reconstruct(codes: DataFrame, index: Index) -> DataFrame:
 
 
 def inner_error(df: DataFrame, index: Index, queries: DataFrame, by: str | None = None) -> DataFrame:
-    """([by,] n, mse, ip_mse, ip_p95, ip_max, affinity): reconstruction and inner-product errors of (id, v) rows over a bounded query set, in one pass."""
-    _, q = collect_queries(queries)
-    turned = index.rotate(q)
+    """([by,] n, mse, ip_mse, ip_p95, ip_max, affinity): reconstruction and inner-product errors of (id, v) rows over all queries, in one pass."""
+    turned = [index.rotate(q) for _, q in collected(queries)]
+    asked = sum(map(len, turned))
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -297,9 +310,12 @@ def inner_error(df: DataFrame, index: Index, queries: DataFrame, by: str | None
                 x = matrix(b.column(0))
                 cell, n, code, sign, u = index.quantize(x)
                 e = n[:, None] * (u - index.decode(code, sign))
-                ip = e @ turned.T
+                ip2, ipm = np.zeros(len(x)), np.zeros(len(x))
+                for t in turned:
+                    ip = e @ t.T
+                    ip2, ipm = ip2 + (ip * ip).sum(axis=1), np.maximum(ipm, np.abs(ip).max(axis=1))
                 aff = (x * index.c[cell]).sum(axis=1) if index.c is not None else np.zeros(len(x))
-                yield pa.RecordBatch.from_arrays([pa.array((e * e).sum(axis=1)), pa.array((ip * ip).mean(axis=1)), pa.array(np.abs(ip).max(axis=1)), pa.array(aff), b.column(1)], names=["se", "ip2", "ipm", "aff", "g"])
+                yield pa.RecordBatch.from_arrays([pa.array((e * e).sum(axis=1)), pa.array(ip2 / asked), pa.array(ipm), pa.array(aff), b.column(1)], names=["se", "ip2", "ipm", "aff", "g"])
 
     got = df.select("v", (F.col(by).cast("long") if by else F.lit(0).cast("long")).alias("g")).mapInArrow(go, "se double, ip2 double, ipm double, aff double, g long")
     agg = got.groupBy("g").agg(F.count("*").alias("n"), F.avg("se").alias("mse"), F.avg("ip2").alias("ip_mse"), F.percentile("ipm", 0.95).alias("ip_p95"), F.max("ipm").alias("ip_max"), F.avg("aff").alias("affinity"))

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Row, Window
 from pyspark.sql import functions as F
 
 from annspark.functions.vectors import dot, matrix
@@ -27,19 +28,43 @@ def best(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
 
 def collect_queries(queries: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     """(ids, matrix) of a bounded query set (qid, qv)."""
-    rows = queries.select("qid", "qv").orderBy("qid").limit(WAVE + 1).collect()
+    rows = _first(queries)
     if len(rows) > WAVE:
         raise ValueError(f"more than {WAVE} queries; search in waves")
+    return _arrays(rows)
+
+
+def _first(queries: DataFrame) -> list[Row]:
+    return queries.select("qid", "qv").orderBy("qid").limit(WAVE + 1).collect()
+
+
+def _arrays(rows: list[Row]) -> tuple[np.ndarray, np.ndarray]:
     return np.array([r.qid for r in rows], np.int64), np.array([r.qv for r in rows], np.float64)
 
 
-def waves(queries: DataFrame, size: int = WAVE) -> Iterator[DataFrame]:
+def waves(queries: DataFrame, size: int | None = None) -> Iterator[DataFrame]:
     """Query sets of bounded size, by hash."""
+    size = size or WAVE
     n = max(1, -(-queries.count() // (size // 2)))
     for i in range(n):
         yield queries if n == 1 else queries.where(F.pmod(F.xxhash64("qid"), F.lit(n)) == i)
 
 
+def collected(queries: DataFrame) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(ids, matrix) of each wave of any query set; one wave, without a count, where it is small."""
+    rows = _first(queries)
+    if len(rows) <= WAVE:
+        yield _arrays(rows)
+    else:
+        del rows
+        yield from map(collect_queries, waves(queries))
+
+
+def united(found: Iterable[DataFrame]) -> DataFrame:
+    """Results of all waves; a query is in one of them."""
+    return reduce(DataFrame.unionByName, found)
+
+
 def top_rows(found: DataFrame, k: int, by: tuple[str, ...] = ("qid",)) -> DataFrame:
     """The k best (score, then id) of each group; a window group limit prunes before the exchange."""
     w = Window.partitionBy(*by).orderBy(F.desc("score"), "id")
@@ -47,9 +72,11 @@ def top_rows(found: DataFrame, k: int, by: tuple[str, ...] = ("qid",)) -> DataFr
 
 
 def knn(base: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
-    """(qid, rank, id, score): one scan, k rows a query leave each task."""
-    qid, q = collect_queries(queries)
+    """(qid, rank, id, score): one scan a wave of queries, k rows a query leave each task."""
+    return united(_knn(base, qid, q, k) for qid, q in collected(queries))
 
+
+def _knn(base: DataFrame, qid: np.ndarray, q: np.ndarray, k: int) -> DataFrame:
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if not b.num_rows or not len(qid):
@@ -64,21 +91,20 @@ def knn(base: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
 
 
 def knn_native(base: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
-    """The same inside Catalyst, for plans without Python; the query side is broadcast, its size checked."""
-    n = queries.limit(WAVE + 1).count()
-    if n > WAVE:
-        raise ValueError(f"more than {WAVE} queries; search in waves")
-    scored = base.crossJoin(F.broadcast(queries)).select("qid", "id", dot("v", "qv").alias("score"))
+    """The same inside Catalyst, for plans without Python; the query side is broadcast wave by wave."""
+    scored = united(base.crossJoin(F.broadcast(w)).select("qid", "id", dot("v", "qv").alias("score")) for w in waves(queries))
     return top_rows(scored, k).select("qid", "rank", "id", "score")
 
 
 def knn_cumulative(base: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
-    """(batch, qid, rank, id): truth of the rows of all batches up to each, in one scan.
+    """(batch, qid, rank, id): truth of the rows of all batches up to each, in one scan a wave of queries.
 
     A batch's own k best are found once; the truth of batch t is the best of those of batches up to t.
     """
-    qid, q = collect_queries(queries)
+    return accumulate(united(_own(base, qid, q, k) for qid, q in collected(queries)), k)
+
 
+def _own(base: DataFrame, qid: np.ndarray, q: np.ndarray, k: int) -> DataFrame:
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if not b.num_rows:
@@ -90,8 +116,7 @@ def knn_cumulative(base: DataFrame, queries: DataFrame, k: int = 10) -> DataFram
                 rows, who = np.concatenate(at), np.repeat(np.arange(len(qid)), [len(a) for a in at])
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), t, np.int32)), pa.array(qid[who]), pa.array(ids[rows]), pa.array(s[rows, who])], names=["batch", "qid", "id", "score"])
 
-    own = top_rows(base.select("id", "v", F.col("batch").cast("int").alias("batch")).mapInArrow(scan, "batch int, qid long, id long, score double"), k, ("batch", "qid")).drop("rank")
-    return accumulate(own, k)
+    return top_rows(base.select("id", "v", F.col("batch").cast("int").alias("batch")).mapInArrow(scan, "batch int, qid long, id long, score double"), k, ("batch", "qid")).drop("rank")
 
 
 def accumulate(own: DataFrame, k: int) -> DataFrame:

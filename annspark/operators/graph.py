@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from annspark.functions.vectors import matrix
-from annspark.operators.exact import collect_queries, top_rows
+from annspark.operators.exact import collected, top_rows
 
 
 class Graph:
@@ -91,15 +91,18 @@ class Graph:
 
 def search(base: DataFrame, queries: DataFrame, k: int = 10, links: int = 16, ef_build: int = 100, ef: int = 64, shard_rows: int = 20_000, seed: int = 42) -> DataFrame:
     """(qid, rank, id, score): each shard of about ``shard_rows`` rows builds its graph in one task and answers every query."""
-    qid, q = collect_queries(queries)
+    asked = list(collected(queries))
     shards = max(1, -(-base.count() // shard_rows))
 
     def ask(t: pa.Table) -> pa.Table:
         t = t.sort_by("id")
         ids, g = t.column("id").to_numpy(), Graph(matrix(t.column("v")), links, ef_build, seed)
-        got = [(int(a), int(ids[i]), s) for a, v in zip(qid, q, strict=True) for s, i in g.search(v, k, ef)]
-        a, i, s = zip(*got, strict=True) if got else ((), (), ())
-        return pa.table({"qid": pa.array(a, pa.int64()), "id": pa.array(i, pa.int64()), "score": pa.array(s, pa.float64())})
+        out = []
+        for qid, q in asked:
+            got = [(int(a), int(ids[i]), s) for a, v in zip(qid, q, strict=True) for s, i in g.search(v, k, ef)]
+            a, i, s = zip(*got, strict=True) if got else ((), (), ())
+            out.append(pa.table({"qid": pa.array(a, pa.int64()), "id": pa.array(i, pa.int64()), "score": pa.array(s, pa.float64())}))
+        return pa.concat_tables(out)
 
     found = base.select("id", "v", F.pmod(F.xxhash64("id"), F.lit(shards)).alias("shard")).groupBy("shard").applyInArrow(ask, "qid long, id long, score double")
     return top_rows(found, k).select("qid", "rank", "id", "score")

@@ -4,6 +4,7 @@ from dataclasses import replace
 
 import numpy as np
 import pytest
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from annspark.functions import metrics, scalarq, vectors
@@ -67,6 +68,35 @@ def test_waves_cover_all(a):
     assert sorted(got) == sorted(r.qid for r in q.collect())
 
 
+def test_searches_go_over_all_waves(a, index, monkeypatch):
+    base, q, truth = a
+    found, codes = index
+    cb = pq.from_first_rows(base, 8, 4)
+    pq_codes = pq.encode(base, cb)
+    b = base.withColumn("batch", (F.col("id") % 2).cast("int"))
+    runs = {
+        "knn": lambda: exact.knn(base, q, K),
+        "native": lambda: exact.knn_native(base, q, K),
+        "cumulative": lambda: exact.knn_cumulative(b, q, K).drop("rank").withColumn("rank", F.col("batch") * 100 + F.row_number().over(_order("batch", "qid"))),
+        "cfi": lambda: cfi.search(codes, found, q, K, 2),
+        "join": lambda: cfi.search(codes, found, q, K, 2, limit=1),
+        "pq": lambda: pq.search(pq_codes, cb, q, K),
+        "graph": lambda: graph.search(base, q, K),
+        "probes": lambda: cfi.probes_frame(found, q, 2).withColumnRenamed("cell", "id"),
+    }
+    whole, errors = {name: ids(run()) for name, run in runs.items()}, cfi.inner_error(base, found, q).first()
+    monkeypatch.setattr(exact, "WAVE", 20)
+    monkeypatch.setattr(cfi, "SCORES", 200)
+    assert q.count() > 2 * exact.WAVE
+    for name, run in runs.items():
+        assert ids(run()) == whole[name], name
+    assert cfi.inner_error(base, found, q).first() == pytest.approx(errors)
+
+
+def _order(*by):
+    return Window.partitionBy(*by).orderBy(F.desc("score"), "id")
+
+
 def test_centroids_do_not_depend_on_partitions(a):
     base = a[0]
     assert np.array_equal(coarse.fit(base, 8, 3), coarse.fit(base.repartition(7), 8, 3))
