@@ -43,19 +43,22 @@ SIGNS = ("＠﹫。．․＋﹢‐‑‒–－−", "@@...++------")
 INVISIBLE = "­​‌‍⁠﻿"
 DIGIT_WORDS = {"zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "four": "4", "five": "5", "six": "6", "seven": "7", "eight": "8", "nine": "9"}
 REPEATS = {"double": 2, "triple": 3}
+MARKS = {"plus": "+", "dot": ".", "point": ".", "dash": "-", "hyphen": "-"}
 
 AT = r"\s*[\(\[\{<]\s*(?:at|@)\s*[\)\]\}>]\s*"
 DOT = r"\s*[\(\[\{<]\s*(?:dot|\.)\s*[\)\]\}>]\s*"
 BRACKETED = re.compile(AT + "|" + DOT, re.I)
 _PART = r"[A-Za-z0-9_%+-]+"
-# Endings that make "name at host dot ending" an address; none is a common word of prose.
+# Endings that alone make "name at host dot ending" an address; none is a common word of prose.
 ENDINGS = ("com", "org", "net", "edu", "gov", "mil", "int", "info", "biz", "dev", "app", "io", "ai", "co", "uk", "de", "fr", "es", "eu", "ca", "ch", "nl", "pl", "pt", "ru", "se", "dk", "fi", "cz", "gr", "hu", "ie", "jp", "cn", "kr", "br", "mx", "ar", "cl", "au", "nz", "za", "tv", "test", "example", "invalid")
-#: name at host dot ending; plain words need both "at" and "dot" and a known ending, prose seldom has them so.
-WORDED = re.compile(rf"(?<![A-Za-z0-9]){_PART}(?:(?:\.|\s+dot\s+){_PART}){{0,3}}(?:\s+at\s+|@)(?!(?:the|a|an|this|that)\s)[A-Za-z0-9-]+(?:(?:\.|\s+dot\s+)[A-Za-z0-9-]+){{0,3}}\s+dot\s+(?:{'|'.join(ENDINGS)})(?![A-Za-z0-9])", re.I)
+#: name at host dot ending; ``worded`` asks for a known ending or other evidence, prose seldom has either.
+WORDED = re.compile(rf"(?<![A-Za-z0-9]){_PART}(?:(?:\.|\s+dot\s+){_PART}){{0,3}}(?:\s+at\s+|@)(?!(?:the|a|an|this|that)\s)[A-Za-z0-9-]+(?:(?:\.|\s+dot\s+)[A-Za-z0-9-]+){{0,3}}\s+dot\s+[A-Za-z]{{2,}}(?![A-Za-z0-9])", re.I)
+_CUE = re.compile(r"mail|contact|address", re.I)
 _AT_WORD, _DOT_WORD = re.compile(r"\s+at\s+", re.I), re.compile(r"\s+dot\s+", re.I)
 _NUM = "|".join([*DIGIT_WORDS, *REPEATS])
 SPELLED = re.compile(rf"\+?\s*(?:\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9.()-])(?:[\s,.()-]*(?:\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9]))*", re.I)
-_TOKEN = re.compile(rf"\b({_NUM}|plus|dot|point|dash|hyphen)\b", re.I)
+_TOKEN = re.compile(rf"\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9]+", re.I)
+_DOTS = re.compile(r"\b(?:dot|point)\b", re.I)
 _HAS_NUMBER_WORD = re.compile(rf"\b(?:{'|'.join(DIGIT_WORDS)})\b", re.I)
 
 
@@ -155,34 +158,63 @@ def undo_brackets(tape: Tape) -> None:
     tape.rewrite([(*m.span(), "@" if re.search("at|@", m.group(), re.I) else ".") for m in BRACKETED.finditer(tape.text)])
 
 
+def worded(t: str) -> Iterator[re.Match[str]]:
+    """Worded addresses: a known ending, "@", a name with dots, signs or digits, a host of several parts, or a cue before them."""
+    at = 0
+    while m := WORDED.search(t, at):
+        name, sign, host = re.split(r"(\s+at\s+|@)", m.group(), maxsplit=1, flags=re.I)
+        known = host.split()[-1].lower() in ENDINGS
+        if known or sign == "@" or re.search(r"[^A-Za-z]", name) or len(re.findall(r"\.|\s+dot\s+", host, re.I)) > 1 or _CUE.search(t, max(0, m.start() - 40), m.start()):
+            yield m
+            at = m.end()
+        else:
+            at = m.start() + 1
+
+
 def undo_words(tape: Tape) -> None:
     edits = []
-    for w in WORDED.finditer(tape.text):
+    for w in worded(tape.text):
         found = [(*m.span(), "@") for m in _AT_WORD.finditer(tape.text, *w.span())] + [(*m.span(), ".") for m in _DOT_WORD.finditer(tape.text, *w.span())]
         edits += sorted(found)
     tape.rewrite([e for i, e in enumerate(edits) if not i or e[0] >= edits[i - 1][1]])
 
 
+def _telling(run: str) -> bool:
+    """Whether a run has spelled digits, or dots of an address, and the four digits that the shortest identifier has."""
+    words = [w.lower() for w in _TOKEN.findall(run)]
+    n, times, spelled, dots = 0, 1, False, 0
+    for w in words:
+        n += times * (1 if w in DIGIT_WORDS else len(w) if w.isdigit() else 0)
+        times, spelled, dots = REPEATS.get(w, 1), spelled or w in DIGIT_WORDS, dots + (w in ("dot", "point"))
+    return n >= 4 and (spelled or dots >= 3)
+
+
 def undo_spelled(tape: Tape) -> None:
-    """Runs with at least four spelled digits become digits; spaces and commas between two of them go."""
+    """Spelled digits become digits, however few of them stand among others; the detectors decide what they make.
+
+    Spaces and commas go between two words and beside a sign, and are one space between a digit and a spelled one.
+    """
     edits: list[tuple[int, int, str]] = []
     for run in SPELLED.finditer(tape.text):
-        words = [m for m in _TOKEN.finditer(tape.text, *run.span())]
-        if sum(m.group().lower() in DIGIT_WORDS for m in words) < 4:
+        if not _telling(run.group()):
             continue
-        times, last = 1, None
-        for m in words:
+        times, last, before = 1, None, ""
+        for m in _TOKEN.finditer(tape.text, *run.span()):
             w = m.group().lower()
+            if last is not None and re.fullmatch(r"[\s,]+", between := tape.text[last : m.start()]):
+                figures = before.isdigit() + w.isdigit()
+                put = between if figures == 2 else "" if not figures or w in MARKS or before in MARKS or before in REPEATS else " "
+                if put != between:
+                    edits.append((last, m.start(), put))
             if w in REPEATS:
                 times = REPEATS[w]
                 edits.append((*m.span(), ""))
             else:
-                put = DIGIT_WORDS[w] * times if w in DIGIT_WORDS else {"plus": "+", "dot": ".", "point": ".", "dash": "-", "hyphen": "-"}[w]
-                edits.append((*m.span(), put))
+                put = w * (times if len(w) == 1 else 1) if w.isdigit() else DIGIT_WORDS[w] * times if w in DIGIT_WORDS else MARKS[w]
+                if put != w:
+                    edits.append((*m.span(), put))
                 times = 1
-            if last is not None and re.fullmatch(r"[\s,]+", between := tape.text[last : m.start()]) and between:
-                edits.insert(-1, (last, m.start(), ""))
-            last = m.end()
+            last, before = m.end(), w
     tape.rewrite(edits)
 
 
@@ -193,9 +225,9 @@ def _windows(t: str, room: int = 200) -> list[Span]:
         hits += [m.span() for m in BRACKETED.finditer(t)]
     low = t.lower() if len(t.lower()) == len(t) else t
     if " dot " in low and (" at " in low or "@" in low):
-        hits += [m.span() for m in WORDED.finditer(t)]
-    if _HAS_NUMBER_WORD.search(t):
-        hits += [m.span() for m in SPELLED.finditer(t) if len(_HAS_NUMBER_WORD.findall(m.group())) >= 4]
+        hits += [m.span() for m in worded(t)]
+    if _HAS_NUMBER_WORD.search(t) or len(_DOTS.findall(t)) >= 3:
+        hits += [m.span() for m in SPELLED.finditer(t) if _telling(m.group())]
     out: list[list[int]] = []
     for a, b in sorted(hits):
         a, b = max(0, a - room), min(len(t), b + room)

@@ -238,6 +238,31 @@ def test_clean_prose_is_left_alone(text):
     assert not any(pii.scan(text)[1].values()) and pii.mask(text) == text
 
 
+@pytest.mark.parametrize(
+    "text,kind,part",
+    [
+        ("call +1 415 five five five 0199 now", "phone", "+1 415 five five five 0199"),
+        ("call plus one 415 555 0199 now", "phone", "plus one 415 555 0199"),
+        ("card 4111 1111 1111 111 one end", "card", "4111 1111 1111 111 one"),
+        ("ip 192 dot 168 dot one dot 1 ok", "ip", "192 dot 168 dot one dot 1"),
+        ("ip 10 dot 0 dot 0 dot 1 ok", "ip", "10 dot 0 dot 0 dot 1"),
+        ("jane@mail dot xyz too", "email", "jane@mail dot xyz"),
+        ("or jane7 at example dot shop today", "email", "jane7 at example dot shop"),
+        ("or jane dot doe at example dot it today", "email", "jane dot doe at example dot it"),
+        ("or jane at mail dot example dot be today", "email", "jane at mail dot example dot be"),
+        ("my e-mail: jane at example dot online today", "email", "jane at example dot online"),
+    ],
+)
+def test_few_spelled_digits_and_any_ending(text, kind, part):
+    base, both = pii.scan(text)
+    assert not base[kind] and [text[a:b] for a, b in both[kind]] == [part]
+
+
+@pytest.mark.parametrize("text", ["we looked at red dot on the map", "one of 2000 people, 3 plus two", "in 2019, one point 5 of 1000", "section 1.2.3. one thing", "he glanced at blue dot me at one"])
+def test_few_digits_of_prose_are_left_alone(text):
+    assert pii.mask(text) == text
+
+
 def test_pii_rows(spark, docs, rows):
     more = spark.createDataFrame([(900, "a@b.co and c@d.org", "en", "s", 1, 1, 1, 0.0, "h")], docs.schema)
     got = {r.doc_id: r for r in pii.find(docs.unionByName(more)).collect()}
