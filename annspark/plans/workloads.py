@@ -213,18 +213,23 @@ REGIMES = {96: ((48, 8), (48, 10), (96, 8)), 128: ((64, 8), (64, 10), (128, 8)),
 NARROW = {d: ((d, 4), (d, 5), (d, 8)) for d in REGIMES}
 
 
-def w07_nine_cells(spark, sf_dir, dims=(96,), regimes=("bit",), seeds=(42,), n: int = 3, narrow: bool = True, methods=("cfi", "stale", "retrain", "ceiling")) -> DataFrame:
-    """A tenth first, then n equal batches; three dimensions by three memory regimes by three seeds. The full protocol: dims (96, 128, 200),
-    regimes ("sub", "bit", "super"), seeds SEEDS, n=9, narrow=False at 0.1 and above."""
+def w07_nine_cells(spark, sf_dir, dims=(96, 128, 200), regimes=("sub", "bit", "super"), seeds=SEEDS, n: int = 9, narrow: bool | None = None, methods=("cfi", "stale", "retrain", "ceiling")) -> DataFrame:
+    """A tenth first, then n equal batches; three dimensions by three memory regimes by three seeds.
+
+    narrow: False takes REGIMES, True takes NARROW and a fifth first; None takes REGIMES and, where the first batch has fewer rows than
+    a codebook has codes, NARROW beside it."""
     runs = Runs("w07")
     for d in dims:
         s = f"D({d})"
         base, q, _, _ = load(spark, sf_dir, s)
         for seed in seeds:
             b = ds.batches(base, 0.2 if narrow else 0.1, n, "shuffled", seed).persist()
+            n0 = b.where("batch = 0").count()
             for name in regimes:
-                m, bits = (NARROW if narrow else REGIMES)[d][("sub", "bit", "super").index(name)]
-                _arms(runs, s, base, q, d, b, seed, m, bits, f"{name} m={m} b={bits} x{cost.regime(m, bits, d):.2f}", methods=methods)
+                wide, slim = (x[d][("sub", "bit", "super").index(name)] for x in (REGIMES, NARROW))
+                chosen = (slim if narrow else wide,) if narrow is not None else (wide, slim) if n0 < 1 << wide[1] and slim != wide else (wide,)
+                for m, bits in chosen:
+                    _arms(runs, s, base, q, d, b, seed, m, bits, f"{name} m={m} b={bits} x{cost.regime(m, bits, d):.2f}", methods=methods)
             b.unpersist()
     out = runs.frame(spark)
     change = metrics.delta(out.where("metric = 'recall'"), ["workload", "dataset", "method", "regime", "seed"])

@@ -93,6 +93,21 @@ def test_searches_go_over_all_waves(a, index, monkeypatch):
     assert cfi.inner_error(base, found, q).first() == pytest.approx(errors)
 
 
+def test_w07_runs_every_cell(spark, monkeypatch):
+    cells = []
+
+    def arms(runs, s, base, q, d, b, seed, m, bits, regime, **more):
+        cells.append((d, seed, m, bits))
+        assert [r.batch for r in b.select("batch").distinct().orderBy("batch").collect()] == list(range(10))
+        runs.add(s, "cfi", 0.5, regime=regime, seed=seed, batch=0)
+
+    monkeypatch.setattr(workloads, "_arms", arms)
+    assert workloads.WORKLOADS["w07_nine_cells"](spark, SF).count() > 0
+    assert {(d, seed, *x) for d in (96, 128, 200) for seed in workloads.SEEDS for x in workloads.REGIMES[d]} <= set(cells)
+    assert {(d, seed, *x) for d in (96, 128, 200) for seed in workloads.SEEDS for x in workloads.NARROW[d]} <= set(cells)  # 18 rows first
+    assert len(cells) == len(set(cells))
+
+
 def _order(*by):
     return Window.partitionBy(*by).orderBy(F.desc("score"), "id")
 
