@@ -14,21 +14,32 @@ from pyspark.sql import functions as F
 
 from annspark.operators import cfi, coarse
 
+#: Slices of a cell's seeded order are made so that each holds about as many rows as there are slices, and this many at least.
+SLICE = 512
 
-def sample(codes: DataFrame, size: int, seed: int = 42) -> DataFrame:
-    """(cell, id): proportional to cell sizes, one a cell at least, in seeded order."""
-    n = codes.count()
-    share = min(1.0, size / max(n, 1))
-    sizes = codes.groupBy("cell").agg(F.greatest(F.lit(1), F.ceil(F.count("*") * F.lit(share))).alias("quota"))
-    w = Window.partitionBy("cell").orderBy(coarse.seeded_order(seed), "id")
-    ranked = codes.select("cell", "id").withColumn("r", F.row_number().over(w)).join(F.broadcast(sizes), "cell")
-    return ranked.where(F.col("r") <= F.col("quota")).select("cell", "id")
 
+def sample(codes: DataFrame, size: int, seed: int = 42) -> DataFrame:
+    """(cell, id): proportional to cell sizes, one a cell at least, in seeded order.
 
-def sample_by_threshold(codes: DataFrame, size: int, seed: int = 42) -> DataFrame:
-    """The same in expectation as a filter, without a shuffle: for tables where sorting cells costs too much."""
-    share = min(1.0, size / max(codes.count(), 1))
-    return codes.where(F.pmod(F.xxhash64(F.lit(seed), "id"), F.lit(1 << 20)) < int(share * (1 << 20))).select("cell", "id")
+    No cell is sorted as a whole. Its seeded order, a uniform hash, is cut in slices that are counted first: those that lie under the cell's quota
+    as a whole are taken by a filter, and only the slice in which the quota ends is ranked. Hot cells are so spread over tasks.
+    """
+    keyed = codes.select("cell", "id", coarse.seeded_order(seed).alias("o"))
+    sizes = codes.groupBy("cell").agg(F.count("*").alias("n"))
+    total = sizes.agg(F.sum("n")).first()[0] or 0
+    share = min(1.0, size / max(total, 1))
+    quotas = sizes.select("cell", F.greatest(F.lit(1), F.ceil(F.col("n") * F.lit(share))).alias("quota"), F.greatest(F.lit(1), F.least(F.sqrt("n"), F.col("n") / SLICE)).cast("long").alias("slices"))
+    # the first 28 bits of the order as a share of the cell
+    at = F.conv(F.substring("o", 1, 7), 16, 10).cast("long")
+    sliced = keyed.join(F.broadcast(quotas), "cell").withColumn("slice", F.shiftright(at * F.col("slices"), 28))
+    counts = sliced.groupBy("cell", "slice").agg(F.count("*").alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.partitionBy("cell").orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    # a row a slice: sqrt(n) of a cell at most
+    taken = counts.withColumn("before", before).join(F.broadcast(quotas.select("cell", "quota")), "cell").where("before < quota").select("cell", "slice", (F.col("quota") - F.col("before")).alias("left"), (F.col("quota") - F.col("before") >= F.col("n")).alias("whole"))
+    some = sliced.join(taken, ["cell", "slice"])
+    w = Window.partitionBy("cell", "slice").orderBy("o", "id")
+    last = some.where("NOT whole").withColumn("r", F.row_number().over(w)).where("r <= left")
+    return some.where("whole").select("cell", "id").unionByName(last.select("cell", "id"))
 
 
 @dataclass(frozen=True)

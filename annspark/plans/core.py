@@ -79,6 +79,15 @@ def _search(tag: str, cent: str | None, n_p: int, k: int, out: str, extra: str =
 {out}t AS MATERIALIZED (SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY score DESC, id) AS rank, id, score FROM {out} QUALIFY rank <= {k})"""
 
 
+def _batched(src: str = "base", n: int = 4) -> str:
+    return f"bb AS MATERIALIZED (SELECT id, v, id * {n} // (SELECT max(id) + 1 FROM {src}) AS batch FROM {src})"
+
+
+def _sample(src: str = "xx", size: str = "count(*) // 10") -> str:
+    """sm: coded rows by cell, as ``refresh.sample`` takes them."""
+    return f"sz AS (SELECT cell, greatest(1, ceil(count(*) * least(1.0::DOUBLE, (SELECT {size} FROM {src})::DOUBLE / (SELECT count(*) FROM {src})))) AS quota FROM {src} GROUP BY cell), sm AS MATERIALIZED (SELECT cell, id FROM (SELECT cell, id, quota, row_number() OVER (PARTITION BY cell ORDER BY md5('42:' || id), id) AS r FROM {src} JOIN sz USING (cell)) WHERE r <= quota)"
+
+
 def _with(*parts: str) -> str:
     return "WITH " + ",\n".join(p.strip() for p in parts)
 
@@ -93,6 +102,12 @@ def _e(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
     return ds.split(ds.embeddings(spark, sf_dir))
 
 
+def batched(df: DataFrame, n: int = 4) -> DataFrame:
+    """df with a batch number: n equal shares of the range of ids."""
+    top = df.agg(F.max("id").alias("top"))
+    return df.crossJoin(F.broadcast(top)).withColumn("batch", F.expr(f"CAST(id * {n} DIV (top + 1) AS INT)")).drop("top")
+
+
 def _index(base: DataFrame, stage2: str = "sign", b: int = BITS, cells: int = L) -> tuple[cfi.Index, DataFrame]:
     return cfi.build(base, cells, b, stage2, SEED, ROUNDS, d=D, exact_norm=True)
 
@@ -247,7 +262,7 @@ def cfi_recall_by_nprobe(spark, sf_dir):
 def cfi_insert_batches(spark, sf_dir):
     """Partition fitted on the first batch, the others appended unchanged; recall of the cumulative table after each."""
     base, q = _e(spark, sf_dir)
-    b = base.withColumn("batch", F.least(F.lit(3), F.floor(F.col("id") / 100)).cast("int"))
+    b = batched(base)
     index, _ = cfi.build(b.where("batch = 0").select("id", "v"), 8, BITS, "sign", SEED, ROUNDS, d=D, exact_norm=True)
     codes = cfi.encode(b, index).join(b.select("id", "batch"), "id")
     found = exact.accumulate(cfi.search(codes, index, q, K, NP, extra="batch").drop("rank"), K)
@@ -258,20 +273,25 @@ def cfi_insert_batches(spark, sf_dir):
 
 
 def _old_epoch(spark, sf_dir):
+    """An index fitted on the first quarter of the ids, and the codes of all rows under it."""
     base, _ = _e(spark, sf_dir)
-    index, _ = cfi.build(base.where("id < 200"), 8, BITS, "sign", SEED, 2, d=D, exact_norm=True)
+    index, _ = cfi.build(batched(base).where("batch = 0").select("id", "v"), 8, BITS, "sign", SEED, 2, d=D, exact_norm=True)
     return base, index, cfi.encode(base, index)
 
 
+def _tenth(df: DataFrame) -> int:
+    return df.count() // 10
+
+
 def refresh_sample(spark, sf_dir):
     _, _, codes = _old_epoch(spark, sf_dir)
-    return refresh.sample(codes, 90, SEED).select("cell", F.col("id").alias("vec_id"))
+    return refresh.sample(codes, _tenth(codes), SEED).select("cell", F.col("id").alias("vec_id"))
 
 
 def _refreshed(raw: bool):
     def run(spark, sf_dir):
         base, index, codes = _old_epoch(spark, sf_dir)
-        _, new = refresh.run(index, codes, base if raw else None, size=90, cells=8, iters=2, seed=SEED)
+        _, new = refresh.run(index, codes, base if raw else None, size=_tenth(base), cells=8, iters=2, seed=SEED)
         return new.select(F.col("epoch").cast("long").alias("epoch"), F.col("id").alias("vec_id"), "cell")
 
     return run
@@ -466,7 +486,7 @@ def oracle_sql() -> dict[str, str]:
     out["cfi_search_joined"] = out["cfi_search_sign"]
     # inserts: partition of the first batch, all rows encoded, cumulative search and truth
     out["cfi_insert_batches"] = (
-        _with(E_SQL, "bb AS MATERIALIZED (SELECT id, v, least(3, id // 100) AS batch FROM base)", "b0 AS (SELECT id, v FROM bb WHERE batch = 0)", _rot(), _kmeans("b0", 8), _encode("base", cent, q4, "x", True), _turned(),
+        _with(E_SQL, _batched(), "b0 AS (SELECT id, v FROM bb WHERE batch = 0)", _rot(), _kmeans("b0", 8), _encode("base", cent, q4, "x", True), _turned(),
               f"sp AS MATERIALIZED (SELECT qid, t, p.cell, list_dot_product(qv, c) AS ip FROM tq, {cent} p QUALIFY row_number() OVER (PARTITION BY qid ORDER BY ip DESC, p.cell) <= {NP})",
               "s AS MATERIALIZED (SELECT qid, id, batch, ip + norm * list_dot_product(t, dec) AS score FROM sp JOIN xx USING (cell) JOIN bb USING (id))",
               f"f AS (SELECT u.t AS batch, qid, id, row_number() OVER (PARTITION BY u.t, qid ORDER BY score DESC, id) AS rank FROM s, range(0, 4) u(t) WHERE s.batch <= u.t QUALIFY rank <= {K})",
@@ -474,8 +494,8 @@ def oracle_sql() -> dict[str, str]:
               f"r AS (SELECT batch, qid, count(f.id) / {K}.0 AS r FROM g LEFT JOIN f USING (batch, qid, id) GROUP BY batch, qid)", "n AS (SELECT batch, count(*) AS n FROM bb GROUP BY batch)")
         + " SELECT r.batch AS batch, any_value(n) AS n, round(avg(r), 4) AS recall FROM r JOIN n ON n.batch = r.batch GROUP BY r.batch"
     )
-    old = (E_SQL, "b0 AS (SELECT id, v FROM base WHERE id < 200)", _rot(), _kmeans("b0", 8, 2), _encode("base", "c2", q4, "x", True))
-    pick = "sz AS (SELECT cell, greatest(1, ceil(count(*) * (90.0::DOUBLE / (SELECT count(*) FROM xx)))) AS quota FROM xx GROUP BY cell), sm AS MATERIALIZED (SELECT cell, id FROM (SELECT cell, id, quota, row_number() OVER (PARTITION BY cell ORDER BY md5('42:' || id), id) AS r FROM xx JOIN sz USING (cell)) WHERE r <= quota)"
+    old = (E_SQL, _batched(), "b0 AS (SELECT id, v FROM bb WHERE batch = 0)", _rot(), _kmeans("b0", 8, 2), _encode("base", "c2", q4, "x", True))
+    pick = _sample()
     out["refresh_sample"] = _with(*old, pick) + " SELECT cell, id AS vec_id FROM sm"
     again = lambda src: (f"smv AS MATERIALIZED (SELECT id, v FROM {src} WHERE id IN (SELECT id FROM sm))", _kmeans("smv", 8, 2, tag="k"))
     final = lambda src: f" SELECT 1 AS epoch, b.id AS vec_id, p.cell FROM {src} b, k2 p QUALIFY row_number() OVER (PARTITION BY b.id ORDER BY list_dot_product(b.v, p.c) DESC, p.cell) = 1"

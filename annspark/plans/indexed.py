@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import functions as F
 
 from annspark.functions import udfs
-from annspark.operators import cfi, coarse
+from annspark.operators import cfi, coarse, refresh
 from annspark.plans import core, relational
 from annspark.sources import datasets as ds
 from annspark.sources import datasource, layout
@@ -48,25 +48,38 @@ def stored_search(spark, sf_dir):
     return core._shown(cfi.search(codes, index, q, core.K, core.NP))
 
 
-def _streamed(spark, sf_dir, twice: bool):
+def _streamed(spark, sf_dir, replayed: bool = False, **more):
+    """A quarter of the rows makes the index, three come in by stream. (queries, index path, number of rows)."""
     base, q = core._e(spark, sf_dir)
-    b = base.withColumn("batch", F.least(F.lit(3), F.floor(F.col("id") / 100)).cast("int"))
-    index, _ = cfi.build(b.where("batch = 0").select("id", "v"), 8, core.BITS, "sign", core.SEED, core.ROUNDS, d=core.D, exact_norm=True)
+    b = core.batched(base)
+    first = b.where("batch = 0").select("id", "v")
+    index, codes = cfi.build(first, 8, core.BITS, "sign", core.SEED, core.ROUNDS, d=core.D, exact_norm=True)
     path, src, ckpt = (_path(spark, n) for n in ("stream", "arrivals", "checkpoint"))
-    coarse.to_frame(spark, index.c, 0).drop("epoch").coalesce(1).write.parquet(f"{path}/centroids/epoch=0")
-    ingest.arrivals(b, src)
-    ingest.start(spark, src, index, path, ckpt).awaitTermination()
-    if twice:  # a replay of a batch that was committed before
-        layout.append(b.where("batch = 2").select("id", "v"), index, path, 2)
-    return q, layout.load(spark, path)
+    layout.create(codes, index, path)
+    ingest.arrivals(b.where("batch > 0").withColumn("batch", F.col("batch") - 1), src)
+    ingest.start(spark, src, path, ckpt, **more).awaitTermination()
+    if replayed:  # a batch that was committed before
+        ingest.insert(b.where("batch = 2"), 1, path)
+    return q, path
 
 
 def stream_ingest(spark, sf_dir):
-    """Four arrival files through Structured Streaming, one replayed; search of the result."""
-    q, (index, codes) = _streamed(spark, sf_dir, True)
+    """Three arrival files through Structured Streaming, one replayed; search of the result."""
+    q, path = _streamed(spark, sf_dir, True)
+    index, codes = layout.load(spark, path)
     return core._shown(cfi.search(codes, index, q, core.K, core.NP))
 
 
+def stream_refresh(spark, sf_dir):
+    """The same stream with a refresh inside it, due after two fifths of the table are inserted: the second batch makes it, the third
+    joins the new epoch. Every row and its cell, as stored."""
+    base, _ = core._e(spark, sf_dir)
+    every = base.count() * 2 // 5
+    _, path = _streamed(spark, sf_dir, refresh_when=refresh.Trigger(every=every), raw=base, options={"iters": 2, "seed": core.SEED})
+    index, codes = layout.load(spark, path)
+    return codes.select(F.lit(index.epoch).cast("long").alias("epoch"), F.col("id").alias("vec_id"), "cell")
+
+
 def udf_encode(spark, sf_dir):
     encode = udfs.encoder(cfi.Index(core.D, core.BITS, None, "sign", core.SEED))
     coded = ds.table(spark, sf_dir, "embeddings").where("vec_id % 10 <> 0").select("vec_id", encode(F.col("embedding").cast("array<double>")).alias("code"))
@@ -109,7 +122,7 @@ def st_join_stream(spark, sf_dir):
 def st_drift_state(spark, sf_dir):
     """Final state per cell of the running affinity of inserted vectors."""
     base, _ = core._e(spark, sf_dir)
-    b = base.withColumn("batch", F.least(F.lit(3), F.floor(F.col("id") / 100)).cast("int"))
+    b = core.batched(base)
     c = coarse.fit(b.where("batch = 0").select("id", "v"), 8, core.ROUNDS, core.SEED)
     src = _path(spark, "arrivals")
     ingest.arrivals(b, src)
@@ -118,21 +131,23 @@ def st_drift_state(spark, sf_dir):
     return states.groupBy("cell").agg(F.max("n").alias("n"), F.round(F.max_by("affinity", "n"), 6).alias("affinity"))
 
 
-QUERIES = {f.__name__: f for f in (sink_codes_by_cell, ds_cfi_read, stored_search, stream_ingest, udf_encode, udtf_probe, st_watermark_late, st_dedup, st_join_static, st_join_stream, st_drift_state)}
+QUERIES = {f.__name__: f for f in (sink_codes_by_cell, ds_cfi_read, stored_search, stream_ingest, stream_refresh, udf_encode, udtf_probe, st_watermark_late, st_dedup, st_join_static, st_join_stream, st_drift_state)}
 
 
 def oracle_sql() -> dict[str, str]:
     own = core.oracle_sql()
     cent = f"c{core.ROUNDS}"
     assigned = core._with(core.E_SQL, core._kmeans()) + f", a AS (SELECT b.id, p.cell FROM base b, {cent} p QUALIFY row_number() OVER (PARTITION BY b.id ORDER BY list_dot_product(b.v, p.c) DESC, p.cell) = 1)"
-    b0 = core._with(core.E_SQL, "b0 AS (SELECT id, v FROM base WHERE id < 100)", core._kmeans("b0", 8))
+    first = (core.E_SQL, core._batched(), "b0 AS (SELECT id, v FROM bb WHERE batch = 0)")
+    b0 = core._with(*first, core._kmeans("b0", 8))
     q4 = core.scalarq.design(core.BITS, core.D)
     even = assigned + " SELECT cell, count(*) AS n FROM a WHERE cell % 2 = 0 GROUP BY cell"
     return {
         "sink_codes_by_cell": even,
         "ds_cfi_read": even,
         "stored_search": own["cfi_search_sign"],
-        "stream_ingest": core._with(core.E_SQL, "b0 AS (SELECT id, v FROM base WHERE id < 100)", core._rot(), core._kmeans("b0", 8), core._encode("base", cent, q4, "x", True), core._turned(), core._search("x", cent, core.NP, core.K, "s")) + " SELECT qid, rank, id AS vec_id, round(score, 6) AS score FROM st",
+        "stream_ingest": core._with(*first, core._rot(), core._kmeans("b0", 8), core._encode("base", cent, q4, "x", True), core._turned(), core._search("x", cent, core.NP, core.K, "s")) + " SELECT qid, rank, id AS vec_id, round(score, 6) AS score FROM st",
+        "stream_refresh": core._with(*first, core._kmeans("b0", 8), "seen AS (SELECT id, v FROM bb WHERE batch <= 2)", f"xx AS MATERIALIZED (SELECT b.id, p.cell FROM seen b, {cent} p QUALIFY row_number() OVER (PARTITION BY b.id ORDER BY list_dot_product(b.v, p.c) DESC, p.cell) = 1)", core._sample(size="greatest(64 * 8, count(*) // 10)"), "smv AS MATERIALIZED (SELECT id, v FROM base WHERE id IN (SELECT id FROM sm))", core._kmeans("smv", 8, 2, tag="k")) + " SELECT 1 AS epoch, b.id AS vec_id, p.cell FROM base b, k2 p QUALIFY row_number() OVER (PARTITION BY b.id ORDER BY list_dot_product(b.v, p.c) DESC, p.cell) = 1",
         "udf_encode": own["gsq_codes"],
         "udtf_probe": own["cfi_probe"],
         "st_dedup": "SELECT event_id, event_type FROM events",

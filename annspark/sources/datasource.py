@@ -18,6 +18,8 @@ from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, In, InputPartition
 from pyspark.sql.types import StructType
 
+from annspark.sources.layout import OPENS, spread
+
 SCHEMA = "id long, cell long, code binary, sign binary, res_norm short, norm double"
 
 
@@ -57,20 +59,24 @@ class _PushingReader(_Reader):
 
 
 def _plan(reader: _Reader) -> list[InputPartition]:
+    """The files of the live epoch, by the manifest's rules (``layout.live``), without a Spark session."""
     fs, root = _fs(reader.path)
-    live = set()
+    commits: list[dict] = []
     for info in fs.get_file_info(pafs.FileSelector(f"{root}/manifest")):
         if info.path.endswith(".json"):
             with fs.open_input_stream(info.path) as f:
-                live |= {(r["epoch"], r["batch"]) for r in map(json.loads, f.read().decode().splitlines()) if r["state"] == "live"}
-    newest = max(e for e, _ in live)
+                commits += map(json.loads, f.read().decode().splitlines())
+    newest = max(r["epoch"] for r in commits if r["batch"] == OPENS)
+    rows = sorted((r for r in commits if r["epoch"] == newest), key=lambda r: r["folders"])
+    first = next(r for r in rows if r["batch"] == OPENS)
+    covered = set(spread(first["covers"]))
+    later = {r["batch"]: r["folders"] for r in rows if r["batch"] != OPENS and r["batch"] not in covered}
     wanted = None if reader.cells is None else {c % reader.buckets for c in reader.cells}
     out: list[InputPartition] = []
-    for e, b in sorted(live):
-        if e == newest:
-            for info in fs.get_file_info(pafs.FileSelector(f"{root}/codes/epoch={e}/batch={b}", recursive=True)):
-                if info.path.endswith(".parquet") and (wanted is None or int(info.path.split("cell_bucket=")[1].split("/")[0]) in wanted):
-                    out.append(_File(info.path, reader.cells))
+    for folder in [*first["folders"], *(f for b in sorted(later) for f in later[b])]:
+        for info in fs.get_file_info(pafs.FileSelector(f"{root}/codes/{folder}", recursive=True)):
+            if info.path.endswith(".parquet") and (wanted is None or int(info.path.split("cell_bucket=")[1].split("/")[0]) in wanted):
+                out.append(_File(info.path, reader.cells))
     return out or [_File("", [])]
 
 

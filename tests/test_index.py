@@ -1,5 +1,7 @@
 """The index, its baselines and measures on small vectors."""
 
+import hashlib
+import math
 from dataclasses import replace
 
 import numpy as np
@@ -12,6 +14,7 @@ from annspark.operators import cfi, coarse, diagnostics, exact, graph, lsh, pq,
 from annspark.plans import workloads
 from annspark.sources import datasets as ds
 from annspark.sources import datasource, layout
+from annspark.streaming import ingest
 from tests.conftest import SF
 
 K = 10
@@ -249,7 +252,7 @@ def test_layout_replay_and_refresh(spark, a, index, tmp_path):
     path = str(tmp_path / "idx")
     layout.create(cfi.encode(base.where("id < 250"), idx), idx, path, 4)
     for _ in range(2):  # the same batch twice
-        layout.append(base.where("id >= 250"), idx, path, 0, 4)
+        layout.append(base.where("id >= 250"), path, 0, 4)
     live, codes = layout.load(spark, path)
     assert codes.count() == base.count() and live.cells == idx.cells
     assert ids(cfi.search(codes, live, q, K, 3)) == ids(cfi.search(cfi.encode(base, idx), idx, q, K, 3))
@@ -261,11 +264,80 @@ def test_layout_replay_and_refresh(spark, a, index, tmp_path):
     for option, value in (("cells", "5"), ("pushdown", True)):
         one = spark.read.format("cfi").option("path", path).option("buckets", 4).option(option, value).load()
         assert one.where("cell = 5").count() == codes.where("cell = 5").count()
-    new = layout.refresh(spark, path, base, size=100, iters=2)
+    new = layout.refresh(spark, path, base, 4, size=100, iters=2)
     after, codes = layout.load(spark, path)
     assert after.epoch == new.epoch == 1 and codes.count() == base.count()
 
 
+@pytest.mark.parametrize("raw", [True, False])
+def test_no_insert_is_lost_to_a_refresh(spark, a, index, tmp_path, monkeypatch, raw):
+    """Batches that come before a refresh, while it stages, between its last look and the opening, right after that, and later."""
+    base, path = a[0], str(tmp_path / "idx")
+    idx, _ = index
+    part = lambda i: base.where(F.col("id") % 7 == i)
+    layout.create(cfi.encode(part(0), idx), idx, path, 4)
+    layout.append(part(1), path, 0, 4)
+    run, commit = refresh.run, layout.commit
+
+    def staging(*args, **more):
+        out = run(*args, **more)
+        layout.append(part(2), path, 1, 4)
+        return out
+
+    def opening(spark_, path_, new, batch, *args, **more):
+        if batch == layout.OPENS:
+            monkeypatch.setattr(layout, "commit", commit)
+            layout.append(part(3), path, 2, 4)
+            commit(spark_, path_, new, batch, *args, **more)
+            layout.append(part(4), path, 3, 4)
+            layout.append(part(3), path, 2, 4)  # the stream replays it: the new epoch does not have it yet
+        else:
+            commit(spark_, path_, new, batch, *args, **more)
+
+    monkeypatch.setattr(refresh, "run", staging)
+    monkeypatch.setattr(layout, "commit", opening)
+    layout.refresh(spark, path, base if raw else None, 4, size=100, iters=2)
+    monkeypatch.undo()
+    assert layout.append(part(5), path, 4, 4) == 1
+    now = layout.live(spark, path)
+    _, codes = layout.load(spark, path)
+    assert sorted(r.id for r in codes.select("id").collect()) == sorted(r.id for r in base.where("id % 7 < 6").select("id").collect())
+    assert now.batches == {0, 1, 2, 3, 4} and now.rows == codes.count() and codes.select("epoch").distinct().collect()[0][0] == 1
+    assert now.index.inserted == base.where("id % 7 BETWEEN 2 AND 5").count()
+    datasource.register(spark)
+    assert spark.read.format("cfi").option("path", path).option("buckets", 4).load().count() == codes.count()
+    again = layout.refresh(spark, path, base, 4, size=100, iters=1)
+    assert again.epoch == 2 and again.inserted == 0 and layout.live(spark, path).batches == {0, 1, 2, 3, 4} and layout.load(spark, path)[1].count() == codes.count()
+
+
+def test_stream_refreshes_by_rows_and_by_drift(spark, a, index, tmp_path):
+    base, _, _ = a
+    idx, _ = index
+    turned = ds.rotated(base, 64, 99)
+    for name, trigger, rows, least in (("rows", refresh.Trigger(every=80), base, 1), ("drift", refresh.Trigger(affinity_drop=0.2), turned, 1)):
+        path, src = str(tmp_path / name), str(tmp_path / f"{name}-src")
+        layout.create(cfi.encode(base.where("id % 4 = 0"), idx), idx, path)
+        arriving = rows.where("id % 4 > 0").withColumn("batch", (F.col("id") % 4 > 1).cast("int"))
+        ingest.arrivals(arriving, src)
+        whole = base.where("id % 4 = 0").unionByName(arriving.select("id", "v"))
+        ingest.start(spark, src, path, str(tmp_path / f"{name}-ckpt"), trigger, whole, {"size": 100, "iters": 1}).awaitTermination()
+        now, codes = layout.load(spark, path)
+        assert sorted(r.id for r in codes.select("id").collect()) == sorted(r.id for r in base.select("id").collect())
+        assert now.epoch >= least, name
+
+
+def test_sample_takes_the_quota_of_every_cell(spark, monkeypatch):
+    """Against a plain ranking, with slices of few rows."""
+    monkeypatch.setattr(refresh, "SLICE", 3)
+    codes = spark.range(2_000).selectExpr("CAST(CASE WHEN id % 3 = 0 THEN 0 ELSE id % 40 END AS BIGINT) AS cell", "id")
+    got = sorted(map(tuple, refresh.sample(codes, 300, 7).collect()))
+    rows, cells = {}, codes.collect()
+    for r in cells:
+        rows.setdefault(r.cell, []).append((hashlib.md5(f"7:{r.id}".encode()).hexdigest(), r.id))
+    want = sorted((c, i) for c, v in rows.items() for _, i in sorted(v)[: max(1, math.ceil(len(v) * (300 / 2_000)))])
+    assert got == want
+
+
 def test_plans(a, index):
     _, q, _ = a
     idx, codes = index
