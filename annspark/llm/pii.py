@@ -11,11 +11,13 @@ Only passages around a trigger are rewritten, and a found span is added if it do
 kind and if a disguise stands inside it; base spans stay as they are.
 
 Defined cases: null text is the empty text; repeated rows are scanned each for itself; offsets count code
-points, end exclusive; very long texts cost time in proportion to their length.
+points, end exclusive; very long texts, and long runs of one character, cost time in proportion to their length (every pattern is
+anchored and possessive); numbers of any length are read as text, never as integers.
 """
 
 from __future__ import annotations
 
+import bisect
 import hashlib
 import re
 from collections.abc import Iterator
@@ -32,8 +34,9 @@ Span = tuple[int, int]
 # The plain forms of the four kinds.
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
-IP = re.compile(r"[0-9]+(?:\.[0-9]+)(?:\.[0-9]+)(?:\.[0-9]+)")
-CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
+# A match starts at the first digit of its run or behind an earlier match, which ends with a run; possessive, since nothing given back would match.
+IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++)(?:\.[0-9]++)(?:\.[0-9]++)")
+CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])++")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 
 # Look-alikes of ASCII letters, one code point each.
@@ -45,18 +48,18 @@ DIGIT_WORDS = {"zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "fo
 REPEATS = {"double": 2, "triple": 3}
 MARKS = {"plus": "+", "dot": ".", "point": ".", "dash": "-", "hyphen": "-"}
 
-AT = r"\s*[\(\[\{<]\s*(?:at|@)\s*[\)\]\}>]\s*"
-DOT = r"\s*[\(\[\{<]\s*(?:dot|\.)\s*[\)\]\}>]\s*"
-BRACKETED = re.compile(AT + "|" + DOT, re.I)
-_PART = r"[A-Za-z0-9_%+-]+"
+#: Anchored on the bracket; white space around it is taken in by ``_bracketed``.
+BRACKETED = re.compile(r"[\(\[\{<]\s*+(?:(at|@)|dot|\.)\s*+[\)\]\}>]\s*+", re.I)
+_PART = r"[A-Za-z0-9_%+-]++"
 # Endings that alone make "name at host dot ending" an address; none is a common word of prose.
 ENDINGS = ("com", "org", "net", "edu", "gov", "mil", "int", "info", "biz", "dev", "app", "io", "ai", "co", "uk", "de", "fr", "es", "eu", "ca", "ch", "nl", "pl", "pt", "ru", "se", "dk", "fi", "cz", "gr", "hu", "ie", "jp", "cn", "kr", "br", "mx", "ar", "cl", "au", "nz", "za", "tv", "test", "example", "invalid")
 #: name at host dot ending; ``worded`` asks for a known ending or other evidence, prose seldom has either.
-WORDED = re.compile(rf"(?<![A-Za-z0-9]){_PART}(?:(?:\.|\s+dot\s+){_PART}){{0,3}}(?:\s+at\s+|@)(?!(?:the|a|an|this|that)\s)[A-Za-z0-9-]+(?:(?:\.|\s+dot\s+)[A-Za-z0-9-]+){{0,3}}\s+dot\s+[A-Za-z]{{2,}}(?![A-Za-z0-9])", re.I)
+#: Starts where a run of name characters does; every piece is possessive, since what follows it cannot stand inside it.
+WORDED = re.compile(rf"(?<![A-Za-z0-9_%+-]){_PART}(?:(?:\.|\s++dot\s++){_PART}){{0,3}}(?:\s++at\s++|@)(?!(?:the|a|an|this|that)\s)[A-Za-z0-9-]++(?:(?:\.|\s++dot\s++)[A-Za-z0-9-]++){{0,3}}\s++dot\s++[A-Za-z]{{2,}}+(?![A-Za-z0-9])", re.I)
 _CUE = re.compile(r"mail|contact|address", re.I)
 _AT_WORD, _DOT_WORD = re.compile(r"\s+at\s+", re.I), re.compile(r"\s+dot\s+", re.I)
 _NUM = "|".join([*DIGIT_WORDS, *REPEATS])
-SPELLED = re.compile(rf"\+?\s*(?:\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9.()-])(?:[\s,.()-]*(?:\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9]))*", re.I)
+_GAP = re.compile(r"[\s,.()-]*+")
 _TOKEN = re.compile(rf"\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9]+", re.I)
 _DOTS = re.compile(r"\b(?:dot|point)\b", re.I)
 _HAS_NUMBER_WORD = re.compile(rf"\b(?:{'|'.join(DIGIT_WORDS)})\b", re.I)
@@ -101,7 +104,7 @@ def emails(t: str) -> list[Span]:
 
 
 def ips(t: str) -> list[Span]:
-    return [m.span() for m in IP.finditer(t) if all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in m.group().split("."))] if "." in t else []
+    return [m.span() for m in IP.finditer(t) if all(len(q := p.lstrip("0")) <= 3 and int(q or "0") <= 255 for p in m.group().split("."))] if "." in t else []
 
 
 def cards(t: str) -> list[Span]:
@@ -154,8 +157,19 @@ def undo_glyphs(tape: Tape) -> None:
     tape.rewrite(edits)
 
 
+def _bracketed(t: str) -> Iterator[tuple[int, int, str]]:
+    """(start, end, sign) of bracketed signs with the white space around them."""
+    free = 0
+    for m in BRACKETED.finditer(t):
+        a = m.start()
+        while a > free and t[a - 1].isspace():
+            a -= 1
+        free = m.end()
+        yield a, free, "@" if m.group(1) else "."
+
+
 def undo_brackets(tape: Tape) -> None:
-    tape.rewrite([(*m.span(), "@" if re.search("at|@", m.group(), re.I) else ".") for m in BRACKETED.finditer(tape.text)])
+    tape.rewrite(list(_bracketed(tape.text)))
 
 
 def worded(t: str) -> Iterator[re.Match[str]]:
@@ -179,11 +193,23 @@ def undo_words(tape: Tape) -> None:
     tape.rewrite([e for i, e in enumerate(edits) if not i or e[0] >= edits[i - 1][1]])
 
 
-def _telling(run: str) -> bool:
+def _runs(t: str) -> Iterator[list[re.Match[str]]]:
+    """Figures, spelled digits and signs with nothing but white space and punctuation of numbers between them. Each gap is read once."""
+    run: list[re.Match[str]] = []
+    for m in _TOKEN.finditer(t):
+        if run and _GAP.match(t, run[-1].end()).end() < m.start():
+            yield run
+            run = []
+        run.append(m)
+    if run:
+        yield run
+
+
+def _telling(run: list[re.Match[str]]) -> bool:
     """Whether a run has spelled digits, or dots of an address, and the four digits that the shortest identifier has."""
-    words = [w.lower() for w in _TOKEN.findall(run)]
     n, times, spelled, dots = 0, 1, False, 0
-    for w in words:
+    for m in run:
+        w = m.group().lower()
         n += times * (1 if w in DIGIT_WORDS else len(w) if w.isdigit() else 0)
         times, spelled, dots = REPEATS.get(w, 1), spelled or w in DIGIT_WORDS, dots + (w in ("dot", "point"))
     return n >= 4 and (spelled or dots >= 3)
@@ -195,13 +221,13 @@ def undo_spelled(tape: Tape) -> None:
     Spaces and commas go between two words and beside a sign, and are one space between a digit and a spelled one.
     """
     edits: list[tuple[int, int, str]] = []
-    for run in SPELLED.finditer(tape.text):
-        if not _telling(run.group()):
+    for run in _runs(tape.text):
+        if not _telling(run):
             continue
         times, last, before = 1, None, ""
-        for m in _TOKEN.finditer(tape.text, *run.span()):
+        for m in run:
             w = m.group().lower()
-            if last is not None and re.fullmatch(r"[\s,]+", between := tape.text[last : m.start()]):
+            if last is not None and re.fullmatch(r"[\s,]++", between := tape.text[last : m.start()]):
                 figures = before.isdigit() + w.isdigit()
                 put = between if figures == 2 else "" if not figures or w in MARKS or before in MARKS or before in REPEATS else " "
                 if put != between:
@@ -222,12 +248,12 @@ def _windows(t: str, room: int = 200) -> list[Span]:
     """Passages around triggers, wide enough for any identifier, merged where they meet."""
     hits = [m.span() for m in _GLYPH.finditer(t)] if not t.isascii() else []
     if "(" in t or "[" in t or "{" in t or "<" in t:
-        hits += [m.span() for m in BRACKETED.finditer(t)]
+        hits += [(a, b) for a, b, _ in _bracketed(t)]
     low = t.lower() if len(t.lower()) == len(t) else t
     if " dot " in low and (" at " in low or "@" in low):
         hits += [m.span() for m in worded(t)]
     if _HAS_NUMBER_WORD.search(t) or len(_DOTS.findall(t)) >= 3:
-        hits += [m.span() for m in SPELLED.finditer(t) if _telling(m.group())]
+        hits += [(run[0].start(), run[-1].end()) for run in _runs(t) if _telling(run)]
     out: list[list[int]] = []
     for a, b in sorted(hits):
         a, b = max(0, a - room), min(len(t), b + room)
@@ -238,6 +264,12 @@ def _windows(t: str, room: int = 200) -> list[Span]:
     return [(a, b) for a, b in out]
 
 
+def _free(span: Span, taken: list[Span]) -> bool:
+    """Whether a span overlaps none of these, which are sorted and apart."""
+    i = bisect.bisect_left(taken, (span[1],))
+    return not i or taken[i - 1][1] <= span[0]
+
+
 def disguised_spans(t: str, base: dict[str, list[Span]]) -> dict[str, list[Span]]:
     """Spans that only the normalised text shows."""
     out: dict[str, list[Span]] = {k: [] for k in KINDS}
@@ -249,7 +281,7 @@ def disguised_spans(t: str, base: dict[str, list[Span]]) -> dict[str, list[Span]
             for i, j in find(tape.text):
                 if any(tape.new[i:j]) or tape.hi[j - 1] - tape.lo[i] != j - i:
                     s = (tape.lo[i], tape.hi[j - 1])
-                    if all(s[1] <= x or s[0] >= y for x, y in base[kind]) and all(s[1] <= x or s[0] >= y for x, y in out[kind]):
+                    if _free(s, base[kind]) and (not out[kind] or out[kind][-1][1] <= s[0]):  # found from left to right
                         out[kind].append(s)
     return out
 
