@@ -57,7 +57,9 @@ ENDINGS = ("com", "org", "net", "edu", "gov", "mil", "int", "info", "biz", "dev"
 #: Starts where a run of name characters does; every piece is possessive, since what follows it cannot stand inside it.
 WORDED = re.compile(rf"(?<![A-Za-z0-9_%+-]){_PART}(?:(?:\.|\s++dot\s++){_PART}){{0,3}}(?:\s++at\s++|@)(?!(?:the|a|an|this|that)\s)[A-Za-z0-9-]++(?:(?:\.|\s++dot\s++)[A-Za-z0-9-]++){{0,3}}\s++dot\s++[A-Za-z]{{2,}}+(?![A-Za-z0-9])", re.I)
 _CUE = re.compile(r"mail|contact|address", re.I)
-_AT_WORD, _DOT_WORD = re.compile(r"\s+at\s+", re.I), re.compile(r"\s+dot\s+", re.I)
+# Each starts where its white space does, so long white space is read once.
+_AT_WORD, _DOT_WORD = re.compile(r"(?<!\s)\s++at\s++", re.I), re.compile(r"(?<!\s)\s++dot\s++", re.I)
+_SIGN, _HOST_DOT = re.compile(r"((?<!\s)\s++at\s++|@)", re.I), re.compile(r"\.|(?<!\s)\s++dot\s++", re.I)
 _NUM = "|".join([*DIGIT_WORDS, *REPEATS])
 _GAP = re.compile(r"[\s,.()-]*+")
 _TOKEN = re.compile(rf"\b(?:{_NUM}|plus|dot|point|dash|hyphen)\b|[0-9]+", re.I)
@@ -176,9 +178,9 @@ def worded(t: str) -> Iterator[re.Match[str]]:
     """Worded addresses: a known ending, "@", a name with dots, signs or digits, a host of several parts, or a cue before them."""
     at = 0
     while m := WORDED.search(t, at):
-        name, sign, host = re.split(r"(\s+at\s+|@)", m.group(), maxsplit=1, flags=re.I)
+        name, sign, host = _SIGN.split(m.group(), maxsplit=1)
         known = host.split()[-1].lower() in ENDINGS
-        if known or sign == "@" or re.search(r"[^A-Za-z]", name) or len(re.findall(r"\.|\s+dot\s+", host, re.I)) > 1 or _CUE.search(t, max(0, m.start() - 40), m.start()):
+        if known or sign == "@" or re.search(r"[^A-Za-z]", name) or len(_HOST_DOT.findall(host)) > 1 or _CUE.search(t, max(0, m.start() - 40), m.start()):
             yield m
             at = m.end()
         else:

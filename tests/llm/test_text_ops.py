@@ -4,6 +4,7 @@ import collections
 import hashlib
 import random
 import re
+import time
 
 import numpy as np
 import pandas as pd
@@ -213,6 +214,59 @@ def test_base_spans_follow_the_patterns():
     assert pii.ips("at 10.0.0.255, 10.0.0.256 and 1.2.3.4.5") == [(3, 13), (30, 37)]
 
 
+PLAIN = {
+    "email": (EMAIL.pattern, lambda m: True),
+    "ip": (r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda m: all(int(p) <= 255 for p in m.split("."))),
+    "card": (r"[0-9]([\x20-]?[0-9])+", lambda m: 16 <= len(d := re.sub("[^0-9]", "", m)) <= 19 and sum(sum(divmod(int(c) * (1 + i % 2), 10)) for i, c in enumerate(d[::-1])) % 10 == 0),
+    "phone": (r"\+[0-9][\x20().0-9-]+[0-9]", lambda m: 8 <= len(re.sub("[^0-9]", "", m)) <= 15),
+}
+
+
+def plain_spans(s):
+    return {k: [m.span() for m in re.finditer(p, s) if ok(m.group())] for k, (p, ok) in PLAIN.items()}
+
+
+def test_base_spans_of_all_kinds_by_brute_force(spark):
+    rng = random.Random(8)
+    bits = ["a", "b@c.de", "@", ".", "-", " ", "+", "(", ")", "00", "10.0.0.1", "255", "256", "4111111111111111", "4111 1111 1111 1111", "+1 415 555 0199", "00000001", "1", "é", "five", " dot ", " at ", "（"]
+    made = ["".join(rng.choice(bits) for _ in range(rng.randint(1, 25))) for _ in range(4000)]
+    some = collections.Counter()
+    for s in made:
+        want = plain_spans(s)
+        base, both = pii.scan(s)
+        assert base == want and all(set(want[k]) <= set(both[k]) for k in pii.KINDS)
+        some.update({k: len(v) for k, v in want.items()})
+    assert all(some[k] > 20 for k in pii.KINDS)
+    for r in pii.find(spark.createDataFrame(list(enumerate(made[:500])), "doc_id long, text string")).collect():
+        want = plain_spans(made[r.doc_id])
+        assert (r.n_email, r.n_ip, r.n_card, r.n_phone) == tuple(len(want[k]) for k in pii.KINDS)
+        assert r.base_sha256 == sha(",".join(f"{k}:{a}:{b}" for k in pii.KINDS for a, b in sorted(want[k])).encode())
+
+
+N = 1_000_000
+LONG = {
+    "zeros": "0" * N + "1.1.1.1",
+    "spaces and a bracket": " " * N + "(",
+    "spaces and a digit word": "five" + " " * N + "(",
+    "underscores": "_" * N + " at b dot dot",
+    "a long gap in an address": "x" + " " * (N // 2) + "dot" + " " * (N // 2) + "y at h dot com",
+    "a long gap at the sign": "x" + " " * N + "at" + " " * N + "h dot z dot com",
+    "at signs": "a@" * (N // 2),
+    "plus signs": "+1" + "(" * N,
+}
+
+
+def test_very_long_runs_take_linear_time(spark):
+    """Quadratic scans of these would take hours."""
+    df = spark.createDataFrame(list(enumerate(LONG.values())), "doc_id long, text string")
+    start = time.monotonic()
+    got = {name: r for name, r in zip(LONG, sorted(pii.find(df).collect()), strict=True)}
+    new = {name: r.text for name, r in zip(LONG, sorted(pii.redact(df).collect()), strict=True)}
+    assert time.monotonic() - start < 90
+    assert got["zeros"].n_ip == 1 and got["zeros"].spans == f"ip:0:{N + 7}" and new["zeros"] == "[IP]"
+    assert new["underscores"] == new["a long gap in an address"] == "[EMAIL]" and new["spaces and a bracket"] == LONG["spaces and a bracket"]
+
+
 @pytest.mark.parametrize(
     "text,kind,part",
     [
