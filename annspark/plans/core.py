@@ -333,8 +333,8 @@ def swap_cosine(spark, sf_dir):
 
 
 def hash_embed(spark, sf_dir):
-    """Slots of each text's first 2,000 characters, where its SQL stops; the vector sets hash whole texts."""
-    t = ds.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.substring("text", 1, 2000).alias("text"))
+    """Slots of each whole text, as the vector sets hash them."""
+    t = ds.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")
     return ds.hashed_slots(t, 96).select(F.col("id").alias("doc_id"), F.col("slot").cast("long").alias("slot"), F.col("x").cast("long").alias("v"))
 
 
@@ -472,7 +472,7 @@ def oracle_sql() -> dict[str, str]:
         "cfi_search_rerank": full(True, 50) + f", rr AS (SELECT qid, id, list_dot_product(v, qv) AS ip FROM st JOIN base USING (id) JOIN qs USING (qid)) SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY ip DESC, id) AS rank, id AS vec_id, round(ip, 6) AS ip FROM rr QUALIFY rank <= {K}",
         "cfi_recall_by_nprobe": _with(E_SQL, _TRUTH, _rot(), _kmeans(), _encode("base", cent, q4, "x", True), _turned(), *(_search("x", cent, p, K, f"s{p}") for p in (1, 2, 4, 8, 16))) + " UNION ALL ".join(f" SELECT {p} AS n_p, recall FROM ({_RECALL.format(f's{p}t')})" for p in (1, 2, 4, 8, 16)),
         "pq_assign": _with(E_SQL, "f AS (SELECT row_number() OVER (ORDER BY id) - 1 AS code, v FROM base QUALIFY code < 16)", "n AS (SELECT b.id, s, f.code, row_number() OVER (PARTITION BY b.id, s ORDER BY list_distance(b.v[s * 8 + 1:s * 8 + 8], f.v[s * 8 + 1:s * 8 + 8]), f.code) AS r FROM base b, f, range(0, 8) t(s))") + " SELECT id AS vec_id, string_agg(code::VARCHAR, ',' ORDER BY s) AS codes_csv FROM n WHERE r = 1 GROUP BY id",
-        "hash_embed": "WITH w AS (SELECT doc_id, unnest(list_filter(string_split_regex(lower(substring(text, 1, 2000)), '[^a-z]+'), lambda x: x <> '')) AS w FROM documents), h AS (SELECT doc_id, ('0x' || md5(w)[1:8])::BIGINT AS h FROM w) SELECT doc_id, h % 96 AS slot, CAST(sum(CASE WHEN (h >> 20) & 1 = 1 THEN 1 ELSE -1 END) AS BIGINT) AS v FROM h GROUP BY 1, 2 HAVING v <> 0",
+        "hash_embed": "WITH w AS (SELECT doc_id, unnest(list_filter(string_split_regex(lower(text), '[^a-z]+'), lambda x: x <> '')) AS w FROM documents), h AS (SELECT doc_id, ('0x' || md5(w)[1:8])::BIGINT AS h FROM w) SELECT doc_id, h % 96 AS slot, CAST(sum(CASE WHEN (h >> 20) & 1 = 1 THEN 1 ELSE -1 END) AS BIGINT) AS v FROM h GROUP BY 1, 2 HAVING v <> 0",
         "paired_t": f"SELECT pair, mean, half, round(1 - t / sqrt(t * t + 2), 6) AS p FROM (SELECT *, abs(mean) / (half / {stats.T_TWO}) AS t FROM (VALUES " + ",".join(f"('{p}',{m}::DOUBLE,{h}::DOUBLE)" for p, m, h in CHANGES) + ") t(pair, mean, half))",
         "regime_accounting": "SELECT d, m, b AS pq_b, 5 * d + 32 AS cfi_bits, m * b AS pq_bits, round(m * b / (5 * d + 32)::DOUBLE, 4) AS ratio FROM (SELECT d::BIGINT AS d, unnest([d // 2, d // 2, d])::BIGINT AS m, unnest([8, 10, 8])::BIGINT AS b FROM (VALUES (64), (96), (128), (200)) t(d))",
         "memory_accounting": "SELECT dataset, t AS total_bits, t * d + 32 AS bits, round((1000000 * (t * d + 32) / 8.0::DOUBLE + 1000 * d * 4) / 1048576::DOUBLE, 3) AS mib FROM (VALUES ('SIFT-1M', 128::BIGINT), ('Deep-1M', 96), ('GloVe-1M', 100)) a(dataset, d), range(4, 7) b(t)",

@@ -82,7 +82,7 @@ def stream_refresh(spark, sf_dir):
 
 def udf_encode(spark, sf_dir):
     encode = udfs.encoder(cfi.Index(core.D, core.BITS, None, "sign", core.SEED))
-    coded = ds.table(spark, sf_dir, "embeddings").where("vec_id % 10 <> 0").select("vec_id", encode(F.col("embedding").cast("array<double>")).alias("code"))
+    coded = ds.table(spark, sf_dir, "embeddings").select("vec_id", encode(F.col("embedding").cast("array<double>")).alias("code"))
     return coded.select("vec_id", F.concat_ws(",", F.col("code").cast("array<string>")).alias("code_csv"))
 
 
@@ -148,7 +148,7 @@ def oracle_sql() -> dict[str, str]:
         "stored_search": own["cfi_search_sign"],
         "stream_ingest": core._with(*first, core._rot(), core._kmeans("b0", 8), core._encode("base", cent, q4, "x", True), core._turned(), core._search("x", cent, core.NP, core.K, "s")) + " SELECT qid, rank, id AS vec_id, round(score, 6) AS score FROM st",
         "stream_refresh": core._with(*first, core._kmeans("b0", 8), "seen AS (SELECT id, v FROM bb WHERE batch <= 2)", f"xx AS MATERIALIZED (SELECT b.id, p.cell FROM seen b, {cent} p QUALIFY row_number() OVER (PARTITION BY b.id ORDER BY list_dot_product(b.v, p.c) DESC, p.cell) = 1)", core._sample(size="greatest(64 * 8, count(*) // 10)"), "smv AS MATERIALIZED (SELECT id, v FROM base WHERE id IN (SELECT id FROM sm))", core._kmeans("smv", 8, 2, tag="k")) + " SELECT 1 AS epoch, b.id AS vec_id, p.cell FROM base b, k2 p QUALIFY row_number() OVER (PARTITION BY b.id ORDER BY list_dot_product(b.v, p.c) DESC, p.cell) = 1",
-        "udf_encode": own["gsq_codes"],
+        "udf_encode": core._with(core.E_SQL, core._rot(), core._encode("e", None, q4, "f", True)) + " SELECT id AS vec_id, array_to_string(codes, ',') AS code_csv FROM fx",
         "udtf_probe": own["cfi_probe"],
         "st_dedup": "SELECT event_id, event_type FROM events",
         "st_join_static": assigned + " SELECT event_id, cell FROM events JOIN a ON id = event_id",
