@@ -6,11 +6,13 @@ within a budget of hash functions: 25 bands of 5 rows at 0.8, which miss a pair
 20,000. Above that the chance falls further.
 
 Plan: copies are reduced to distinct texts first (128-bit keys), with their number. Band hashes travel as small rows;
-those of one text alone are dropped. What is left goes to its bucket with the 16-bit signature, where members meet in
-blocks of a matrix comparison: a pair is a candidate in the first band that it shares and if its
-signatures agree as they would at the threshold, less 4.5 standard deviations. Members that have candidates come once more
-with their full n-gram sets, and each candidate is decided on these. What leaves the kernels for ``join`` is one
-row for each member and bucket, so no group writes out its pairs. Buckets of more than ``CROWD`` texts are dealt in pairs of blocks to many tasks.
+those of one text alone are dropped. What is left goes to its bucket with an 8-bit signature and all its band hashes, where
+members meet in blocks of a matrix comparison: a pair is a candidate in the first band that it shares and if its
+signatures agree as they would at the threshold, less 4.5 standard deviations. Members that have a candidate there are named, not
+their pairs; they come once more with their full n-gram sets, and the second kernel finds the same pairs again and decides each on the
+sets. For ``join`` a kernel writes one row for each member and bucket, so no pair leaves a kernel in any form: on n near copies
+rows and bytes grow as n, up to ``CROWD`` members of a bucket. Buckets of more texts are dealt in pairs of blocks to many tasks, so that
+each member is sent once for each block.
 
 Classes are connected components of the links.
 
@@ -35,6 +37,9 @@ from annspark.llm.wordspans import Words
 
 GRAM, THRESHOLD, RECALL, HASHES, CROWD = 5, 0.8, 0.9999, 128, 4_096
 _WORDS = Words(GRAM, GRAM)
+#: What the kernels are sent; neither names a pair.
+MEMBER = "h long, side int, t1 long, t2 long, band int, marks binary"
+ASKED = "h long, side int, band int, t1 long, t2 long, copies long, marks binary, grams binary"
 
 
 def bands_for(threshold: float, recall: float = RECALL, hashes: int = HASHES) -> tuple[int, int]:
@@ -95,8 +100,14 @@ def _to_bands(bands: int, rows: int):
     return go
 
 
+def _marks(signer: Signer, grams: np.ndarray) -> bytes:
+    """What candidates are told by: the signature, 8 bits a hash, and behind it the 64-bit hashes of all bands."""
+    sig = signer.sign(grams)
+    return sig.astype(np.uint8).tobytes() + signer.band_hashes(sig).tobytes()
+
+
 def _to_buckets(bands: int, rows: int, crowd: int):
-    """(h, side, t1, t2, band, sig): members of shared buckets; crowded buckets are dealt in pairs of blocks.
+    """(h, side, t1, t2, band, marks): members of shared buckets; crowded buckets are dealt in pairs of blocks.
 
     ``h`` names a bucket or a pair of its blocks, ``side`` is 0 for members that meet all others there, or 1 and 2 for members that
     meet the other side only.
@@ -108,14 +119,14 @@ def _to_buckets(bands: int, rows: int, crowd: int):
             t1, t2 = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2"))
             out: tuple[list, ...] = ([], [], [], [], [], [])
             for i, (text, buckets) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("buckets")).to_pylist(), strict=True)):
-                sig = signer.sign(ngrams(text)).astype(np.uint16).tobytes()
+                marks = _marks(signer, ngrams(text))
                 for x in buckets:
                     k = -(-x["n"] // (crowd // 2)) if x["n"] > crowd else 1
                     own = (t1[i] ^ (t2[i] >> 7)) % k
                     for other in range(k):
                         lo, hi = min(own, other), max(own, other)
                         h = x["h"] if k == 1 else int(mixed(np.array([(x["h"] + 1 + lo * k + hi) & (2**64 - 1)], np.uint64)).view(np.int64)[0])
-                        for c, v in zip(out, (h, 0 if lo == hi else 1 + (own == hi), t1[i], t2[i], x["band"], sig), strict=True):
+                        for c, v in zip(out, (h, 0 if lo == hi else 1 + (own == hi), t1[i], t2[i], x["band"], marks), strict=True):
                             c.append(v)
                 if len(out[0]) > 20_000:
                     yield _bucket_batch(out)
@@ -127,8 +138,8 @@ def _to_buckets(bands: int, rows: int, crowd: int):
 
 
 def _bucket_batch(out) -> pa.RecordBatch:
-    h, side, t1, t2, band, sig = out
-    return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(side, pa.int32()), pa.array(t1, pa.int64()), pa.array(t2, pa.int64()), pa.array(band, pa.int32()), pa.array(sig, pa.binary())], names=["h", "side", "t1", "t2", "band", "sig"])
+    h, side, t1, t2, band, marks = out
+    return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(side, pa.int32()), pa.array(t1, pa.int64()), pa.array(t2, pa.int64()), pa.array(band, pa.int32()), pa.array(marks, pa.binary())], names=["h", "side", "t1", "t2", "band", "marks"])
 
 
 def whole_groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
@@ -155,83 +166,119 @@ def _groups(h: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(edge[:-1], edge[1:], strict=True))
 
 
-def _candidates(bands: int, rows: int, threshold: float):
-    """(h, t1, t2, place, partners): members with candidates in this bucket, by their places in it."""
-    m = bands * rows
-    least = threshold * m - 4.5 * (m * threshold * (1 - threshold)) ** 0.5
+class Meeting:
+    """The candidate pairs of a bucket's members, from their marks; the same in both kernels."""
+
+    def __init__(self, bands: int, rows: int, threshold: float):
+        self.bands, self.m = bands, bands * rows
+        self.least = threshold * self.m - 4.5 * (self.m * threshold * (1 - threshold)) ** 0.5
 
-    def pairs(sig: np.ndarray, side: np.ndarray, band: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        n = len(sig)
+    def pairs(self, marks: list[bytes], side: np.ndarray, band: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Arrays (i, j) with i < j, i rising; whole rows of i at a time."""
+        n = len(marks)
+        raw = np.frombuffer(b"".join(marks), np.uint8).reshape(n, self.m + 8 * self.bands)
+        sig = np.ascontiguousarray(raw[:, : self.m].T)
+        before = np.ascontiguousarray(raw[:, self.m :]).view(np.int64)[:, :band]  # a pair belongs to its first band
         for a in range(0, n, 64):
-            some = sig[a : a + 64]
+            some, found = sig[:, a : a + 64], []
             for c in range(a, n, 4096):
-                rest = sig[c : c + 4096]
-                equal = np.zeros((len(some), len(rest)), np.int32)
-                for j in range(m):
-                    equal += some[:, j : j + 1] == rest[None, :, j]
-                i, j = np.nonzero(equal >= least)
+                rest = sig[:, c : c + 4096]
+                equal = np.zeros((some.shape[1], rest.shape[1]), np.uint16)
+                for j in range(self.m):
+                    equal += some[j][:, None] == rest[j][None, :]
+                i, j = np.nonzero(equal >= self.least)
                 i, j = i + a, j + c
                 ok = (i < j) & ((side[i] == 0) | (side[i] != side[j]))
                 i, j = i[ok], j[ok]
-                if len(i) and band:  # not if a band before this one has them both
-                    before = (sig[i, : band * rows] == sig[j, : band * rows]).reshape(len(i), band, rows).all(axis=2).any(axis=1)
-                    i, j = i[~before], j[~before]
-                if len(i):
-                    yield i, j
+                if band:
+                    for at in range(0, len(i), 1 << 16):
+                        x, y = i[at : at + (1 << 16)], j[at : at + (1 << 16)]
+                        new = ~(before[x] == before[y]).any(axis=1)
+                        found.append((x[new], y[new]))
+                else:
+                    found.append((i, j))
+            i, j = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64),) * 2
+            if len(i):
+                by = np.lexsort((j, i))
+                yield i[by], j[by]
+
+
+def _candidates(meeting: Meeting):
+    """(h, side, band, t1, t2): members that have a candidate in this bucket."""
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in whole_groups(batches):
-            h, side, t1, t2, band = (t.column(c).to_numpy() for c in ("h", "side", "t1", "t2", "band"))
-            raw = t.column("sig").to_pylist()
-            out: tuple[list, ...] = ([], [], [], [], [])
+            h, side, band = (t.column(c).to_numpy() for c in ("h", "side", "band"))
+            marks, some = t.column("marks").to_pylist(), np.zeros(len(h), bool)
             for lo, hi in _groups(h):
-                if hi - lo < 2:
-                    continue
-                sig = np.frombuffer(b"".join(raw[lo:hi]), np.uint16).reshape(hi - lo, m)
-                partners: dict[int, list[int]] = {}
-                for i, j in pairs(sig, side[lo:hi], int(band[lo])):
-                    for x, y in zip(i.tolist(), j.tolist(), strict=True):
-                        partners.setdefault(x, []).append(y)
-                        partners.setdefault(y, [])
-                for x, ys in partners.items():
-                    for c, v in zip(out, (h[lo], t1[lo + x], t2[lo + x], x, ys), strict=True):
-                        c.append(v)
-            if out[0]:
-                yield pa.RecordBatch.from_arrays([*(pa.array(np.array(c, np.int64)) for c in out[:3]), pa.array(out[3], pa.int32()), pa.array(out[4], pa.list_(pa.int32()))], names=["h", "t1", "t2", "place", "partners"])
+                if hi - lo > 1:
+                    for i, j in meeting.pairs(marks[lo:hi], side[lo:hi], int(band[lo])):
+                        some[lo + i] = some[lo + j] = True
+            if some.any():
+                yield pa.RecordBatch.from_arrays([pa.array(t.column(c).to_numpy()[some]) for c in ("h", "side", "band", "t1", "t2")], names=["h", "side", "band", "t1", "t2"])
 
     return go
 
 
-def _with_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(h, t1, t2, copies, place, partners, grams) for the buckets that a text has candidates in."""
-    for b in sliced(batches):
-        t1, t2, copies = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2", "copies"))
-        out: tuple[list, ...] = ([], [], [], [], [], [], [])
-        for i, (text, asks) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("asks")).to_pylist(), strict=True)):
-            g = ngrams(text).tobytes()
-            for x in asks:
-                for c, v in zip(out, (x["h"], t1[i], t2[i], copies[i], x["place"], x["partners"], g), strict=True):
-                    c.append(v)
-            if len(out[0]) > 2_000:
+def _with_sets(bands: int, rows: int):
+    """(h, side, band, t1, t2, copies, marks, grams) for the buckets that a text has candidates in."""
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        signer = Signer(bands, rows)
+        for b in sliced(batches):
+            t1, t2, copies = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("t1", "t2", "copies"))
+            out: tuple[list, ...] = tuple([] for _ in range(8))
+            size = 0
+            for i, (text, asks) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("asks")).to_pylist(), strict=True)):
+                grams = ngrams(text)
+                marks, g = _marks(signer, grams), grams.tobytes()
+                for x in asks:
+                    for c, v in zip(out, (x["h"], x["side"], x["band"], t1[i], t2[i], copies[i], marks, g), strict=True):
+                        c.append(v)
+                    size += len(g)
+                    if size > 16_000_000:
+                        yield _sets_batch(out)
+                        out, size = tuple([] for _ in range(8)), 0
+            if out[0]:
                 yield _sets_batch(out)
-                out = ([], [], [], [], [], [], [])
-        if out[0]:
-            yield _sets_batch(out)
+
+    return go
 
 
 def _sets_batch(out) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in out[:4]), pa.array(out[4], pa.int32()), pa.array(out[5], pa.list_(pa.int32())), pa.array(out[6], pa.binary())], names=["h", "t1", "t2", "copies", "place", "partners", "grams"])
+    kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], names=["h", "side", "band", "t1", "t2", "copies", "marks", "grams"])
+
 
+class Sets:
+    """Sizes of intersections of a bucket's sets. Up to ``room`` grams in all they are numbered and a row's are flagged; beyond, sets are merged
+    pair by pair, without a copy. Both are exact."""
 
-def _verify(threshold: float, pairs: bool):
+    def __init__(self, raw: list[bytes], room: int = 4_000_000):
+        self.sets = [np.frombuffer(x, np.uint64) for x in raw]
+        self.size = np.fromiter(map(len, self.sets), np.int64, len(raw))
+        self.flags = None
+        if len(raw) > 2 and self.size.sum() <= room:
+            names, ids = np.unique(np.concatenate(self.sets), return_inverse=True)
+            self.ids, self.flags = np.split(ids, np.cumsum(self.size)[:-1]), np.zeros(len(names), bool)
+
+    def shared(self, i: int, others: np.ndarray) -> np.ndarray:
+        if self.flags is None:
+            return np.fromiter((len(np.intersect1d(self.sets[i], self.sets[j], assume_unique=True)) for j in others.tolist()), np.int64, len(others))
+        self.flags[self.ids[i]] = True
+        both = np.add.reduceat(self.flags[np.concatenate([self.ids[j] for j in others.tolist()])], np.cumsum(self.size[others]) - self.size[others], dtype=np.int64)
+        self.flags[self.ids[i]] = False
+        return both
+
+
+def _verify(meeting: Meeting, threshold: float, pairs: bool):
     """Each candidate decided on the full sets. pairs: every link is written, (a1, a2, b1, b2, jaccard); else one row a member and bucket,
-    (t1, t2, r1, r2, away): the least place that its links in this bucket connect it with, and the copies that they reach."""
+    (t1, t2, r1, r2, away): the first of the members that its links in this bucket connect it with, and the copies that they reach."""
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in whole_groups(batches):
-            h, t1, t2, place, copies = (t.column(c).to_numpy() for c in ("h", "t1", "t2", "place", "copies"))
-            partners, raw = t.column("partners").to_pylist(), t.column("grams").to_pylist()
-            out: tuple[list, ...] = ([], [], [], [], [])
+            h, side, band, t1, t2, copies = (t.column(c).to_numpy() for c in ("h", "side", "band", "t1", "t2", "copies"))
+            marks, raw = t.column("marks").to_pylist(), t.column("grams").to_pylist()
             away, up = np.zeros(len(h), np.int64), list(range(len(h)))
 
             def root(x: int, up=up) -> int:
@@ -240,33 +287,32 @@ def _verify(threshold: float, pairs: bool):
                 return x
 
             for lo, hi in _groups(h):
-                at = {int(place[k]): k for k in range(lo, hi)}
-                sets = {k: np.frombuffer(raw[k], np.uint64) for k in range(lo, hi)}
-                for k in range(lo, hi):
-                    a = sets[k]
-                    for p in partners[k]:
-                        q = at[p]
-                        c = sets[q]
-                        if min(len(a), len(c)) < threshold * max(len(a), len(c)):
+                sets = Sets(raw[lo:hi])
+                for i, j in meeting.pairs(marks[lo:hi], side[lo:hi], int(band[lo])):
+                    edge = np.flatnonzero(np.concatenate(([True], i[1:] != i[:-1], [True])))
+                    for a, b in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+                        x, ys = int(i[a]), j[a:b]
+                        small, large = np.minimum(sets.size[ys], sets.size[x]), np.maximum(sets.size[ys], sets.size[x])
+                        ys = ys[small >= threshold * large]
+                        if not len(ys):
                             continue
-                        pos = np.searchsorted(c, a)
-                        both = int((c[np.minimum(pos, len(c) - 1)] == a).sum())
-                        j = both / (len(a) + len(c) - both)
-                        if j < threshold:
+                        both = sets.shared(x, ys)
+                        like = both / (sets.size[x] + sets.size[ys] - both)
+                        ys, like = ys[like >= threshold], like[like >= threshold]
+                        if not len(ys):
                             continue
+                        k, q = lo + x, lo + ys
                         if pairs:
-                            for col, v in zip(out, (t1[k], t2[k], t1[q], t2[q], j), strict=True):
-                                col.append(v)
+                            yield pa.RecordBatch.from_arrays([*(pa.array(c) for c in (np.full(len(q), t1[k]), np.full(len(q), t2[k]), t1[q], t2[q], like))], names=["a1", "a2", "b1", "b2", "jaccard"])
                         else:
-                            away[k] += copies[q]
+                            away[k] += copies[q].sum()
                             away[q] += copies[k]
-                            x, y = root(k), root(q)
-                            up[max(x, y)] = min(x, y)
+                            for y in q.tolist():
+                                v, w = root(k), root(y)
+                                up[max(v, w)] = min(v, w)
             if not pairs and (own := np.flatnonzero(away)).size:
                 least = np.array([root(k) for k in own.tolist()])
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in (t1[own], t2[own], t1[least], t2[least], away[own])], names=["t1", "t2", "r1", "r2", "away"])
-            if out[0]:
-                yield pa.RecordBatch.from_arrays([*(pa.array(np.array(c, np.int64)) for c in out[:4]), pa.array(np.array(out[4], np.float64))], names=["a1", "a2", "b1", "b2", "jaccard"])
 
     return go
 
@@ -290,12 +336,13 @@ def links(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL,
     band_rows = texts.mapInArrow(_to_bands(bands, rows), "h long, t1 long, t2 long, band int")
     shared = band_rows.groupBy("h").agg(F.count("*").alias("n")).where("n > 1")
     by_text = band_rows.join(shared, "h").groupBy("t1", "t2").agg(F.collect_list(F.struct("h", "band", "n")).alias("buckets"))
-    members = texts.join(by_text, ["t1", "t2"]).select("t1", "t2", "text", "copies", "buckets").mapInArrow(_to_buckets(bands, rows, crowd), "h long, side int, t1 long, t2 long, band int, sig binary")
-    # ordered so that blocks and their places are the same whenever a task is run again
-    found = members.repartition("h").sortWithinPartitions("h", "t1", "t2").mapInArrow(_candidates(bands, rows, threshold), "h long, t1 long, t2 long, place int, partners array<int>")
-    asks = found.groupBy("t1", "t2").agg(F.collect_list(F.struct("h", "place", "partners")).alias("asks"))
-    sets = texts.join(asks, ["t1", "t2"]).select("t1", "t2", "text", "copies", "asks").mapInArrow(_with_sets, "h long, t1 long, t2 long, copies long, place int, partners array<int>, grams binary")
-    return sets.repartition("h").sortWithinPartitions("h", "place").mapInArrow(_verify(threshold, pairs), "a1 long, a2 long, b1 long, b2 long, jaccard double" if pairs else "t1 long, t2 long, r1 long, r2 long, away long")
+    members = texts.join(by_text, ["t1", "t2"]).select("t1", "t2", "text", "copies", "buckets").mapInArrow(_to_buckets(bands, rows, crowd), MEMBER)
+    meeting = Meeting(bands, rows, threshold)
+    # ordered so that blocks are the same whenever a task is run again
+    found = members.repartition("h").sortWithinPartitions("h", "t1", "t2").mapInArrow(_candidates(meeting), "h long, side int, band int, t1 long, t2 long")
+    asks = found.groupBy("t1", "t2").agg(F.collect_list(F.struct("h", "side", "band")).alias("asks"))
+    sets = texts.join(asks, ["t1", "t2"]).select("t1", "t2", "text", "copies", "asks").mapInArrow(_with_sets(bands, rows), ASKED)
+    return sets.repartition("h").sortWithinPartitions("h", "t1", "t2").mapInArrow(_verify(meeting, threshold, pairs), "a1 long, a2 long, b1 long, b2 long, jaccard double" if pairs else "t1 long, t2 long, r1 long, r2 long, away long")
 
 
 def _reached(docs: DataFrame, threshold: float, **options) -> DataFrame:

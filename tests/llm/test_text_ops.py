@@ -8,6 +8,7 @@ import time
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import public_tokenizers
 import pytest
 import tiktoken
@@ -166,6 +167,56 @@ def test_a_dense_group_writes_no_pairs(spark):
     assert jaccard.links(df, pairs=False).count() <= 150 * 25
 
 
+def near_copies(n):
+    rng = random.Random(2)
+    base = [f"w{i}" for i in range(300)]
+    for i in range(n):
+        w = list(base)
+        w[rng.randrange(300)] = f"x{i}"
+        yield " ".join(w).encode()
+
+
+def test_what_kernels_send_grows_with_the_members():
+    """Bytes that either kernel is sent, and writes, on n near copies are in proportion to n; no column is a list."""
+    bands, n_rows = jaccard.bands_for(0.8)
+    meeting, signer = jaccard.Meeting(bands, n_rows, 0.8), jaccard.Signer(bands, n_rows)
+
+    def sent(n):
+        texts = list(near_copies(n))
+        buckets = collections.Counter(h for t in texts for h in signer.band_hashes(signer.sign(jaccard.ngrams(t))).tolist())
+        keys = pa.array(range(n), pa.int64())
+        lists = [[{"h": h, "band": k, "n": buckets[h]} for k, h in enumerate(signer.band_hashes(signer.sign(jaccard.ngrams(t))).tolist()) if buckets[h] > 1] for t in texts]
+        members = pa.Table.from_batches(jaccard._to_buckets(bands, n_rows, jaccard.CROWD)(iter([pa.RecordBatch.from_arrays([keys, keys, pa.array(texts), pa.array(lists)], names=["t1", "t2", "text", "buckets"])])))
+        found = pa.Table.from_batches(jaccard._candidates(meeting)(iter(members.sort_by([("h", "ascending"), ("t1", "ascending")]).to_batches())))
+        asks = collections.defaultdict(list)
+        for r in found.to_pylist():
+            asks[r["t1"]].append({c: r[c] for c in ("h", "side", "band")})
+        own = pa.array(sorted(asks), pa.int64())
+        batch = pa.RecordBatch.from_arrays([own, own, pa.array([texts[k] for k in sorted(asks)]), pa.array([1] * len(own), pa.int64()), pa.array([asks[k] for k in sorted(asks)])], names=["t1", "t2", "text", "copies", "asks"])
+        sets = pa.Table.from_batches(jaccard._with_sets(bands, n_rows)(iter([batch])))
+        out = pa.Table.from_batches(jaccard._verify(meeting, 0.8, False)(iter(sets.sort_by([("h", "ascending"), ("t1", "ascending")]).to_batches())))
+        away = collections.Counter()
+        for r in out.to_pylist():
+            away[r["t1"]] += r["away"]
+        assert set(away.values()) == {n - 1} and len(away) == n  # every link is counted once
+        assert not any(pa.types.is_list(f.type) for t in (members, found, sets, out) for f in t.schema)
+        return [t.nbytes for t in (members, found, sets, out)]
+
+    for a, b in zip(sent(150), sent(600), strict=True):
+        assert b < 4 * a * 1.25
+
+
+def test_sets_are_met_exactly_both_ways():
+    rng = np.random.default_rng(3)
+    raw = [np.unique(rng.integers(0, 200, rng.integers(1, 90), dtype=np.uint64)).tobytes() for _ in range(40)]
+    by = [set(np.frombuffer(x, np.uint64).tolist()) for x in raw]
+    for room in (0, 1 << 20):
+        sets = jaccard.Sets(raw, room)
+        for i in range(39):
+            others = np.arange(i + 1, 40)
+            assert sets.shared(i, others).tolist() == [len(by[i] & by[j]) for j in others]
+
+
 # --- 4: byte-level BPE
 
 
