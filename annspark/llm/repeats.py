@@ -12,8 +12,10 @@ text are repeats of each other throughout, so only one of them is searched. Then
 4. spans return to their text, which is read again from the same exchange.
 
 Texts are shuffled once. A task's memory is bounded by one text and one bucket; a bucket of more than ``HOT``
-occurrences is not sent whole: its windows go one by one, as 128-bit hashes, and are counted by
-partially aggregated group-bys, which no hot key can overload.
+occurrences is not sent whole, as one task would have to hold it: its windows go one by one, as 128-bit hashes, and are counted
+by partially aggregated group-bys, which no hot key can overload. Each class of equal hashes is then verified on its units: least and
+greatest of its windows must be one string. Windows of a class that fails go to the kernel as runs of their own. So
+both ways decide on the units themselves, and give the same result.
 """
 
 from __future__ import annotations
@@ -223,8 +225,9 @@ def _decide(kind: Units, room: int = 4_000_000):
     return go
 
 
-def _single_windows(kind: Units):
-    """128-bit hashes of the single windows of hot runs."""
+def _single_windows(kind: Units, keep: int):
+    """128-bit hashes of the single windows of hot runs; ``keep`` bits of each half are kept."""
+    some = _U((1 << keep) - 1)
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches):
@@ -232,12 +235,34 @@ def _single_windows(kind: Units):
             for i, (text, found) in enumerate(zip(_bytes(b, "text"), b.column(b.schema.get_field_index("runs")).to_pylist(), strict=True)):
                 u = kind.units(text)
                 at = np.concatenate([np.arange(r["first"], r["first"] + r["count"]) for r in found])
-                both = [mixed(of_ranges(prefix(x), at, at + kind.window)) for x in (u, mixed(u + _U(0x5851F42D4C957F2D)))]
+                both = [mixed(of_ranges(prefix(x), at, at + kind.window)) & some for x in (u, mixed(u + _U(0x5851F42D4C957F2D)))]
                 yield pa.RecordBatch.from_arrays([*(pa.array(x.view(np.int64)) for x in both), pa.array(np.full(len(at), t1[i])), pa.array(np.full(len(at), t2[i])), pa.array(at.astype(np.int32))], names=["w1", "w2", "t1", "t2", "lo"])
 
     return go
 
 
+def _show_windows(kind: Units, room: int = 10_000):
+    """(w1, w2, window): the different windows of each class, once for some thousand texts."""
+
+    def shown(seen: set[tuple[int, int, bytes]]) -> pa.RecordBatch:
+        w1, w2, window = zip(*seen, strict=True)
+        return pa.RecordBatch.from_arrays([pa.array(w1, pa.int64()), pa.array(w2, pa.int64()), pa.array(window, pa.binary())], names=["w1", "w2", "window"])
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[tuple[int, int, bytes]] = set()
+        for b in sliced(batches):
+            for text, hits in zip(_bytes(b, "text"), b.column(b.schema.get_field_index("hits")).to_pylist(), strict=True):
+                at = np.array([x["lo"] for x in hits])
+                seen.update((x["w1"], x["w2"], w) for x, w in zip(hits, kind.pack(text, at, np.ones_like(at)), strict=True))
+                if len(seen) > room:
+                    yield shown(seen)
+                    seen = set()
+        if seen:
+            yield shown(seen)
+
+    return go
+
+
 def _finish(kind: Units, names: list[str]):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches):
@@ -252,8 +277,11 @@ def _finish(kind: Units, names: list[str]):
     return go
 
 
-def search(docs: DataFrame, kind: Units, hot: int = HOT) -> DataFrame:
-    """doc_id and kind.result for each row of (doc_id, text)."""
+def search(docs: DataFrame, kind: Units, hot: int = HOT, keep: int = 64) -> DataFrame:
+    """doc_id and kind.result for each row of (doc_id, text).
+
+    ``hot`` and ``keep`` (bits of each half of a window's hash) choose the way that windows take, never the result.
+    """
     keyed = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("t1", F.xxhash64("text")).withColumn("t2", F.xxhash64("text", F.lit(1)))
     distinct = keyed.groupBy("t1", "t2").agg(F.first("text").alias("text"), F.count("*").alias("copies"))
     found = distinct.select("t1", "t2", "text", "copies").mapInArrow(_find_runs(kind), "h long, t1 long, t2 long, first int, count int, twice boolean")
@@ -262,11 +290,19 @@ def search(docs: DataFrame, kind: Units, hot: int = HOT) -> DataFrame:
     by_text = left.groupBy("t1", "t2").agg(F.collect_list(F.when(F.col("n") <= hot, F.struct("h", "first", "count"))).alias("runs"), F.collect_list(F.when(F.col("n") > hot, F.struct("h", "first", "count"))).alias("hot"))
     # a bucket's runs in one place, in order; hot buckets take the other way
     joined = distinct.join(by_text, ["t1", "t2"])
-    cool = joined.where(F.size("runs") > 0).select("t1", "t2", "text", "copies", "runs").mapInArrow(_pack_runs(kind), "h long, t1 long, t2 long, first int, packed binary")
-    spans = cool.repartition("h").sortWithinPartitions("h").mapInArrow(_decide(kind), "t1 long, t2 long, lo int, hi int")
-    single = joined.where(F.size("hot") > 0).select("t1", "t2", "text", "copies", F.col("hot").alias("runs")).mapInArrow(_single_windows(kind), "w1 long, w2 long, t1 long, t2 long, lo int")
+    packed = "h long, t1 long, t2 long, first int, packed binary"
+    cool = joined.where(F.size("runs") > 0).select("t1", "t2", "text", "copies", "runs").mapInArrow(_pack_runs(kind), packed)
+    single = joined.where(F.size("hot") > 0).select("t1", "t2", "text", "copies", F.col("hot").alias("runs")).mapInArrow(_single_windows(kind, keep), "w1 long, w2 long, t1 long, t2 long, lo int")
     often = single.groupBy("w1", "w2").agg(F.count("*").alias("n")).where("n > 1").select("w1", "w2")
-    spans = spans.unionByName(single.join(often, ["w1", "w2"]).select("t1", "t2", "lo", (F.col("lo") + kind.window).alias("hi")))
+    hits = single.join(often, ["w1", "w2"])
+    # classes of equal hashes that hold different windows
+    to_show = distinct.join(hits.groupBy("t1", "t2").agg(F.collect_list(F.struct("w1", "w2", "lo")).alias("hits")), ["t1", "t2"])
+    shown = to_show.select("text", "hits").mapInArrow(_show_windows(kind), "w1 long, w2 long, window binary")
+    wrong = shown.groupBy("w1", "w2").agg(F.min("window").alias("a"), F.max("window").alias("b")).where("a <> b").select("w1", "w2")
+    again = hits.join(wrong, ["w1", "w2"], "left_semi").groupBy("t1", "t2").agg(F.collect_list(F.struct(F.xxhash64("w1", "w2").alias("h"), F.col("lo").alias("first"), F.lit(1).alias("count"))).alias("runs"))
+    told_apart = distinct.join(again, ["t1", "t2"]).select("t1", "t2", "text", "copies", "runs").mapInArrow(_pack_runs(kind), packed)
+    spans = cool.unionByName(told_apart).repartition("h").sortWithinPartitions("h").mapInArrow(_decide(kind), "t1 long, t2 long, lo int, hi int")
+    spans = spans.unionByName(hits.join(wrong, ["w1", "w2"], "left_anti").select("t1", "t2", "lo", (F.col("lo") + kind.window).alias("hi")))
     covered = spans.groupBy("t1", "t2").agg(F.collect_set(F.struct("lo", "hi")).alias("spans"))
     names = [f.split()[0] for f in kind.result.split(", ")]
     done = distinct.join(covered, ["t1", "t2"], "left").select("t1", "t2", "text", "copies", "spans").mapInArrow(_finish(kind, names), f"t1 long, t2 long, {kind.result}")
