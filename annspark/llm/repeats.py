@@ -295,9 +295,9 @@ def search(docs: DataFrame, kind: Units, hot: int = HOT, keep: int = 64) -> Data
     single = joined.where(F.size("hot") > 0).select("t1", "t2", "text", "copies", F.col("hot").alias("runs")).mapInArrow(_single_windows(kind, keep), "w1 long, w2 long, t1 long, t2 long, lo int")
     often = single.groupBy("w1", "w2").agg(F.count("*").alias("n")).where("n > 1").select("w1", "w2")
     hits = single.join(often, ["w1", "w2"])
-    # classes of equal hashes that hold different windows
+    # classes of equal hashes that hold different windows; all columns are kept, so that the exchange of texts is one
     to_show = distinct.join(hits.groupBy("t1", "t2").agg(F.collect_list(F.struct("w1", "w2", "lo")).alias("hits")), ["t1", "t2"])
-    shown = to_show.select("text", "hits").mapInArrow(_show_windows(kind), "w1 long, w2 long, window binary")
+    shown = to_show.select("t1", "t2", "text", "copies", "hits").mapInArrow(_show_windows(kind), "w1 long, w2 long, window binary")
     wrong = shown.groupBy("w1", "w2").agg(F.min("window").alias("a"), F.max("window").alias("b")).where("a <> b").select("w1", "w2")
     again = hits.join(wrong, ["w1", "w2"], "left_semi").groupBy("t1", "t2").agg(F.collect_list(F.struct(F.xxhash64("w1", "w2").alias("h"), F.col("lo").alias("first"), F.lit(1).alias("count"))).alias("runs"))
     told_apart = distinct.join(again, ["t1", "t2"]).select("t1", "t2", "text", "copies", "runs").mapInArrow(_pack_runs(kind), packed)
