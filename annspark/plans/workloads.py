@@ -198,8 +198,8 @@ def _arms(runs: Runs, s: str, base: DataFrame, q: DataFrame, d: int, b: DataFram
     truth.unpersist()
 
 
-def w06_streaming_small(spark, sf_dir, s: str = "A(2.5)", orders=("id", "shuffled"), seeds=(42,), m: int = 16, bits: int = 4, n: int = 4) -> DataFrame:
-    """A fifth first, then equal batches, in the given and in shuffled order. The full protocol: n=8."""
+def w06_streaming_small(spark, sf_dir, s: str = "A(2.5)", orders=("id", "shuffled"), seeds=(42,), m: int = 64, bits: int = 5, n: int = 8) -> DataFrame:
+    """A fifth first, then eight equal batches, in the given and in shuffled order; learned codes have the memory of the index."""
     runs = Runs("w06")
     base, q, d, _ = load(spark, sf_dir, s)
     for order in orders:
@@ -243,11 +243,11 @@ def w08_orders(spark, sf_dir, seeds=(42,), n: int = 3) -> DataFrame:
     lang = ds.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "lang")
     for seed in seeds:
         for order in ("id", "shuffled", "drift"):
-            _arms(runs, s, base, q, d, ds.batches(base, 0.2, n, order, seed, lang).persist(), seed, 24, 4, order, methods=("cfi", "stale"))
+            _arms(runs, s, base, q, d, ds.batches(base, 0.2, n, order, seed, lang).persist(), seed, d, 5, order, methods=("cfi", "stale", "retrain"))
     return runs.frame(spark)
 
 
-def w09_bias_capacity(spark, sf_dir, s: str = "D(96)", m: int = 24, bits: int = 4, seeds=(42,)) -> DataFrame:
+def w09_bias_capacity(spark, sf_dir, s: str = "D(96)", m: int = 96, bits: int = 5, seeds=(42,)) -> DataFrame:
     """Codebooks from the first rows, as many random rows, or all: bias is random less first, capacity all less random."""
     runs = Runs("w09")
     base, q, d, cells = load(spark, sf_dir, s)
@@ -298,6 +298,7 @@ def _moved(runs: Runs, s: str, base: DataFrame, q: DataFrame, d: int, first_shar
     cb = pq.fit(head, m, bits, cells, c=c, iters=5, seed=seed)
     both("stale", lambda k: pq.search(pq.encode(now, cb), cb, asked, k, n_p))
     runs.add(s, "stale", n0 / (1 << bits), "rows_per_code", regime, seed)
+    runs.add(s, "stale", cost.regime(m, bits, d), "memory_ratio", regime, seed)
     for scope in ("codebook", "full"):
         t = time.time()
         again, codes = pq.retrain(now, cb, bits, scope, 5, seed)
@@ -305,7 +306,7 @@ def _moved(runs: Runs, s: str, base: DataFrame, q: DataFrame, d: int, first_shar
         runs.add(s, f"retrain_{scope}", time.time() - t, "seconds", regime, seed)
 
 
-def w10_encoder_swap(spark, sf_dir, s: str = "A(2.5)", seeds=(42,), m: int = 16, bits: int = 4) -> DataFrame:
+def w10_encoder_swap(spark, sf_dir, s: str = "A(2.5)", seeds=(42,), m: int = 64, bits: int = 5) -> DataFrame:
     """Old vectors from one encoder, new ones and queries from another, at a gentle and at a harsh mean cosine; the true cosine beside it."""
     runs = Runs("w10")
     base, q, d, _ = load(spark, sf_dir, s)
@@ -317,7 +318,7 @@ def w10_encoder_swap(spark, sf_dir, s: str = "A(2.5)", seeds=(42,), m: int = 16,
     return runs.frame(spark)
 
 
-def w11_rotation_stress(spark, sf_dir, s: str = "A(2.5)", seeds=(42,), m: int = 16, bits: int = 4, rr=(0, 50)) -> DataFrame:
+def w11_rotation_stress(spark, sf_dir, s: str = "A(2.5)", seeds=(42,), m: int = 64, bits: int = 5, rr=(0, 50)) -> DataFrame:
     """Everything that is streamed, and the queries, rotated: the partition alone is wrong, and refreshing it alone helps."""
     runs = Runs("w11")
     base, q, d, _ = load(spark, sf_dir, s)
@@ -356,7 +357,7 @@ def w13_freshness(spark, sf_dir, s: str = "A(2.5)", periods=(1, 2, 4), seed: int
     """Cost of freshness: retraining never, or every so many batches; the undominated points are marked."""
     runs = Runs("w13")
     base, q, d, _ = load(spark, sf_dir, s)
-    _arms(runs, s, base, q, d, ds.batches(base, 0.2, n, "shuffled", seed).persist(), seed, 16, 4, "", tuple(periods), ("cfi", "stale", "retrain"))
+    _arms(runs, s, base, q, d, ds.batches(base, 0.2, n, "shuffled", seed).persist(), seed, d, 5, "", tuple(periods), ("cfi", "stale", "retrain"))
     out = runs.frame(spark)
     end = out.where("metric = 'recall'").groupBy("method").agg(F.max_by("value", "batch").alias("value"))
     spent = out.where("metric = 'rows_reencoded'").select("method", F.col("value").alias("cost"))
@@ -364,8 +365,8 @@ def w13_freshness(spark, sf_dir, s: str = "A(2.5)", periods=(1, 2, 4), seed: int
     return out.unionByName(front.select(F.lit("w13").alias("workload"), F.lit(s).alias("dataset"), "method", F.lit("pareto").alias("regime"), F.lit(seed).cast("long").alias("seed"), F.lit(-1).cast("long").alias("batch"), F.lit("recall_on_front").alias("metric"), "value"))
 
 
-def w14_static(spark, sf_dir, s: str = "A(2.5)", seed: int = 42, m: int = 16, bits: int = 4) -> DataFrame:
-    """Every method on one table: recall, queries a second and MiB."""
+def w14_static(spark, sf_dir, s: str = "A(2.5)", seed: int = 42, m: int = 64, bits: int = 5) -> DataFrame:
+    """Every method on one table: recall, queries a second and MiB; learned codes at the memory of the index with 4 bits."""
     runs = Runs("w14")
     base, q, d, cells = load(spark, sf_dir, s)
     truth, n, nq = exact.knn(base, q, K).persist(), base.count(), q.count()

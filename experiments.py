@@ -44,7 +44,7 @@ def main() -> None:
         ("w03 second stage of the flat quantizer", lambda: w.w03_flat_stage2(spark, sf_dir), "true", ["dataset", "regime", "method"]),
         ("w04 ceiling of the learned index", lambda: w.w04_learned_ceiling(spark, sf_dir), "true", ["dataset", "regime", "metric"]),
         ("w05 recall by probes", lambda: w.w05_probes(spark, sf_dir), "true", ["dataset", "regime"]),
-        ("w06 small stream", lambda: w.w06_streaming_small(spark, sf_dir, "D(96)" if full else "A(2.5)", seeds=seeds, m=48 if full else 16, bits=8 if full else 4, n=8 if full else 4), "metric = 'recall' AND batch IN (0, 4, 8)", ["regime", "method", "batch"]),
+        ("w06 small stream", lambda: w.w06_streaming_small(spark, sf_dir, "D(96)" if full else "A(2.5)", seeds=seeds, m=96 if full else 64, bits=5, n=8), "metric = 'recall' AND batch IN (0, 4, 8)", ["regime", "method", "batch"]),
         ("w07 cells", lambda: w.w07_nine_cells(spark, sf_dir) if full else w.w07_nine_cells(spark, sf_dir, (96,), ("sub", "bit"), seeds, 4, True), f"{end} AND batch IN (-1, 0, {9 if full else 4})", ["dataset", "regime", "method", "metric", "batch"]),
         ("w08 orders", lambda: w.w08_orders(spark, sf_dir, seeds=seeds), "metric = 'recall' AND batch IN (0, 3)", ["regime", "method", "batch"]),
         ("w09 bias and capacity", lambda: w.w09_bias_capacity(spark, sf_dir, seeds=seeds), "true", ["method", "metric"]),
