@@ -416,6 +416,38 @@ def test_mix(spark, docs, rows):
         assert target[s] == pytest.approx(w) and abs(taken[s] - w) <= 64
 
 
+def test_block_choice():
+    """Each seeded map is one to one, blocks cover a cell once, and cells give whole blocks near their quota."""
+    rng = random.Random(5)
+    for n in (1, 2, 7, 12, 30, 97, 360):
+        mult, shift = mixing.permutation(n, "s", None, n)
+        assert sorted((mult * i + shift) % n for i in range(n)) == list(range(n))
+    size = np.array([rng.choice([0, 1, 31, 33, 500, 4000]) for _ in range(60)])
+    words = np.array([rng.randint(0, 3 * s) for s in size])
+    cuts, rounds, chosen = mixing.block_quotas(size, words, 32)
+    assert ((0 <= chosen) & (chosen <= cuts)).all() and ((rounds + (chosen > 0)) <= 3).all()
+    assert abs((rounds * size + chosen * size / cuts).sum() - words.sum()) <= 32
+
+
+def test_taken_against_brute_force(spark):
+    """Runs recomputed word by word: the words of chosen blocks, of the documents in their seeded order."""
+    rows = [(i, " ".join(f"w{i}x{k}" for k in range(i * 7 % 90)), "ab"[i % 7 == 0]) for i in range(60)] + [(3, None, "a"), (4, "one two", None), (5, "x " * 5000, "b")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = mixing.mix(df, shard_docs=20, runs=True, carry=("text",)).collect()
+    taken = {r.source: 0 for r in got}
+    for r in got:
+        picked = [i for x in r.runs for i in range(x.a, x.z)]
+        assert len(picked) == len(set(picked)) and all(0 <= i < r["size"] for i in picked)
+        assert r.taken == r.rounds * r["size"] + len(picked) <= 3 * r["size"]
+        taken[r.source] += r.taken
+        if picked:
+            assert mixing.some_words(r.text or "", [x.asDict() for x in r.runs]).split() == [r.text.split()[i] for i in picked]
+    for r in got:
+        assert abs(taken[r.source] - r.target) <= 64
+    part = [r for r in got if 0 < r.taken % max(1, r["size"])]
+    assert part and any(r.runs[0].a > 0 for r in part)  # blocks are not read from the start
+
+
 def test_take(spark, docs):
     mixed, out = mixing.mix(docs, shard_docs=5), mixing.take(docs, shard_docs=5)
     assert out.columns == docs.columns
