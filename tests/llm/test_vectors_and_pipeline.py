@@ -2,6 +2,7 @@
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import pytest
 
 import corpus_pipeline
@@ -55,6 +56,41 @@ def test_blocks_and_chunks_and_odd_vectors(spark):
     assert permutation.nearest(df.where("vec_id = 20"), df["vec_id"] % 20 == 0, 5).count() == 0
 
 
+def test_footrule_and_postings():
+    """Agreement is the footrule of truncated lists up to a constant; candidates are its best, ties to smaller ids."""
+    rng = np.random.default_rng(4)
+    x = rng.standard_normal((400, 16))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    x[50:60] = x[50]
+    pivots, prefix = permutation.lifted(x[:40], 1.0), 9
+    block = permutation.Block(np.arange(400)[::-1].copy(), x[::-1], pivots, prefix, 1.0)
+    near = permutation.lists(permutation.lifted(x, 1.0), pivots, prefix)
+    got = block.agreement(x[:30])
+    for i in range(30):
+        for j in range(400):
+            a, b = near[i].tolist(), near[j].tolist()
+            foot = sum(abs((a.index(p) if p in a else prefix) - (b.index(p) if p in b else prefix)) for p in range(40))
+            assert foot == prefix * (prefix + 1) - 2 * got[i, j]
+        order = np.lexsort((np.arange(400), -got[i]))
+        for want in (1, 7, 60, 400, 500):
+            assert permutation.leading(got[i], want).tolist() == sorted(order[:want].tolist())
+
+
+def test_recall_isotropic_blocks(spark):
+    """20,000 vectors in two blocks, at the defaults."""
+    rng = np.random.default_rng(9)
+    x = rng.standard_normal((20_000, 64)).astype(np.float32)
+    df = spark.createDataFrame(pa.table({"vec_id": np.arange(20_000), "embedding": pa.FixedSizeListArray.from_arrays(x.ravel(), 64).cast(pa.list_(pa.float32()))}))
+    got = permutation.nearest(df, df["vec_id"] % 100 == 0, 20).toPandas().groupby("query_id").vec_id.apply(set).to_dict()
+    y = x.astype(np.float64)
+    asked = np.arange(0, 20_000, 100)
+    s = y[asked] @ y.T
+    s[np.arange(len(asked)), asked] = -np.inf
+    want = np.argpartition(-s, 20, axis=1)[:, :20]
+    assert set(got) == set(asked.tolist())
+    assert np.mean([len(got[int(q)] & set(w.tolist())) / 20 for q, w in zip(asked, want, strict=True)]) >= 0.9
+
+
 def test_components(spark):
     import random
 
