@@ -39,48 +39,52 @@ def fingerprint_columns(df: DataFrame, text: str, out: str, k: int = K, parts: i
     optimizer then keeps the steps apart and makes each array once, not once for each element that looks at it.
     """
     keep = [F.col(c) for c in df.columns]
-    words = F.filter(F.split(F.coalesce(F.col(text), F.lit("")), r"[\x20\x09-\x0D]+"), lambda w: w != "")
+    words = F.array_remove(F.split(F.coalesce(F.col(text), F.lit("")), r"[\x20\x09-\x0D]+"), "")
     d = df.select(*keep, words.alias("_w"))
-    n = F.size("_w")
     hashed = F.transform("_w", lambda w: F.xxhash64(w))
-    d = d.select(*keep, hashed.alias("_h"), n.alias("_n"))
-    # (hash of the k-mer's words << 24) | position
+    d = d.select(*keep, hashed.alias("_h"), F.size("_w").alias("_n"))
+    # (hash of the k-mer's words << 24) | position; no array below may hold nulls, by type: longs are then sorted as such, not as objects
+    none = F.array_repeat(F.lit(0).cast("long"), 0)
     grams = F.when(
         F.col("_n") >= k,
         F.transform(
             F.slice("_h", 1, F.greatest(F.col("_n") - (k - 1), F.lit(0))),
             lambda h, i: F.shiftleft(F.xxhash64(h, *(F.get(F.col("_h"), i + j) for j in range(1, k))), 24).bitwiseOR(i.cast("long").bitwiseAND(F.lit(_LOW))),
         ),
-    ).when(F.col("_n") > 0, F.array(F.shiftleft(F.xxhash64(F.col("_h")), 24))).otherwise(F.array().cast("array<bigint>"))
+    ).when(F.col("_n") > 0, F.array(F.shiftleft(F.xxhash64(F.col("_h")), 24))).otherwise(none)
     d = d.select(*keep, F.sort_array(grams).alias("_s"))
-    starts = F.filter(
-        F.transform("_s", lambda x, i: F.when((i > 0) & (F.shiftright(x, 24) == F.shiftright(F.get(F.col("_s"), i - 1), 24)), F.lit(-1)).otherwise(i)),
-        lambda i: i >= 0,
-    )
-    d = d.select(*keep, "_s", starts.alias("_b"))
+
+    def changes(array: str, of) -> Column:
+        """Places of a sorted array where ``of`` differs from the element before, the first included."""
+        at = lambda i: of(F.get(F.col(array), i))
+        some = F.filter(F.sequence(F.lit(0), F.size(array) - 1), lambda i: (i == 0) | (at(i) != at(i - 1)))
+        return F.when(F.size(array) > 0, some).otherwise(F.array_repeat(F.lit(0), 0))
+
+    d = d.select(*keep, "_s", changes("_s", lambda x: F.shiftright(x, 24)).alias("_b"))
     # occurrence numbers, run by run, side by side with _s
     numbers = F.flatten(F.transform("_b", lambda b, j: F.sequence(F.lit(0), F.coalesce(F.get(F.col("_b"), j + 1), F.size("_s")) - b - 1)))
     d = d.select(*keep, "_s", F.when(F.size("_b") == F.size("_s"), F.lit(None)).otherwise(numbers).alias("_o"))
     rank = lambda x, o: F.shiftleft(F.xxhash64(F.shiftright(x, 24), o), 24).bitwiseOR(x.bitwiseAND(F.lit(_LOW)))
-    ranked = F.when(F.col("_o").isNull(), F.transform("_s", lambda x: rank(x, F.lit(0)))).otherwise(F.zip_with("_s", "_o", rank))
+    ranked = F.when(F.col("_o").isNull(), F.transform("_s", lambda x: rank(x, F.lit(0)))).otherwise(F.transform("_s", lambda x, i: rank(x, F.get(F.col("_o"), i))))
     d = d.select(*keep, F.sort_array(ranked).alias("_e"))
     # part of an element: its top bits, as 0 .. parts - 1
     bits = parts.bit_length() - 1
-    part = lambda x: F.shiftright(x, 64 - bits) + parts // 2
-    firsts = F.filter(
-        F.transform("_e", lambda x, i: F.when((i > 0) & (part(x) == part(F.get(F.col("_e"), i - 1))), F.lit(-1)).otherwise(i)),
-        lambda i: i >= 0,
-    )
-    d = d.select(*keep, "_e", firsts.alias("_f"))
-
-    def component(j: Column) -> Column:
-        i = F.coalesce(F.get(F.filter("_f", lambda f: part(F.element_at(F.col("_e"), f + 1)) >= j), 0), F.lit(0))
-        a, b = F.element_at(F.col("_e"), i + 1), F.element_at(F.col("_e"), F.pmod(i + 1, F.size("_e")) + 1)
+    part = lambda x: F.shiftright(x, 64 - bits).cast("int") + parts // 2
+    d = d.select(*keep, "_e", changes("_e", part).alias("_f"))
+    # the place each part starts from: its own first element, or that of the next part that has one; going round, the first of all
+    own = F.transform("_f", lambda f: part(F.get(F.col("_e"), f)))
+    d = d.select(*keep, "_e", "_f", own.alias("_p"))
+    starts = F.flatten(F.transform("_f", lambda f, i: F.array_repeat(f, F.get(F.col("_p"), i) - F.coalesce(F.get(F.col("_p"), i - 1), F.lit(-1)))))
+    round_ = F.array_repeat(F.lit(0), parts - 1 - F.element_at("_p", -1))
+    d = d.select(*keep, "_e", F.when(F.size("_p") > 0, F.concat(starts, round_)).otherwise(F.array_repeat(F.lit(0), 0)).alias("_i"))
+
+    def component(i: Column, j: Column) -> Column:
+        a, b = F.get(F.col("_e"), i), F.get(F.col("_e"), F.pmod(i + 1, F.size("_e")))
         swap = a.bitwiseAND(F.lit(_LOW)) > b.bitwiseAND(F.lit(_LOW))
         x, y = F.shiftright(F.when(swap, b).otherwise(a), 24), F.shiftright(F.when(swap, a).otherwise(b), 24)
         return F.hash(j, x, y)
 
-    comps = F.when((F.size("_e") == 0) | (F.size("_f") == 0), F.array_repeat(F.lit(0), parts)).otherwise(F.transform(F.sequence(F.lit(0), F.lit(parts - 1)), component))
+    comps = F.when(F.size("_i") == 0, F.array_repeat(F.lit(0), parts)).otherwise(F.transform("_i", component))
     return d.select(*keep, comps.alias(out))
 
 
