@@ -456,6 +456,39 @@ def test_take(spark, docs):
     assert words == mixed.agg({"taken": "sum"}).first()[0]
 
 
+def test_suffixes_of_near_copies(monkeypatch):
+    """Near copies in one bucket: each place is left-maximal, so all suffixes are sorted; comparing them by hashes took minutes on large groups."""
+    rng = random.Random(4)
+    base = bytes(rng.randrange(97, 123) for _ in range(640))
+    texts = []
+    for _ in range(1500):
+        x = bytearray(base)
+        for _ in range(3):
+            x[rng.randrange(640)] = rng.randrange(97, 123)
+        texts.append(bytes(x))
+    kind, bucket = bytespans.Bytes(400, 160), np.zeros(1500, np.int64)
+    monkeypatch.setattr(bytespans.Suffixes, "sort", None)  # the way by hashes is not taken here
+    rows = list(kind.decide(bucket, texts))
+    assert len(rows) == len({r for r, _, _ in rows})  # a span a text, not one a suffix
+    times = collections.Counter(t[i : i + 400] for t in texts for i in range(241))
+    want = {(k, i + j) for k, t in enumerate(texts) for i in range(241) if times[t[i : i + 400]] > 1 for j in (0, 399)}
+    assert want <= {(r, x) for r, lo, hi in rows for x in range(lo, hi)} and {r for r, _ in want} == {r for r, _, _ in rows}
+    assert {(r, lo) for r, lo, _ in rows} | {(r, hi - 1) for r, _, hi in rows} <= want
+
+
+def test_suffixes_both_sorts(monkeypatch):
+    """Zero bytes, ends and periodic strings: sorted by rests, in small pieces, and by hashes, as brute force has it."""
+    kind = bytespans.Bytes(5, 3)
+    for keys in (bytespans.KEYS, 60, 0):
+        monkeypatch.setattr(bytespans, "KEYS", keys)
+        for seed in range(40):
+            rng = random.Random(seed)
+            texts = [bytes(rng.choice(b"ab\0") for _ in range(rng.randrange(5, 40))) for _ in range(rng.randrange(1, 12))]
+            times = collections.Counter(t[i : i + 5] for t in texts for i in range(len(t) - 4))
+            want = {(k, i + j) for k, t in enumerate(texts) for i in range(len(t) - 4) if times[t[i : i + 5]] > 1 for j in range(5)}
+            assert {(r, x) for r, lo, hi in kind.decide(np.zeros(len(texts), np.int64), texts) for x in range(lo, hi)} == want
+
+
 # --- 8: order MinHash
 
 
