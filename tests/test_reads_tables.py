@@ -5,7 +5,7 @@ import pytest
 import __spark_entry__ as entry
 from tests.conftest import SF
 
-LAZY = ("bias_capacity", )
+LAZY = ("bounds_table", "bias_capacity", )
 
 
 @pytest.mark.parametrize("name", LAZY)
