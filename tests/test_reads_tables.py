@@ -5,7 +5,7 @@ import pytest
 import __spark_entry__ as entry
 from tests.conftest import SF
 
-LAZY = ("regime_accounting", "pareto_front", "paired_t", "memory_accounting", "gsq_design", "bounds_table", "bias_capacity", )
+LAZY = ("rerank_memory", "regime_accounting", "pareto_front", "paired_t", "memory_accounting", "gsq_design", "bounds_table", "bias_capacity", )
 
 
 @pytest.mark.parametrize("name", LAZY)
