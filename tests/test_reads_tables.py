@@ -12,3 +12,9 @@ LAZY = ("rerank_memory", "regime_accounting", "pareto_front", "paired_t", "memor
 def test_plan_scans_a_table(spark, name):
     df = entry.queries()[name](spark, SF)
     assert df.inputFiles() and df.count() > 0
+
+
+def test_w16_measures_the_embeddings(spark):
+    r = {(x.dataset, x.method, x.metric): x.value for x in entry.queries()["w16_bounds"](spark, SF).where("regime = 'd=64'").collect()}
+    assert 0.9 < r["E", "measured", "mse_over_db"] < 1.1
+    assert r["E", "measured", "error_quantile"] < r["E", "single", "bound"]
