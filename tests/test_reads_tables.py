@@ -18,3 +18,9 @@ def test_w16_measures_the_embeddings(spark):
     r = {(x.dataset, x.method, x.metric): x.value for x in entry.queries()["w16_bounds"](spark, SF).where("regime = 'd=64'").collect()}
     assert 0.9 < r["E", "measured", "mse_over_db"] < 1.1
     assert r["E", "measured", "error_quantile"] < r["E", "single", "bound"]
+
+
+def test_w19_counts_the_embeddings(spark):
+    r = {(x.dataset, x.metric): x.value for x in entry.queries()["w19_accounting"](spark, SF).collect()}
+    n = spark.read.parquet(f"{SF}/embeddings.parquet").where("vec_id % 10 <> 0").count()
+    assert r["E", "bits"] == 4 * 64 + 64 + 32 and r["A(2.5)", "mib"] > n * r["E", "bits"] / 8 / (1 << 20)
