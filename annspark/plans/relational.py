@@ -5,10 +5,13 @@ from __future__ import annotations
 import tempfile
 from collections.abc import Callable
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from annspark.functions import vectors as vx
+from annspark.operators import exact
 from annspark.sources import datasets as ds
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -157,8 +160,33 @@ def join_anti(spark, sf_dir):
 @query("SELECT q.vec_id AS qid, b.vec_id, round(list_dot_product(list_transform(q.embedding, lambda x: x::DOUBLE), list_transform(b.embedding, lambda x: x::DOUBLE)), 6) AS ip FROM embeddings q, embeddings b WHERE q.vec_id % 10 = 0 AND b.vec_id % 10 <> 0 AND list_dot_product(list_transform(q.embedding, lambda x: x::DOUBLE), list_transform(b.embedding, lambda x: x::DOUBLE)) >= 0.25")
 def radius_search(spark, sf_dir):
     e = t(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    q = e.where("vec_id % 10 = 0").select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qv"))
-    return e.where("vec_id % 10 <> 0").crossJoin(F.broadcast(q)).select("qid", "vec_id", vx.dot("qv", "embedding").alias("ip")).where("ip >= 0.25").withColumn("ip", F.round("ip", 6))
+    e = e.where("embedding IS NOT NULL AND NOT exists(embedding, x -> x IS NULL)").select("vec_id", vx.doubles("embedding").alias("v"))
+    found = None
+    for (d,) in e.select(F.size("v")).distinct().collect():  # vectors of other sizes have no product
+        own = e.where(F.size("v") == d)
+        for qid, q in exact.collected(own.where("vec_id % 10 = 0").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))):
+            if len(qid):
+                one = _within(own.where("vec_id % 10 <> 0"), qid, q, 0.25)
+                found = one if found is None else found.unionByName(one)
+    if found is None:
+        found = spark.createDataFrame([], "qid long, vec_id long, ip double")
+    return found.withColumn("ip", F.round("ip", 6))
+
+
+def _within(base, qid, q, least):
+    """(qid, vec_id, ip) of all pairs with at least that product, by blocks of products; a NaN is above all numbers, as in SQL."""
+
+    def scan(batches):
+        for b in batches:
+            if b.num_rows:
+                ids, x = b.column(0).to_numpy(), vx.matrix(b.column(1))
+                step = max(1, exact.SCORES // len(ids))
+                for a in range(0, len(qid), step):
+                    s = x @ q[a : a + step].T
+                    rows, who = np.nonzero(~(s < least))
+                    yield pa.RecordBatch.from_arrays([pa.array(qid[a + who]), pa.array(ids[rows]), pa.array(s[rows, who])], names=["qid", "vec_id", "ip"])
+
+    return base.mapInArrow(scan, "qid long, vec_id long, ip double")
 
 
 @query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
