@@ -106,7 +106,7 @@ def st_watermark_late(spark, sf_dir):
 def st_dedup(spark, sf_dir):
     src = events.files(spark, sf_dir, _path(spark, "events"))
     events.files(spark, sf_dir, src)  # everything once more
-    return events.run(events.deduplicated(events.stream(spark, src), "60 days")).select("event_id", "event_type")
+    return events.run_to(events.deduplicated(events.stream(spark, src), "60 days"), _path(spark, "distinct")).select("event_id", "event_type")
 
 
 def st_join_static(spark, sf_dir):

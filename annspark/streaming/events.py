@@ -29,8 +29,21 @@ def stream(spark: SparkSession, path: str) -> DataFrame:
     return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", 1).parquet(path)
 
 
+def run_to(df: DataFrame, path: str) -> DataFrame:
+    """As ``run`` in append mode, but results go to files under ``path`` and keys are held by RocksDB: neither has to fit a heap."""
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = df.sparkSession.conf.get(name)
+    df.sparkSession.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        q = df.writeStream.format("parquet").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/state").outputMode("append").trigger(availableNow=True).start()
+        q.awaitTermination()
+    finally:
+        df.sparkSession.conf.set(name, before)
+    return df.sparkSession.read.schema(df.schema).parquet(f"{path}/rows")
+
+
 def run(df: DataFrame, mode: str = "append") -> DataFrame:
-    """Everything that is there now, through the streaming engine, as a table."""
+    """Everything that is there now, through the streaming engine, as a table in the driver's memory."""
     name = "annspark_" + uuid.uuid4().hex
     q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
