@@ -6,6 +6,7 @@ import json
 import random
 import re
 import time
+import tracemalloc
 
 import numpy as np
 import pandas as pd
@@ -489,6 +490,22 @@ def test_suffixes_both_sorts(monkeypatch):
             assert {(r, x) for r, lo, hi in kind.decide(np.zeros(len(texts), np.int64), texts) for x in range(lo, hi)} == want
 
 
+def test_suffix_sort_memory():
+    """The keys of many classes are made a few megabytes at a time, without an index for every byte of them."""
+    rng = np.random.default_rng(0)
+    n, data = 60_000, rng.integers(97, 99, 400_000, dtype=np.uint8)
+    place = rng.integers(0, len(data) - 1_000, n)
+    end, group = place + rng.integers(400, 900, n), np.sort(rng.integers(0, 300, n))
+    text, raw = bytespans.Suffixes(data), data.tobytes()
+    tracemalloc.start()
+    order = text.sort_rests(place, end, group, 0)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 50_000_000
+    told = [(g, raw[a:b]) for g, a, b in zip(group[order].tolist(), place[order].tolist(), end[order].tolist(), strict=True)]
+    assert told == sorted(told)
+
+
 # --- 8: order MinHash
 
 
