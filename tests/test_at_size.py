@@ -3,8 +3,8 @@
 import numpy as np
 
 import __spark_entry__ as entry
-from annspark.operators import coarse, exact, lsh
-from annspark.plans import relational
+from annspark.operators import coarse, exact, lsh, pq
+from annspark.plans import relational, workloads
 from annspark.sources import datasets as ds
 from tests.conftest import SF
 
@@ -49,3 +49,46 @@ def test_dedup_is_not_held_by_the_driver(spark):
 def test_centroid_sums_of_few_rows(spark):
     df = spark.createDataFrame([(i, [float(i % 2), float(1 - i % 2)]) for i in range(5)], "id long, v array<double>")
     assert coarse.step(df, np.array([[1.0, 0.0], [0.0, 1.0], [-1.0, 0.0]])).tolist() == [[1.0, 0.0], [0.0, 1.0], [-1.0, 0.0]]
+
+
+def test_hashing_makes_no_row_a_word(spark):
+    texts = spark.createDataFrame([(1, "a B a"), (1, "c"), (2, None), (3, "1 ."), (4, "bİK x")], "id long, text string")
+    found = ds.hashed(texts, 8, "s")
+    assert "Generate" not in plan(found)
+    slots: dict = {}
+    for r in ds.hashed_slots(texts, 8, "s").collect():
+        slots.setdefault(r.id, np.zeros(8))[r.slot] = r.x
+    assert {r.id: r.v for r in found.collect()} == {k: (v / np.sqrt(sum(v * v))).tolist() for k, v in slots.items()}
+
+
+def test_numbers_find_their_code():
+    rng = np.random.default_rng(2)
+    for n, k in ((50, 1), (400, 7), (400, 300)):
+        c = np.round(rng.standard_normal(k), 1)[:, None]  # equal codes too
+        x = np.concatenate((rng.standard_normal((n, 1)), np.round(rng.standard_normal((n, 1)), 2)))
+        half = (c * c).sum(axis=1) / 2
+        assert pq.codes_of(x, c).tolist() == (x @ c.T - half).argmax(axis=1).tolist()
+
+
+def test_small_partitions_are_gathered(spark):
+    df = workloads.gathered(spark.range(1_000, numPartitions=100), 1_000, 96)
+    assert df.rdd.getNumPartitions() == 2 * spark.sparkContext.defaultParallelism and df.count() == 1_000
+
+
+def test_k_rows_of_all_probed_cells_are_left(monkeypatch):
+    rng = np.random.default_rng(3)
+    cell, group, ids = rng.integers(0, 8, 200), rng.integers(0, 2, 200), rng.permutation(200)
+    s, asked = rng.integers(0, 9, (200, 7)).astype(float), rng.random((8, 7)) < 0.6
+
+    def fill(a, z):
+        for c in range(8):
+            rows, who = np.flatnonzero(cell == c), a + np.flatnonzero(asked[c, a:z])
+            yield rows, who, s[np.ix_(rows, who)]
+
+    want = sorted((g, q, *x) for g in (0, 1) for q in range(7) for x in sorted((-s[r, q], ids[r]) for r in range(200) if group[r] == g and asked[cell[r], q])[:5])
+    for scores in (exact.SCORES, 400):
+        monkeypatch.setattr(exact, "SCORES", scores)
+        for dense in (True, False):
+            found = [(g, q, -v, ids[r]) for g, rows, who, x in exact.best_filled(ids, group, 7, 5, fill, dense) for r, q, v in zip(rows, who, x, strict=True)]
+            assert len(found) == len(want) or not dense
+            assert sorted(x for g in (0, 1) for q in range(7) for x in sorted(y for y in found if y[:2] == (g, q))[:5]) == want
