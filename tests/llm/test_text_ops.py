@@ -83,6 +83,38 @@ def test_suffix_sort_is_a_suffix_sort():
     assert [bytes(data[place[i] : end[i]]) for i in order] == [bytes(data[place[i] : end[i]]) for i in want]
 
 
+def test_suffixes_of_one_line_repeated():
+    """A bucket of texts that repeat one line with a change here and there: 116,363 suffixes are sorted at once (0.2 s; merged on hashes: 19 s), ends and zero bytes in order."""
+    rng = random.Random(3)
+    line = bytes(rng.randrange(97, 123) for _ in range(60)) + b"\n"
+    texts = []
+    for _ in range(50):
+        x = bytearray(line * 45)
+        for _ in range(2):
+            x[rng.randrange(len(x))] = rng.randrange(97, 123)
+        texts.append(bytes(x[: rng.randrange(2000, len(x))]))
+    got = {(k, x) for k, lo, hi in bytespans.Bytes(400, 160).decide(np.zeros(len(texts), np.int64), texts) for x in range(lo, hi)}
+    times = collections.Counter(t[i : i + 400] for t in texts for i in range(len(t) - 399))
+    ends = {(k, i + j) for k, t in enumerate(texts) for i in range(len(t) - 399) if times[t[i : i + 400]] > 1 for j in (0, 399)}
+    assert ends <= got and {(k, i) for k, i in got if (k, i - 1) not in got} <= ends
+    data, size = np.frombuffer(b"".join(texts), np.uint8), np.array([len(t) for t in texts])
+    place, end = np.arange(len(data)), np.repeat(np.cumsum(size), size)
+    began = time.process_time()
+    order = bytespans.Suffixes(data).sort(place, end, np.zeros(len(data), np.int64))
+    assert time.process_time() - began < 8
+    told = [bytes(data[place[i] : end[i]]) for i in order]
+    assert all(a <= b for a, b in zip(told, told[1:], strict=False))
+    # suffixes that end in the first bytes compared, equal ones, and zero bytes, by rank as by bytes
+    for seed in range(200):
+        rng = np.random.default_rng(seed)
+        data = rng.choice(np.array([0, 97], np.uint8), 60)
+        place = np.arange(60)
+        group, end = place // 20, (place // 20 + 1) * 20
+        order = bytespans.Suffixes(data).sort(place, end, group)
+        told = [(group[i], bytes(data[place[i] : end[i]])) for i in order]
+        assert told == sorted(told)
+
+
 def test_hash_collision_falls_back_to_bytes(monkeypatch):
     """With every hash equal, extensions are verified and buckets searched on real bytes."""
     rng = random.Random(1)
