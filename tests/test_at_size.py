@@ -92,3 +92,53 @@ def test_k_rows_of_all_probed_cells_are_left(monkeypatch):
             found = [(g, q, -v, ids[r]) for g, rows, who, x in exact.best_filled(ids, group, 7, 5, fill, dense) for r, q, v in zip(rows, who, x, strict=True)]
             assert len(found) == len(want) or not dense
             assert sorted(x for g in (0, 1) for q in range(7) for x in sorted(y for y in found if y[:2] == (g, q))[:5]) == want
+
+
+def test_best_rows_orders_few(monkeypatch):
+    """Of 10,000 rows a query, only those above a bar of some first rows are ordered (all rows were partitioned before), and bars hold over batches."""
+    rng = np.random.default_rng(1)
+    s, ids = np.round(rng.standard_normal((10_000, 40)), 2), rng.permutation(10_000)
+    parted, part = [], np.partition
+    monkeypatch.setattr(np, "partition", lambda x, *a, **b: parted.append(len(x)) or part(x, *a, **b))
+    want = [np.lexsort((ids, -s[:, j]))[:10].tolist() for j in range(40)]
+    bars = np.full(40, -np.inf)
+    found = [[], []]
+    for a in (0, 5_000):
+        rows, who = exact.best_rows(s[a : a + 5_000], ids[a : a + 5_000], 10, bars=bars)
+        found[0].extend((a + rows).tolist())
+        found[1].extend(who.tolist())
+    for j in range(40):
+        own = [r for r, w in zip(*found, strict=True) if w == j]
+        assert sorted(own, key=lambda r: (-s[r, j], ids[r]))[:10] == want[j]
+    assert len(found[0]) < 40 * 19 and max(parted) <= 625
+    # scores that are off by a rounding are made exact where it matters
+    off = s + 1e-12 * rng.standard_normal(s.shape)
+    rows, who = exact.best_rows(off, ids, 10, exactly=lambda r, w: s[r, w], slack=1e-10)
+    assert [rows[who == j].tolist() for j in range(40)] == want
+
+
+def test_learned_search_is_one_product(spark):
+    """Where most cells are probed, codes are searched by a product and few sums of look-ups: rows and scores as sums of look-ups alone have them, ties by id."""
+    rng = np.random.default_rng(2)
+    x = rng.standard_normal((600, 8))
+    x[300:] = x[:300]  # equal codes
+    x /= np.sqrt((x * x).sum(axis=1, keepdims=True))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, v array<double>")
+    q = spark.createDataFrame([(i, x[i].tolist()) for i in range(20)], "qid long, qv array<double>")
+    cb = pq.Codebook(rng.standard_normal((8, 4, 1)) / 3, x[:5])
+    cell, r = cb.residual(x)
+    code = cb.encode(r)
+    for n_p in (2, 5):
+        got = {}
+        for row in pq.search(pq.encode(df, cb), cb, q, 10, n_p).collect():
+            got.setdefault(row.qid, []).append((row.rank, row.id, row.score))
+        for i in range(20):
+            ip = x[i] @ cb.c.T
+            probed = np.argsort(-ip, kind="stable")[:n_p]
+            score = ip[cell]
+            for j in range(8):
+                score = score + x[i, j] * cb.books[j][code[:, j], 0]
+            rows = np.flatnonzero(np.isin(cell, probed))
+            want = rows[np.lexsort((rows, -np.round(score[rows], 12)))[:10]]
+            assert [row for _, row, _ in sorted(got[i])] == want.tolist()
+            assert np.allclose([v for _, _, v in sorted(got[i])], score[want], atol=1e-12)
