@@ -3,7 +3,7 @@
 import numpy as np
 
 import __spark_entry__ as entry
-from annspark.operators import coarse, exact, lsh, pq
+from annspark.operators import coarse, exact, lsh, pq, scan
 from annspark.plans import relational, workloads
 from annspark.sources import datasets as ds
 from tests.conftest import SF
@@ -142,3 +142,51 @@ def test_learned_search_is_one_product(spark):
             want = rows[np.lexsort((rows, -np.round(score[rows], 12)))[:10]]
             assert [row for _, row, _ in sorted(got[i])] == want.tolist()
             assert np.allclose([v for _, _, v in sorted(got[i])], score[want], atol=1e-12)
+
+
+def test_codebooks_are_fitted_on_all_rows(spark):
+    """Before, 100,000 rows at most were taken."""
+    df = spark.range(100_500, numPartitions=4).selectExpr("id", "array(id / 100500D, CAST(pmod(id * id, 7) AS DOUBLE)) AS v")
+    want = df.selectExpr("avg(v[0])", "avg(v[1])").first()
+    assert np.allclose(pq.fit(df, 1, 0, iters=1).books.ravel(), list(want), atol=1e-8)
+
+
+def test_rounds_in_spark_are_those_of_the_driver(spark):
+    """Codebooks of the rows up to several batches, fitted together, as each k-means alone gives them."""
+    rng = np.random.default_rng(4)
+    x, batch = rng.standard_normal((300, 6)), rng.integers(0, 3, 300)
+    df = spark.createDataFrame([(i, v.tolist(), int(b)) for i, (v, b) in enumerate(zip(x, batch, strict=True))], "id long, v array<double>, batch int").repartition(5)
+    for m in (6, 3):
+        for t, cb in pq.fit_upto(df, (0, 2), m, 3, None, 4, 9).items():
+            own, w = x[batch <= t], 6 // m
+            assert np.allclose(cb.books, [pq.kmeans(own[:, s * w : (s + 1) * w], 8, 4, 9 + s) for s in range(m)], atol=1e-8)
+    few = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x[:5])], "id long, v array<double>")
+    assert np.allclose(pq.fit(few, 6, 3, iters=4, seed=9).books, [pq.kmeans(x[:5, s : s + 1], 8, 4, 9 + s) for s in range(6)], atol=1e-8)
+    new = pq.retrain(df, pq.Codebook(np.zeros((6, 8, 1))), 3, iters=4, seed=9, upto=[1, 2])
+    assert [(cb.version, codes.count()) for cb, codes in new] == [(1, int((batch <= t).sum())) for t in (1, 2)]
+    assert np.array_equal(new[1][0].books, pq.fit(df, 6, 3, iters=4, seed=9).books)
+
+
+def test_rows_of_a_scan_are_the_best_ones(monkeypatch):
+    """Products in single precision choose pairs, double precision their order: ties by id, over batches, cells and groups."""
+    rng = np.random.default_rng(5)
+    x, z, ids = rng.standard_normal((400, 6)), rng.standard_normal((30, 6)), rng.permutation(400)
+    cell, group = rng.integers(0, 5, 400), rng.integers(0, 2, 400).astype(np.int32)
+    for copy in (x, cell, group):
+        copy[200:300] = copy[:100]
+    asked = rng.random((5, 30)) < 0.6
+    probes = {c: (np.flatnonzero(asked[c]), rng.standard_normal(asked[c].sum())) for c in range(5)}
+    for size, scale in ((1 << 20, 1.0), (300, 1.0), (300, 1e20)):
+        monkeypatch.setattr(scan, "BLOCK", size)
+        best = scan.Best(z, probes, 7)
+        for a in range(0, 400, 150):
+            best.add(ids[a : a + 150], cell[a : a + 150], group[a : a + 150], scale * x[a : a + 150])
+        got = {(g, w, i) for g, rows, who, _ in best.found() for w, i in zip(who.tolist(), rows.tolist(), strict=True)}
+        want = set()
+        for g in (0, 1):
+            for j in range(30):
+                rows = np.flatnonzero((group == g) & asked[cell, j])
+                term = np.array([probes[c][1][np.searchsorted(probes[c][0], j)] for c in cell[rows]])
+                score = np.einsum("ij,j->i", scale * x[rows], z[j]) + term
+                want |= {(g, j, int(ids[rows[i]])) for i in np.lexsort((ids[rows], -np.round(score, 9)))[:7]}
+        assert got == want
