@@ -190,3 +190,12 @@ def test_rows_of_a_scan_are_the_best_ones(monkeypatch):
                 score = np.einsum("ij,j->i", scale * x[rows], z[j]) + term
                 want |= {(g, j, int(ids[rows[i]])) for i in np.lexsort((ids[rows], -np.round(score, 9)))[:7]}
         assert got == want
+
+
+def test_words_of_bytes_are_those_of_lower_case_text(spark):
+    """Every character, between and beside letters, as Spark's lower() and the split of the SQL have them."""
+    chars = [chr(i) for i in range(1, 0x110000) if not 0xD800 <= i < 0xE000]
+    texts = ["".join(f"a{c}B {c}Z" for c in chars[i : i + 5_000]) for i in range(0, len(chars), 5_000)]
+    df = spark.createDataFrame([(t,) for t in texts], "text string").selectExpr("text", "filter(split(lower(text), '[^a-z]+'), w -> w <> '') AS words")
+    for r in df.collect():
+        assert [w.decode() for w in ds.lower_words(r.text.encode())] == r.words
